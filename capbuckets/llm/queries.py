@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import token_counts, token_files, toxicity
+from . import jaccard_join, knn_join, token_counts, token_files, toxicity, warc
 from .storage import shared_path, table
 
 
@@ -17,12 +17,30 @@ def tokenizer_path(name: str) -> str:
     return public_tokenizers.path(name)
 
 
+def op1_voronoi_knn_join(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The 20 largest integer inner products of every twentieth vector with all others."""
+    rows = table(spark, sf_dir, "embeddings").select("vec_id", knn_join.quantized("embedding").alias("v"))
+    return knn_join.voronoi_top_k(rows, "vec_id", "v", F.pmod(F.col("vec_id"), F.lit(20)) == 0)
+
+
+def op2_warc_transactions(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Pages written as WARC transactions, read back and put together."""
+    path = shared_path(spark, "archives")
+    warc.write_archives(table(spark, sf_dir, "pages"), path)
+    return warc.capture_summary(warc.assemble_transactions(warc.read_records(spark, path)))
+
+
 def op3_prefix_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Exact token counts of every whole text, from the last entry of its prefix table."""
     counts = token_counts.prefix_token_counts(table(spark, sf_dir, "documents"), tokenizer_path("byte_bpe_50k.json"), store=False)
     return counts.select("doc_id", "n_bytes", "n_tokens", token_counts.over_limit("n_tokens", 1024).alias("over_limit"))
 
 
+def op4_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Class and number of links of every document: 0.8 or more on sets of five words."""
+    return jaccard_join.jaccard_join(table(spark, sf_dir, "documents"))
+
+
 def op5_token_files(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Token ids written as directly addressable codes and read back."""
     path = shared_path(spark, "token-files")
@@ -39,6 +57,22 @@ def op10_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
-    f.__name__: f for f in (op3_prefix_token_counts, op5_token_files, op10_toxicity)
+    f.__name__: f for f in (op1_voronoi_knn_join, op2_warc_transactions, op3_prefix_token_counts, op4_jaccard_join, op5_token_files, op10_toxicity)
+}
+ORACLES: dict[str, str] = {
+    "op1_voronoi_knn_join": """
+        WITH v AS (SELECT vec_id, [floor(64 * x::DOUBLE) FOR x IN embedding] AS e FROM embeddings
+                   WHERE embedding IS NOT NULL AND len([x FOR x IN embedding IF x IS NULL OR NOT isfinite(x)]) = 0),
+        s AS (SELECT q.vec_id AS query_id, c.vec_id, list_dot_product(q.e, c.e)::BIGINT AS score
+              FROM v q JOIN v c ON q.vec_id % 20 = 0 AND q.vec_id <> c.vec_id),
+        r AS (SELECT *, row_number() OVER (PARTITION BY query_id ORDER BY score DESC, vec_id)::INTEGER AS rank FROM s)
+        SELECT query_id, rank, vec_id, score FROM r WHERE rank <= 20""",
+    "op2_warc_transactions": """
+        WITH p AS (SELECT page_id, coalesce(html, '') AS h FROM pages),
+        d AS (SELECT page_id, strlen(h)::BIGINT AS payload_bytes, sha256(h) AS payload_digest FROM p),
+        f AS (SELECT *, min(page_id) OVER (PARTITION BY payload_digest) AS first FROM d)
+        SELECT page_id, payload_bytes, payload_digest,
+               CASE WHEN payload_bytes >= 100 AND page_id <> first THEN 'revisit' ELSE 'response' END AS record_type,
+               CASE WHEN payload_bytes >= 100 AND page_id <> first THEN first END AS refers_to
+        FROM f""",
 }
-ORACLES: dict[str, str] = {}
