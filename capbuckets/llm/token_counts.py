@@ -15,6 +15,7 @@ that the library gives for that prefix.
 from __future__ import annotations
 
 import json
+import os
 import re
 from collections.abc import Iterator
 
@@ -218,6 +219,17 @@ class PrefixCounter:
         return b"".join(out)
 
 
+_COUNTERS: dict[str, PrefixCounter] = {}
+
+
+def counter_for(path: str) -> PrefixCounter:
+    """The counter of this worker process: its tables live on from task to task."""
+    os.environ["TOKENIZERS_PARALLELISM"] = "false"  # a task has one core
+    if path not in _COUNTERS:
+        _COUNTERS[path] = PrefixCounter(path)
+    return _COUNTERS[path]
+
+
 def counts_from_steps(steps: bytes) -> np.ndarray:
     """Token counts of the prefixes of 0, 1, 2, ... characters."""
     return np.concatenate([[0], np.cumsum(np.frombuffer(steps, np.int8), dtype=np.int64)])
@@ -241,7 +253,7 @@ def prefix_token_counts(docs: DataFrame, tokenizer: str, text: str = "text", kee
     schema = ", ".join([*[f"k{i} {f.dataType.simpleString()}" for i, f in enumerate(fields)], "n_bytes bigint", "n_tokens bigint", *["prefix_steps binary"] * store])
 
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        counter = PrefixCounter(tokenizer)
+        counter = counter_for(tokenizer)
         for batch in batches:
             for at in range(0, batch.num_rows, 500):
                 part = batch.slice(at, 500)

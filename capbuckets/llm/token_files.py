@@ -11,6 +11,7 @@ and read by its binary-file source, so they can lie in any store that Spark read
 
 from __future__ import annotations
 
+import os
 import re
 import struct
 import zlib
@@ -28,8 +29,8 @@ from . import storage
 MARK = b"DACTOK1\0"
 HEADER = struct.Struct("<8sQQQQB")
 STRIDE = 512
-SEGMENT_CHARS = 2 << 20
-CACHE_WORDS = 500_000
+SEGMENT_CHARS = 1 << 20
+CACHE_WORDS = 300_000
 #: Texts of these characters alone are cut by array operations as the library cuts them; all others go through the library.
 PLAIN = re.compile("[\\t\\n\\r\\x20-&(-;=-~\\u00a1-\\u012f\\u0131-\\u017f]*")
 
@@ -120,6 +121,17 @@ def segments(data: bytes) -> Iterator[tuple[int, int, list[int | None], np.ndarr
 # ---------------------------------------------------------------- encoding
 
 
+_ENCODERS: dict[str, WordEncoder] = {}
+
+
+def encoder_for(path: str) -> WordEncoder:
+    """The encoder of this worker process: its cache of words lives on from task to task."""
+    os.environ["TOKENIZERS_PARALLELISM"] = "false"  # a task has one core
+    if path not in _ENCODERS:
+        _ENCODERS[path] = WordEncoder(path)
+    return _ENCODERS[path]
+
+
 class WordEncoder:
     """Ids of whole texts, as the library gives them: distinct words are encoded by the library, once each while cached.
 
@@ -143,6 +155,9 @@ class WordEncoder:
         digit = np.array([chr(p).isnumeric() for p in point])
         self.kind = np.where(letter, 1, np.where(digit, 2, 3)).astype(np.uint8)
         self.kind[[9, 10, 11, 12, 13, 32]] = 0
+        vocab, suffix = self.library.get_vocab(), spec["model"].get("end_of_word_suffix") or ""
+        self.ends_word = np.zeros(max(vocab.values()) + 1, bool)
+        self.ends_word[[i for t, i in vocab.items() if suffix and t.endswith(suffix)]] = True
         rng = np.random.default_rng(7)
         self.mark = rng.integers(1, 1 << 63, 0x180, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
         self.reset()
@@ -156,13 +171,20 @@ class WordEncoder:
             self.reset()
         if len(words) + 1 >= len(self.starts):
             self.starts = np.zeros(2 * len(words) + 2, np.int64)
-        for word, code in zip(words, self.library.encode_batch(words, add_special_tokens=False), strict=True):
-            ids, n = code.ids, len(self.place)
+        for at in range(0, len(words), 20_000):
+            some = words[at : at + 20_000]
+            ids = np.array(self.library.encode(" ".join(some), add_special_tokens=False).ids, np.uint32)
+            ends = np.flatnonzero(self.ends_word[ids]) + 1  # a word's last token, and no other, ends a word
+            if len(ends) != len(some):
+                codes = [c.ids for c in self.library.encode_batch(some, add_special_tokens=False)]
+                ids, ends = np.array([i for c in codes for i in c], np.uint32), np.cumsum([len(c) for c in codes])
             if self.used + len(ids) > len(self.flat):
                 self.flat = np.concatenate([self.flat, np.zeros(len(self.flat) + len(ids), np.uint32)])
             self.flat[self.used : self.used + len(ids)] = ids
+            n = len(self.place)
+            self.starts[n + 1 : n + 1 + len(some)] = self.used + ends
+            self.place.update(zip(some, range(n, n + len(some)), strict=True))
             self.used += len(ids)
-            self.place[word], self.starts[n + 1] = n, self.used
 
     def encode(self, texts: list[str]) -> tuple[np.ndarray, np.ndarray]:
         """(ids of all texts in a row, number of ids of each)."""
@@ -227,7 +249,7 @@ def write_token_files(docs: DataFrame, path: str, tokenizer: str, end_id: int, k
     def pack(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         from pyspark import TaskContext
 
-        encoder, part, sequence = WordEncoder(tokenizer), TaskContext.get().partitionId(), 0
+        encoder, part, sequence = encoder_for(tokenizer), TaskContext.get().partitionId(), 0
 
         def segment(keys, texts):
             ids, sizes = encoder.encode(texts)
