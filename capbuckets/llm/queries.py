@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import decontamination, jaccard_join, knn_join, line_spread, mixing, token_counts, token_files, toxicity, warc
+from . import decontamination, jaccard_join, knn_join, line_spread, mixing, repeated_strings, token_counts, token_files, toxicity, warc
 from .storage import shared_path, table
 
 
@@ -48,6 +48,11 @@ def op5_token_files(spark: SparkSession, sf_dir: str) -> DataFrame:
     return token_files.read_token_files(spark, path)
 
 
+def op6_repeated_strings(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Documents without the strings of 400 bytes that start in two places."""
+    return repeated_strings.repeated_spans(table(spark, sf_dir, "documents"))
+
+
 #: Levels and target weights of the mix: domains by the last character of the source, then language, then source.
 MIX_WEIGHTS = {"domain": {"domain0": 4.0, "domain1": 3.0, "domain2": 2.0, "domain3": 1.0}, "lang": {"en": 5.0, "de": 2.0, "fr": 2.0, "es": 1.0}}
 MIX_SEED = "mix0"
@@ -87,7 +92,7 @@ def op10_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
-    f.__name__: f for f in (op1_voronoi_knn_join, op2_warc_transactions, op3_prefix_token_counts, op4_jaccard_join, op5_token_files, op7_budget_mix, op8_line_spread, op9_benchmark_windows, op10_toxicity)
+    f.__name__: f for f in (op1_voronoi_knn_join, op2_warc_transactions, op3_prefix_token_counts, op4_jaccard_join, op5_token_files, op6_repeated_strings, op7_budget_mix, op8_line_spread, op9_benchmark_windows, op10_toxicity)
 }
 ORACLES: dict[str, str] = {
     "op1_voronoi_knn_join": """
