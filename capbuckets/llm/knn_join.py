@@ -71,12 +71,13 @@ def voronoi_top_k(rows: DataFrame, key: str, vector: str, is_query: Column, k: i
     own = rows.select(F.col(key).cast("bigint").alias("id"), F.col(vector).alias("v"), is_query.alias("q")).where(F.col("v").isNotNull() & F.col("id").isNotNull())
     own = storage.materialize(own.withColumn("q", F.coalesce("q", F.lit(False))), "vectors")
     square = F.aggregate("v", F.lit(0.0), lambda a, x: a + x.cast("double") * x.cast("double"))
-    facts = own.agg(F.count(F.lit(1)).alias("n"), F.max(F.size("v")).alias("dim"), F.max(square).alias("top")).first()
+    facts = own.agg(F.count(F.lit(1)).alias("n"), F.max(F.size("v")).alias("dim"), F.max(square).alias("top"), F.max(F.aggregate("v", F.lit(0).cast("bigint"), lambda a, x: F.greatest(a, F.abs(x)))).alias("widest"), F.count_if("q").alias("asked")).first()
     out_schema = "query_id bigint, rank int, vec_id bigint, score bigint"
     if not facts.n or not facts.dim:
         return spark.createDataFrame([], out_schema)
     dim, top = int(facts.dim), float(facts.top)
-    pivots = min(MAX_PIVOTS, max(4, int(facts.n**0.5 / 4)))
+    small = next(t for t in (np.int8, np.int16, np.int32, np.int64) if facts.widest <= np.iinfo(t).max)
+    pivots = min(MAX_PIVOTS, max(4, facts.asked * 2 // BLOCK))  # a query cell should fill half a block
     sample = own.select("id", "v").orderBy(F.xxhash64("id"), "id").limit(pivots).collect()
     centre = np.zeros((len(sample), dim), np.int64)
     for i, r in enumerate(sample):
@@ -91,7 +92,7 @@ def voronoi_top_k(rows: DataFrame, key: str, vector: str, is_query: Column, k: i
                 part = batch.slice(at, 4096)
                 x = _matrix(part.column("v"), dim)
                 lifted, q = _lifted(x, top), np.asarray(part.column("q").to_pylist(), bool)
-                data = pa.array([r.tobytes() for r in x], pa.binary())
+                data = pa.array([r.tobytes() for r in x.astype(small)], pa.binary())
                 for chosen, kind in ((np.ones(len(x), bool), False), (q, True)):
                     if not chosen.any():
                         continue
@@ -146,13 +147,13 @@ def voronoi_top_k(rows: DataFrame, key: str, vector: str, is_query: Column, k: i
                 name = (batch.column("q_cell")[i].as_py(), batch.column("q_part")[i].as_py())
                 if name != current:
                     yield from told()
-                    qid, q = _unpacked(batch.column("queries")[i], dim)
+                    qid, q = _unpacked(batch.column("queries")[i], dim, small)
                     score, ids = np.full((len(qid), k), np.iinfo(np.int64).min), np.full((len(qid), k), -1, np.int64)
                     current, far = name, (q.astype(float) ** 2).sum(1) + top
                 least = batch.column("least")[i].as_py()
                 if (ids[:, -1] >= 0).all() and (least > np.sqrt(np.maximum(far - 2.0 * score[:, -1], 0)) + slack).all():
                     continue
-                xid, x = _unpacked(batch.column("rows")[i], dim)
+                xid, x = _unpacked(batch.column("rows")[i], dim, small)
                 for at in range(0, len(xid), BLOCK):
                     some, its = x[at : at + BLOCK], xid[at : at + BLOCK]
                     s = _products(q, some)
@@ -179,9 +180,9 @@ def _grouped(reach: list[tuple]) -> list[tuple]:
     return [(*k, v) for k, v in sorted(out.items())]
 
 
-def _unpacked(value: pa.Scalar, dim: int) -> tuple[np.ndarray, np.ndarray]:
+def _unpacked(value: pa.Scalar, dim: int, kind: type) -> tuple[np.ndarray, np.ndarray]:
     rows = value.values
     ids = rows.field(0).to_numpy(zero_copy_only=False).astype(np.int64)
-    x = np.frombuffer(b"".join(rows.field(1).to_pylist()), np.int64).reshape(len(ids), dim)
+    x = np.frombuffer(b"".join(rows.field(1).to_pylist()), kind).reshape(len(ids), dim).astype(np.int64)
     order = np.argsort(ids, kind="stable")
     return ids[order], x[order]
