@@ -29,10 +29,10 @@ def with_total(hist: DataFrame) -> DataFrame:
     return hist.crossJoin(F.broadcast(hist.agg(F.coalesce(F.sum("cnt"), F.lit(0)).cast("bigint").alias("n"))))
 
 
-def linear_caps(hist: DataFrame, a: int, b_num: int, b_den: int) -> DataFrame:
-    """cap = min(1, a * cnt / n + b_num / b_den)."""
-    den = F.col("n") * b_den
-    return with_total(hist).select("v", "cnt", F.least(F.col("cnt") * (a * b_den) + F.col("n") * b_num, den).alias("cap_num"), den.alias("cap_den"))
+def linear_caps(hist: DataFrame, a: int, b_num: int, b_den: int, a_den: int = 1) -> DataFrame:
+    """cap = min(1, a / a_den * cnt / n + b_num / b_den)."""
+    den = F.col("n") * (b_den * a_den)
+    return with_total(hist).select("v", "cnt", F.least(F.col("cnt") * (a * b_den) + F.col("n") * (b_num * a_den), den).alias("cap_num"), den.alias("cap_den"))
 
 
 def uniform_caps(hist: DataFrame, ell: int) -> DataFrame:

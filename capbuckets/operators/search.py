@@ -84,9 +84,15 @@ def valid_intervals(caps: DataFrame, low: int, high: int, n: int) -> DataFrame:
     return out.select("s1", "s2", "b1_0", "b2_0", "d1", "d2", F.greatest("lo", lo_fill).alias("lo"), F.least("hi", hi_fill).alias("hi"))
 
 
-def plan_search(caps: DataFrame, m_max: int = 50, low: int = 1, n: int | None = None) -> DataFrame:
+def search_range(caps: DataFrame) -> tuple[int, int]:
+    """(rows, smallest useful size) of a policy: one row from the caps table."""
+    r = caps.agg(F.coalesce(F.sum("cnt"), F.lit(0)).cast("bigint").alias("n"), F.coalesce(F.min(ceil_div(F.col("cap_den"), F.col("cap_num"))), F.lit(1)).cast("bigint").alias("low")).first()
+    return r.n, r.low
+
+
+def plan_search(caps: DataFrame, m_max: int = 50) -> DataFrame:
     """One row (s1, b1, s2, b2, loss) of the optimum, or none; ties go to the smaller sizes."""
-    n = caps.agg(F.sum("cnt")).first()[0] or 0 if n is None else n
+    n, low = search_range(caps)
     v = valid_intervals(caps, low, m_max, n).where("lo <= hi").select("s1", (F.col("b1_0") - F.col("lo") * F.col("d1")).alias("b1"), "s2", (F.col("b2_0") + F.col("lo") * F.col("d2")).alias("b2"))
     row = F.struct("loss", "s1", "s2", "b1", "b2")
     best = v.withColumn("loss", loss_of(F.col("s1"), F.col("b1"), F.col("s2"), F.col("b2"))).agg(F.min(row).alias("r")).where("r IS NOT NULL")
