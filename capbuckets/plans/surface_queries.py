@@ -101,12 +101,13 @@ def null_safe_ops(spark, sf):
 # ---------------------------------------------------------------- joins
 
 
-_CO = F.col("c_custkey") == F.col("o_custkey")
+def _co():
+    return F.col("c_custkey") == F.col("o_custkey")
 
 
 @query("SELECT o_orderkey, c_name FROM orders JOIN customer ON o_custkey = c_custkey")
 def join_inner_hash(spark, sf):
-    return table(spark, sf, "orders").join(table(spark, sf, "customer"), _CO).select("o_orderkey", "c_name")
+    return table(spark, sf, "orders").join(table(spark, sf, "customer"), _co()).select("o_orderkey", "c_name")
 
 
 @query("SELECT c_custkey, n_name FROM customer JOIN nation ON c_nationkey = n_nationkey")
@@ -134,7 +135,7 @@ def join_shuffle_hash(spark, sf):
 
 def _outer(spark, sf, how):
     o = table(spark, sf, "orders").where("o_orderkey % 7 = 0")
-    return table(spark, sf, "customer").where("c_custkey % 2 = 0").join(o, _CO, how).select("c_custkey", "o_orderkey")
+    return table(spark, sf, "customer").where("c_custkey % 2 = 0").join(o, _co(), how).select("c_custkey", "o_orderkey")
 
 
 _OUTER = "SELECT c_custkey, o_orderkey FROM (SELECT * FROM customer WHERE c_custkey % 2 = 0) {} JOIN (SELECT * FROM orders WHERE o_orderkey % 7 = 0) ON c_custkey = o_custkey"
@@ -157,12 +158,12 @@ def join_full_outer(spark, sf):
 
 @query("SELECT c_custkey FROM customer WHERE EXISTS (SELECT 1 FROM orders WHERE o_custkey = c_custkey)")
 def join_left_semi(spark, sf):
-    return table(spark, sf, "customer").join(table(spark, sf, "orders"), _CO, "left_semi").select("c_custkey")
+    return table(spark, sf, "customer").join(table(spark, sf, "orders"), _co(), "left_semi").select("c_custkey")
 
 
 @query("SELECT c_custkey FROM customer WHERE NOT EXISTS (SELECT 1 FROM orders WHERE o_custkey = c_custkey)")
 def join_left_anti(spark, sf):
-    return table(spark, sf, "customer").join(table(spark, sf, "orders"), _CO, "left_anti").select("c_custkey")
+    return table(spark, sf, "customer").join(table(spark, sf, "orders"), _co(), "left_anti").select("c_custkey")
 
 
 @query("SELECT p_partkey, b AS band FROM part, (VALUES (0, 10), (10, 25), (25, 99)) v(b, e) WHERE p_size > b AND p_size <= e")
