@@ -21,6 +21,8 @@ from . import storage
 
 #: Most pivots (they, and summaries of as many cells, are all that is collected), rings a cell, rows of a block.
 MAX_PIVOTS, RINGS, BLOCK = 256, 8, 2048
+#: Score of no partner: under every score, and safe to negate.
+NONE = -(1 << 62)
 
 
 def quantized(vector: Column | str, scale: int = 64) -> Column:
@@ -148,7 +150,7 @@ def voronoi_top_k(rows: DataFrame, key: str, vector: str, is_query: Column, k: i
                 if name != current:
                     yield from told()
                     qid, q = _unpacked(batch.column("queries")[i], dim, small)
-                    score, ids = np.full((len(qid), k), np.iinfo(np.int64).min), np.full((len(qid), k), -1, np.int64)
+                    score, ids = np.full((len(qid), k), NONE), np.full((len(qid), k), -1, np.int64)
                     current, far = name, (q.astype(float) ** 2).sum(1) + top
                 least = batch.column("least")[i].as_py()
                 if (ids[:, -1] >= 0).all() and (least > np.sqrt(np.maximum(far - 2.0 * score[:, -1], 0)) + slack).all():
@@ -158,13 +160,13 @@ def voronoi_top_k(rows: DataFrame, key: str, vector: str, is_query: Column, k: i
                     some, its = x[at : at + BLOCK], xid[at : at + BLOCK]
                     s = _products(q, some)
                     ours = np.where(its[None, :] == qid[:, None], -1, its[None, :])
-                    s = np.where(ours < 0, np.iinfo(np.int64).min, s)
+                    s = np.where(ours < 0, NONE, s)
                     if s.shape[1] > k:  # ties to the smaller id: ids ascend within a block
                         kth = -np.partition(-s, k - 1, axis=1)[:, k - 1]
                         keep = np.flatnonzero((s >= np.maximum(kth, score[:, -1])[:, None]).any(0))
                         s, ours = s[:, keep], ours[:, keep]
                     s, ours = np.concatenate([score, s], 1), np.concatenate([ids, ours], 1)
-                    order = np.lexsort((np.where(ours < 0, np.iinfo(np.int64).max, ours), -s.astype(np.float64)), axis=1)[:, :k] if np.abs(s[s > np.iinfo(np.int64).min]).max(initial=0) < 2**52 else np.array([sorted(range(s.shape[1]), key=lambda j, r=r: (-int(s[r, j]), int(ours[r, j]) if ours[r, j] >= 0 else 2**63))[:k] for r in range(len(s))])
+                    order = np.lexsort((np.where(ours < 0, np.iinfo(np.int64).max, ours), -s.astype(np.float64)), axis=1)[:, :k] if np.abs(s[s > NONE]).max(initial=0) < 2**52 else np.array([sorted(range(s.shape[1]), key=lambda j, r=r: (-int(s[r, j]), int(ours[r, j]) if ours[r, j] >= 0 else 2**63))[:k] for r in range(len(s))])
                     score, ids = np.take_along_axis(s, order, 1), np.take_along_axis(ours, order, 1)
         yield from told()
 
