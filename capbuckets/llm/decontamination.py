@@ -103,5 +103,6 @@ def contaminated(docs: DataFrame, benchmark: DataFrame, key: str = "doc_id", tex
 
 def clean_documents(docs: DataFrame, benchmark: DataFrame, key: str = "doc_id", text: str = "text") -> DataFrame:
     """The rows of ``docs`` that hold no item."""
-    held = contaminated(docs, benchmark, key, text).select(F.col(key).alias("_id")).distinct()
-    return docs.join(held, docs[key].eqNullSafe(F.col("_id")), "left_anti")
+    (own,) = storage.fresh(docs, "_id")
+    held = contaminated(docs, benchmark, key, text).select(F.col(key).alias(own)).distinct()
+    return docs.join(held, F.col(key).cast("bigint").eqNullSafe(F.col(own)), "left_anti")

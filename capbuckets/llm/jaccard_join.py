@@ -165,6 +165,7 @@ def jaccard_join(docs: DataFrame, key: str = "doc_id", text: str = "text", num:
 
 def one_of_each_class(docs: DataFrame, key: str = "doc_id", text: str = "text") -> DataFrame:
     """The rows of ``docs`` that stand for their class: those of the smallest key; repeated rows of that key all stay."""
-    joined = jaccard_join(docs, key, text).select(F.col(key).alias("_id"), F.col("class_id").alias("_class")).distinct()
-    stay = joined.where(F.col("_id").eqNullSafe(F.col("_class"))).select("_id").distinct()
-    return docs.join(stay, docs[key].eqNullSafe(F.col("_id")), "left_semi")
+    (own,) = storage.fresh(docs, "_id")
+    joined = jaccard_join(docs, key, text)
+    stay = joined.where(F.col(key).eqNullSafe(F.col("class_id"))).select(F.col(key).alias(own)).distinct()
+    return docs.join(stay, F.col(key).cast("bigint").eqNullSafe(F.col(own)), "left_semi")

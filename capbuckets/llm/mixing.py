@@ -71,9 +71,10 @@ def mix(docs: DataFrame, levels: dict[str, Column], weights: dict[str, dict[str,
     ``levels`` names the tree's levels from the root down, null values are a child of their own; ``weights`` has weights by
     level and value, 1 where none is named; ``budget`` is a column over ``total``, the tokens of all rows. A leaf's last
     epoch ends before the first key that would pass its quota; rows of one key are taken together. An empty table gives
-    an empty mix. The leaf table is joined by whatever way its written size allows.
+    an empty mix; a column ``_epoch`` of the input is replaced. The leaf table is joined by whatever way its written size allows.
     """
-    own = [f"_level{i}" for i in range(len(levels))]
+    own = storage.fresh(docs, *[f"_level{i}" for i in range(len(levels))])
+    times, whole, rest, shard, last_h = storage.fresh(docs, "_times", "_whole", "_rest", "_shard", "_last")
     by_own = {o: weights.get(name, {}) for o, name in zip(own, levels, strict=True)}
     placed = docs.select("*", *[F.coalesce(c, F.lit("(none)")).alias(o) for o, c in zip(own, levels.values(), strict=True)])
     light = storage.materialize(placed.select(F.col(key).alias("k"), *own, token_count(F.col(text)).alias("tokens")), "mix-rows")
@@ -86,8 +87,9 @@ def mix(docs: DataFrame, levels: dict[str, Column], weights: dict[str, dict[str,
     edge = storage.materialize(sums.where((F.col("before") <= F.col("rest")) & (F.col("before") + F.col("n") > F.col("rest"))).select(*own, "shard", "before"), "mix-edges")
     inside = ordered.join(edge, [*own, "shard"]).withColumn("sum", F.col("before") + F.sum("tokens").over(Window.partitionBy(*own, "shard").orderBy("h")))
     last = inside.where("sum <= rest").groupBy(*own).agg(F.max("h").alias("last"))
-    cuts = storage.materialize(plan.join(edge, own, "left").join(last, own, "left").select(*own, "whole", "rest", "shard", "last"), "mix-cuts")
-    h = epoch_order(seed, F.col("whole"), F.col(key))
-    taken = (F.col("rest") > 0) & (F.substring(h, 1, SHARD_DIGITS) < F.col("shard")) | F.coalesce(h <= F.col("last"), F.lit(False))
-    times = placed.join(cuts, own).withColumn("_times", F.col("whole") + taken.cast("int")).where("_times > 0")
-    return times.select(*docs.columns, F.explode(F.sequence(F.lit(0), F.col("_times").cast("int") - 1)).alias("_epoch"))
+    cuts = plan.join(edge, own, "left").join(last, own, "left").select(*own, F.col("whole").alias(whole), F.col("rest").alias(rest), F.col("shard").alias(shard), F.col("last").alias(last_h))
+    cuts = storage.materialize(cuts, "mix-cuts")
+    h = epoch_order(seed, F.col(whole), F.col(key))
+    taken = F.coalesce((F.col(rest) > 0) & (F.substring(h, 1, SHARD_DIGITS) < F.col(shard)), F.lit(False)) | F.coalesce(h <= F.col(last_h), F.lit(False))
+    chosen = placed.join(cuts, own).withColumn(times, F.col(whole) + taken.cast("int")).where(F.col(times) > 0)
+    return chosen.select(*[c for c in docs.columns if c != "_epoch"], F.explode(F.sequence(F.lit(0), F.col(times).cast("int") - 1)).alias("_epoch"))

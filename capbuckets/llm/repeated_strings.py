@@ -168,7 +168,7 @@ def repeated_spans(docs: DataFrame, length: int = LENGTH, key: str = "doc_id", t
         raise ValueError(f"strings must have {2 * v} bytes at least")
     depth = length - v + 1
     rows = docs.select(F.col(key).cast("bigint").alias("id"), F.coalesce(F.col(text), F.lit("")).cast("binary").alias("t")).withColumn("k", F.unhex(F.substring(F.sha2("t", 256), 1, 32)))
-    total = storage.plan_bytes(docs)
+    total = storage.plan_bytes(docs, text)
     blocks = max(1, -(-2 * total // BLOCK_BYTES))
     buckets = max(1, min(4096, blocks))
     parts = storage.shuffle_partitions(spark, total, 8 << 20)

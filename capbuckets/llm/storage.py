@@ -6,6 +6,7 @@ import tempfile
 import uuid
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
 _OWN_ROOTS: dict[str, str] = {}
 
@@ -44,12 +45,27 @@ def materialize(df: DataFrame, name: str) -> DataFrame:
     return spark.read.schema(df.schema).parquet(path)
 
 
-def plan_bytes(df: DataFrame) -> int:
-    """The optimizer's size estimate of ``df``; for a scan these are the bytes of its files."""
-    return int(df._jdf.queryExecution().optimizedPlan().stats().sizeInBytes())
+def fresh(df: DataFrame, *names: str) -> list[str]:
+    """Names like ``names`` that no column of ``df`` has, whatever the case of its letters."""
+    taken = {c.lower() for c in df.columns}
+    out = []
+    for name in names:
+        while name.lower() in taken:
+            name = f"_{name}"
+        taken.add(name.lower())
+        out.append(name)
+    return out
+
+
+def plan_bytes(df: DataFrame, text: str) -> int:
+    """Bytes of ``df``: the optimizer's figure, for a scan that of its files; where it has none, the sum of the texts."""
+    known = int(df._jdf.queryExecution().optimizedPlan().stats().sizeInBytes())
+    if known < 1 << 60:
+        return known
+    return df.agg(F.coalesce(F.sum(F.octet_length(text)), F.lit(0)).alias("n")).first().n
 
 
 def shuffle_partitions(spark: SparkSession, total_bytes: int, target: int = 16 << 20, least: int | None = None) -> int:
     """Partitions for ``total_bytes``, so that one holds about ``target`` bytes; never fewer than the session's own number."""
     own = int(spark.conf.get("spark.sql.shuffle.partitions")) if least is None else least
-    return max(1, own, -(-min(total_bytes, 1 << 60) // target))
+    return min(1 << 20, max(1, own, -(-total_bytes // target)))

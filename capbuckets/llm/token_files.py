@@ -243,7 +243,7 @@ def write_token_files(docs: DataFrame, path: str, tokenizer: str, end_id: int, k
     """
     spark = docs.sparkSession
     rows = docs.select(F.col(key).cast("bigint").alias("k"), F.coalesce(F.col(text), F.lit("")).alias("t"))
-    parts = storage.shuffle_partitions(spark, storage.plan_bytes(docs))
+    parts = storage.shuffle_partitions(spark, storage.plan_bytes(docs, text))
     dealt = rows.withColumn("h", F.xxhash64("t")).repartitionByRange(parts, F.asc_nulls_first("k"), "h").sortWithinPartitions(F.asc_nulls_first("k"), "h", "t")
 
     def pack(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
