@@ -47,10 +47,11 @@ def remove_spread_lines(docs: DataFrame, key: str = "doc_id", text: str = "text"
     found = storage.materialize(lines.join(heavy, ["a", "b"], "left_semi"), "frequent-occurrences")
     spread = storage.materialize(boilerplate(found, min_sites), "boilerplate")
     gone = found.join(spread, ["a", "b"], "left_semi").groupBy("id", "th").agg(F.collect_set("at").alias("gone"))
-    gone = storage.materialize(gone, "removed-lines").withColumnsRenamed({"id": "_id", "th": "_th", "gone": "_gone"})
+    own, th_of, lost, h = storage.fresh(docs, "_id", "_th", "_gone", "_h")
+    gone = gone.withColumnsRenamed({"id": own, "th": th_of, "gone": lost}).hint("merge")  # grows with the corpus: never broadcast
     th = F.xxhash64(F.coalesce(F.col(text), F.lit("")))
-    joined = docs.withColumn("_h", th).join(gone, F.col(key).cast("bigint").eqNullSafe(F.col("_id")) & (F.col("_h") == F.col("_th")), "left")
+    joined = docs.withColumn(h, th).join(gone, F.col(key).cast("bigint").eqNullSafe(F.col(own)) & (F.col(h) == F.col(th_of)), "left")
     parts = F.split(F.coalesce(F.col(text), F.lit("")), "\n")
-    kept = F.array_join(F.filter(parts, lambda _, i: ~F.array_contains(F.col("_gone"), i)), "\n")
-    out = {text: F.when(F.col("_gone").isNull(), F.col(text)).otherwise(kept), "n_lines": F.size(parts).cast("bigint"), "n_removed": F.coalesce(F.size("_gone"), F.lit(0)).cast("bigint")}
+    kept = F.array_join(F.filter(parts, lambda _, i: ~F.array_contains(F.col(lost), i)), "\n")
+    out = {text: F.when(F.col(lost).isNull(), F.col(text)).otherwise(kept), "n_lines": F.size(parts).cast("bigint"), "n_removed": F.when(F.col(lost).isNull(), 0).otherwise(F.size(lost)).cast("bigint")}
     return joined.select(*[c for c in docs.columns if c not in out], *[v.alias(c) for c, v in out.items()])
