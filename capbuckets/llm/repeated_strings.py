@@ -28,8 +28,8 @@ from pyspark.sql import functions as F
 from . import storage
 
 LENGTH = 400
-#: Bytes of text in a block, and blocks that share one bucket's arrays, on average.
-BLOCK_BYTES = 8 << 20
+#: Bytes of text in a block on average (up to four times as much for very large corpora), and of a bucket's arrays.
+BLOCK_BYTES, BUCKET_BYTES = 8 << 20, 64 << 20
 _U = np.uint64
 _VALUE = np.random.default_rng(31).integers(1, 1 << 63, 256, dtype=np.uint64) * _U(2) + _U(1)
 _BASE = 0x9E3779B97F4A7C15
@@ -169,8 +169,9 @@ def repeated_spans(docs: DataFrame, length: int = LENGTH, key: str = "doc_id", t
     depth = length - v + 1
     rows = docs.select(F.col(key).cast("bigint").alias("id"), F.coalesce(F.col(text), F.lit("")).cast("binary").alias("t")).withColumn("k", F.unhex(F.substring(F.sha2("t", 256), 1, 32)))
     total = storage.plan_bytes(docs, text)
-    blocks = max(1, -(-2 * total // BLOCK_BYTES))
-    buckets = max(1, min(4096, blocks))
+    texts_bytes = 2 * total  # files are compressed
+    blocks = max(1, -(-texts_bytes // min(4 * BLOCK_BYTES, max(BLOCK_BYTES, texts_bytes >> 16))))
+    buckets = max(min(64, blocks), total // BUCKET_BYTES)
     parts = storage.shuffle_partitions(spark, total, 8 << 20)
     # equal texts are one entry; blocks are given by the hash of the text, so both rounds see the same ones
     name = f"texts_{uuid.uuid4().hex}"
