@@ -65,13 +65,13 @@ def leaf_budgets(leaves: DataFrame, levels: list[str], weights: dict[str, dict[s
     return tree.withColumn("root", F.lit(1)).join(known, parent).select(*levels, "tokens", F.floor(F.col("budget") + 1e-6).cast("bigint").alias("quota"))
 
 
-def mix(docs: DataFrame, levels: dict[str, Column], weights: dict[str, dict[str, float]], budget: Column, seed: str, max_epochs: int = 1, key: str = "doc_id", text: str = "text") -> DataFrame:
-    """Rows of ``docs`` that the mix takes, with ``_epoch`` (0, 1, ...): a row once for each epoch that takes it.
+def mix(docs: DataFrame, levels: dict[str, Column], weights: dict[str, dict[str, float]], budget: Column, seed: str, max_epochs: int = 1, key: str = "doc_id", text: str = "text", epoch: str = "_epoch") -> DataFrame:
+    """Rows of ``docs`` that the mix takes, with ``epoch`` (0, 1, ...): a row once for each epoch that takes it.
 
     ``levels`` names the tree's levels from the root down, null values are a child of their own; ``weights`` has weights by
     level and value, 1 where none is named; ``budget`` is a column over ``total``, the tokens of all rows. A leaf's last
     epoch ends before the first key that would pass its quota; rows of one key are taken together. An empty table gives
-    an empty mix; a column ``_epoch`` of the input is replaced. The leaf table is joined by whatever way its written size allows.
+    an empty mix; a column of the input by the name of ``epoch`` is replaced. The leaf table is joined by whatever way its written size allows.
     """
     own = storage.fresh(docs, *[f"_level{i}" for i in range(len(levels))])
     times, whole, rest, shard, last_h = storage.fresh(docs, "_times", "_whole", "_rest", "_shard", "_last")
@@ -92,4 +92,4 @@ def mix(docs: DataFrame, levels: dict[str, Column], weights: dict[str, dict[str,
     h = epoch_order(seed, F.col(whole), F.col(key))
     taken = F.coalesce((F.col(rest) > 0) & (F.substring(h, 1, SHARD_DIGITS) < F.col(shard)), F.lit(False)) | F.coalesce(h <= F.col(last_h), F.lit(False))
     chosen = placed.join(cuts, own).withColumn(times, F.col(whole) + taken.cast("int")).where(F.col(times) > 0)
-    return chosen.select(*[c for c in docs.columns if c != "_epoch"], F.explode(F.sequence(F.lit(0), F.col(times).cast("int") - 1)).alias("_epoch"))
+    return chosen.select(*[c for c in docs.columns if c != epoch], F.explode(F.sequence(F.lit(0), F.col(times).cast("int") - 1)).alias(epoch))

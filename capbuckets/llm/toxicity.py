@@ -267,14 +267,14 @@ def _featurizer(lexicon: dict[str, float], keep: list[str], model: Model | None
     return run
 
 
-def score(docs: DataFrame, model: Model, text: str = "text", keep: list[str] | None = None, threshold: float = 0.5) -> DataFrame:
-    """``keep`` (all columns, if None) of ``docs`` with ``score`` (0 to 1) and ``predicted`` (1 from ``threshold`` on).
+def score(docs: DataFrame, model: Model, text: str = "text", keep: list[str] | None = None, threshold: float = 0.5, names: tuple[str, str] = ("score", "predicted")) -> DataFrame:
+    """``keep`` (all columns, if None) of ``docs`` with ``score`` (0 to 1) and ``predicted`` (1 from ``threshold`` on), or ``names``.
 
     A null text counts as empty; every row gets a score. Columns that clash with the new ones are replaced.
     """
-    keep = [c for c in (docs.columns if keep is None else keep) if c not in ("score", "predicted")]
+    keep = [c for c in (docs.columns if keep is None else keep) if c not in names]
     inner = docs.select(*[F.col(c).alias(f"c{i}") for i, c in enumerate(keep)], F.coalesce(F.col(text), F.lit("")).alias("t"))
     names = inner.columns[:-1]
     schema = ", ".join([*[f"{f.name} {f.dataType.simpleString()}" for f in inner.schema.fields[:-1]], "x double"])
     out = inner.mapInArrow(_featurizer(model.lexicon, names, model), schema)
-    return out.select(*[F.col(n).alias(c) for n, c in zip(names, keep, strict=True)], F.col("x").alias("score"), (F.col("x") >= threshold).cast("int").alias("predicted"))
+    return out.select(*[F.col(n).alias(c) for n, c in zip(names, keep, strict=True)], F.col("x").alias(names[0]), (F.col("x") >= threshold).cast("int").alias(names[1]))

@@ -15,7 +15,8 @@ from capbuckets.llm import decontamination, jaccard_join, mixing, queries, stora
 def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Rows whose toxicity score is under one half; the model is fitted on the labelled rows among ``docs``."""
     model = toxicity.fit(docs, storage.table(spark, sf_dir, "labels"))
-    return toxicity.score(docs, model).where("predicted = 0").select(*docs.columns)
+    names = tuple(storage.fresh(docs, "_score", "_predicted"))
+    return toxicity.score(docs, model, names=names).where(F.col(names[1]) == 0).select(*docs.columns)
 
 
 def drop_near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -30,7 +31,7 @@ def drop_benchmark(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFra
 
 def mix_sources(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Four fifths of the tokens, mixed to the target weights, no document twice."""
-    return mixing.mix(docs, queries.mix_levels(), queries.MIX_WEIGHTS, F.expr("total * 4 div 5"), queries.MIX_SEED, max_epochs=1).select(*docs.columns)
+    return mixing.mix(docs, queries.mix_levels(), queries.MIX_WEIGHTS, F.expr("total * 4 div 5"), queries.MIX_SEED, max_epochs=1, epoch=storage.fresh(docs, "_epoch")[0]).select(*docs.columns)
 
 
 def write_tokens(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

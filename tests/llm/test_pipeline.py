@@ -41,6 +41,21 @@ def test_stages_in_a_row(spark, sf):
     assert len(got) == mixed.count()
 
 
+def test_awkward_corpus(spark, sf):
+    """Nulls, repeats and clashing columns pass through every stage."""
+    more = ["score", "predicted", "_epoch", "_score", "_id", "tokens", "k", "t", "class_id", "_level0"]
+    data = [(1, None, None, None, None), (2, "", "en", "s1", 0), (3, "a b c d e f g", "en", "s1", 13), (3, "a b c d e f g", "en", "s1", 13), (None, "z y x w v u t", None, "s2", 13), (None, None, None, None, None)]
+    docs = spark.createDataFrame(data, H.DOC)
+    for c in more:
+        docs = docs.withColumn(c, docs["n_chars"] + 1)
+    names = docs.columns
+    for name, stage in P.STAGES:
+        docs = storage.materialize(stage(spark, docs, sf), f"odd-{name}")
+        if name != "token_files":
+            assert docs.columns == names
+    assert docs.count() > 0
+
+
 def test_empty_corpus(spark, sf):
     docs = storage.table(spark, sf, "documents").limit(0)
     for name, stage in P.STAGES:
