@@ -274,7 +274,7 @@ def score(docs: DataFrame, model: Model, text: str = "text", keep: list[str] | N
     """
     keep = [c for c in (docs.columns if keep is None else keep) if c not in names]
     inner = docs.select(*[F.col(c).alias(f"c{i}") for i, c in enumerate(keep)], F.coalesce(F.col(text), F.lit("")).alias("t"))
-    names = inner.columns[:-1]
+    kept = inner.columns[:-1]
     schema = ", ".join([*[f"{f.name} {f.dataType.simpleString()}" for f in inner.schema.fields[:-1]], "x double"])
-    out = inner.mapInArrow(_featurizer(model.lexicon, names, model), schema)
-    return out.select(*[F.col(n).alias(c) for n, c in zip(names, keep, strict=True)], F.col("x").alias(names[0]), (F.col("x") >= threshold).cast("int").alias(names[1]))
+    out = inner.mapInArrow(_featurizer(model.lexicon, kept, model), schema)
+    return out.select(*[F.col(n).alias(c) for n, c in zip(kept, keep, strict=True)], F.col("x").alias(names[0]), (F.col("x") >= threshold).cast("int").alias(names[1]))
