@@ -232,7 +232,8 @@ def driver_search(c: Counts, m_max: int = 50, strategy: str = "full", low: int |
                     count["tests"] += m
                     first = max(lo, a) if max(lo, a) <= min(hi, b) else None
             elif strategy == "ilp":
-                first = ilp_first(c, lat)
+                first, nodes = ilp_first(c, lat)
+                count["tests"] += nodes
                 count["positions"] += lat.last + 1
             else:
                 if strategy == "none" and count["listed"] > MAX_LAYOUTS:
@@ -253,27 +254,38 @@ def driver_search(c: Counts, m_max: int = 50, strategy: str = "full", low: int |
     return best
 
 
-def ilp_first(c: Counts, lat) -> int | None:
-    """The first position for which the integer program over (rows of each value in the first class) has a solution, by branching."""
+def ilp_first(c: Counts, lat) -> tuple[int | None, int]:
+    """(first position for which the integer program over rows of each value in the first class has a solution, branches looked at)."""
+    nodes = [0]
     values = [(int(o), int(a), int(b)) for o, a, b, k in zip(c.cnt, c.quota(lat.s1), c.quota(lat.s2), c.mult, strict=True) for _ in range(int(k))]
     for i in range(lat.last + 1):
         b1, b2 = lat.at(i)
-        if _branch(values, b1, b2, lat.s1 * b1, 0):
-            return i
-    return None
+        if _branch(values, b1, b2, lat.s1 * b1, 0, nodes):
+            return i, nodes[0]
+    return None, nodes[0]
 
 
-def _branch(values: list[tuple[int, int, int]], b1: int, b2: int, left: int, at: int) -> bool:
+def _branch(values: list[tuple[int, int, int]], b1: int, b2: int, left: int, at: int, nodes: list[int]) -> bool:
+    nodes[0] += 1
     if at == len(values):
         return left == 0
     o, a, b = values[at]
     rest = sum(v[0] for v in values[at + 1 :])
     for take in range(min(o, a * b1, left), max(0, o - b * b2, left - rest) - 1, -1):
-        if _branch(values, b1, b2, left - take, at + 1):
+        if _branch(values, b1, b2, left - take, at + 1, nodes):
             return True
     return False
 
 
+def search_one_size(c: Counts, m_max: int = 50) -> Layout:
+    """The least-loss layout of equal buckets: sizes that divide the rows, smallest first."""
+    n = c.n
+    for s in range(1, m_max + 1):
+        if n and n % s == 0 and (c.cnt <= c.quota(s) * (n // s)).all():
+            return Layout([(s, n // s)], n // s * (s - 1) ** 2)
+    return Layout(reason="no valid layout in the size range")
+
+
 def search_two_size(caps: DataFrame, m_max: int = 50, strategy: str = "full") -> Layout:
     """The driver engine over the collected classes of ``caps``."""
     return driver_search(collect_classes(caps), m_max, strategy)

@@ -165,6 +165,20 @@ def w_domain_scale(spark, sf):
     return spark.createDataFrame([r[:-1] for r in rows], GROWTH)
 
 
+@query()
+def w_integer_program(spark, sf):
+    """Work of the integer program and of the pruned search against the domain size, on small tables of three rows a value."""
+    rows = []
+    for m in (6, 10, 14, 18, 22):
+        o = np.full(m, 3, np.int64)
+        n = int(o.sum())
+        c = search.Counts(o, np.minimum(o * 200 + n * 4, n * 100), np.full(m, n * 100), np.ones(m, np.int64))
+        for s in ("ilp", "full"):
+            found = search.driver_search(c, 16, s)
+            rows.append((m, s, found.loss, found.counters["tests"]))
+    return spark.createDataFrame(rows, "domain int, strategy string, loss bigint, tests bigint")
+
+
 @query(" UNION ALL ".join(f"""SELECT '{t}' AS "table", count(*)::BIGINT AS domain, sum(cnt)::BIGINT AS n_rows, round(min(cnt) / sum(cnt), 6) AS least, round(max(cnt) / sum(cnt), 6) AS most FROM (SELECT v, count(*) AS cnt FROM ({M.SQL[t]}) GROUP BY v)""" for t in M.SQL))
 def w_frequencies(spark, sf):
     """Domain size and extreme frequencies of every stand-in."""

@@ -181,3 +181,28 @@ def test_late_rows_are_dropped(spark, tmp_path):
     run.awaitTermination()
     dropped = sum(s.get("numRowsDroppedByWatermark", 0) for p in run.recentProgress for s in p["stateOperators"])
     assert dropped == 1
+
+
+def test_sort_based_aggregate(spark, sf):
+    df = microdata.table(spark, sf, "nation").groupBy("n_regionkey").agg(F.max("n_name").alias("last"))
+    assert "SortAggregate" in plan_of(df) and df.count() == 5
+
+
+def test_one_size_engines_agree(spark, sf):
+    c = Q.caps(spark, sf, "qty50")
+    row, found = search.plan_search_one_size(c).first(), search.search_one_size(search.collect_classes(c))
+    assert (row is None) == (found.loss is None)
+    assert row is None or (row.loss, [(row.s1, row.b1)]) == (found.loss, found.classes)
+
+
+def test_broadcasts_of_small_tables_only(spark, sf):
+    text = plan_of(search.valid_intervals(Q.caps(spark, sf, "occ50"), 1, 20, 1000))
+    assert "BroadcastNestedLoopJoin" in text and "CartesianProduct" not in text
+
+
+def test_work_of_the_strategies(spark, sf):
+    """Each pruning saves work, and the integer program's work explodes with the domain while the search's does not."""
+    full, loss, none = (r.positions for r in sorted(entry.queries()["work_counters"](spark, sf).collect(), key=lambda r: r.strategy))
+    assert full < loss < none
+    work = {(r.strategy, r.domain): r.tests for r in entry.queries()["w_integer_program"](spark, sf).collect()}
+    assert work["ilp", 22] > 50 * work["ilp", 6] and work["full", 22] < 8 * work["full", 6]
