@@ -36,33 +36,30 @@ def shared_out(nodes: DataFrame, parent: list[str], order: list[str]) -> DataFra
     its own ratio times the weight still open fits into what is left. A weight of 0 gets nothing.
     """
     ratio = F.when(F.col("weight") > 0, F.col("room") / F.col("weight")).otherwise(F.lit(float("inf")))
-    before = Window.partitionBy(*parent).orderBy("ratio", *order).rowsBetween(Window.unboundedPreceding, -1)
-    family = Window.partitionBy(*parent)
+    same = [F.col(c) for c in parent] or [F.lit(1)]
+    before = Window.partitionBy(*same).orderBy("ratio", *order).rowsBetween(Window.unboundedPreceding, -1)
+    family = Window.partitionBy(*same)
     sums = nodes.withColumn("ratio", ratio).withColumn("open", F.sum("weight").over(family) - F.coalesce(F.sum("weight").over(before), F.lit(0.0))).withColumn("gone", F.coalesce(F.sum(F.when(F.col("weight") > 0, F.col("room")).otherwise(0.0)).over(before), F.lit(0.0)))
     full = sums.withColumn("full", (F.col("weight") > 0) & (F.col("gone") + F.col("ratio") * F.col("open") <= F.col("budget")))
     left = full.withColumn("rest", F.col("budget") - F.coalesce(F.sum(F.when(F.col("full"), F.col("room"))).over(family), F.lit(0.0))).withColumn("heavy", F.sum(F.when(~F.col("full"), F.col("weight")).otherwise(0.0)).over(family))
     share = F.when(F.col("full"), F.col("room")).when((F.col("weight") > 0) & (F.col("heavy") > 0), F.col("rest") * F.col("weight") / F.col("heavy")).otherwise(0.0)
-    return full_columns(left.withColumn("share", share), nodes)
-
-
-def full_columns(df: DataFrame, like: DataFrame) -> DataFrame:
-    return df.select(*like.columns, "share")
+    return left.withColumn("share", share).select(*nodes.columns, "share")
 
 
 def leaf_budgets(leaves: DataFrame, levels: list[str], weights: dict[str, dict[str, float]], budget: Column, max_epochs: int) -> DataFrame:
     """(levels..., tokens, quota): whole tokens that each leaf may give; ``leaves`` has the levels and ``tokens``."""
     tree = leaves.withColumn("room", (F.col("tokens") * max_epochs).cast("double"))
-    known = tree.select(F.lit(1).alias("root"), F.col("total")).distinct().select("root", budget.cast("double").alias("budget"))
-    parent: list[str] = ["root"]
+    known, parent = None, []
     for i, level in enumerate(levels):
-        own = ["root", *levels[: i + 1]]
+        own = levels[: i + 1]
         weight = F.lit(1.0)
         for value, w in sorted(weights.get(level, {}).items()):
             weight = F.when(F.col(level) == value, F.lit(float(w))).otherwise(weight)
-        nodes = tree.withColumn("root", F.lit(1)).groupBy(*own).agg(F.sum("room").alias("room")).join(known, parent).withColumn("weight", weight)
+        nodes = tree.groupBy(*own).agg(F.sum("room").alias("room"), F.first("total").alias("total"))
+        nodes = (nodes.withColumn("budget", budget.cast("double")) if known is None else nodes.join(known, parent)).withColumn("weight", weight)
         known = shared_out(nodes, parent, [level]).select(*own, F.col("share").alias("budget"))
         parent = own
-    return tree.withColumn("root", F.lit(1)).join(known, parent).select(*levels, "tokens", F.floor(F.col("budget") + 1e-6).cast("bigint").alias("quota"))
+    return tree.join(known, parent).select(*levels, "tokens", F.floor(F.col("budget") + 1e-6).cast("bigint").alias("quota"))
 
 
 def mix(docs: DataFrame, levels: dict[str, Column], weights: dict[str, dict[str, float]], budget: Column, seed: str, max_epochs: int = 1, key: str = "doc_id", text: str = "text", epoch: str = "_epoch") -> DataFrame:
