@@ -140,6 +140,14 @@ def mean_error(errors: DataFrame) -> DataFrame:
     return errors.agg(F.count(F.lit(1)).alias("queries"), F.count_if(F.col("re").isNull()).alias("skipped"), F.avg("re").alias("mean_re"))
 
 
+def rewrite_on_release(qi_side: DataFrame, sa: DataFrame, lists: dict[str, list], sensitive: list) -> DataFrame:
+    """A count query over the raw table (values allowed by attribute, and sensitive values) turned into one over the release."""
+    ok = F.lit(True)
+    for attr, values in lists.items():
+        ok = ok & F.col(attr).isin(*values)
+    return estimate_count(qi_side, sa, ok, F.col("v").isin(*sensitive))
+
+
 def estimate_count(qi_side: DataFrame, sa: DataFrame, qi_predicate: Column, sa_predicate: Column) -> DataFrame:
     """One row (est): a single count query, answered from the release."""
     q = qi_side.where(qi_predicate).groupBy("bucket").agg(F.count(F.lit(1)).alias("q"))

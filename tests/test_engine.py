@@ -206,3 +206,12 @@ def test_work_of_the_strategies(spark, sf):
     assert full < loss < none
     work = {(r.strategy, r.domain): r.tests for r in entry.queries()["w_integer_program"](spark, sf).collect()}
     assert work["ilp", 22] > 50 * work["ilp", 6] and work["full", 22] < 8 * work["full", 6]
+
+
+def test_rewritten_query_is_the_estimate(spark, sf):
+    m, _, _, a = Q.two_size(spark, sf)
+    qi_side, sa = release.publish(a, m.qi)
+    sa = release.compact(sa)
+    one = workload.rewrite_on_release(qi_side, sa, {"hour": [6, 7, 8]}, [0, 1]).first().est
+    two = workload.estimate_count(qi_side, sa, F.col("hour").between(6, 8), F.col("v") < 2).first().est
+    assert abs(one - two) < 1e-9 and one > 0
