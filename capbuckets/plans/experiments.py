@@ -13,6 +13,7 @@ from capbuckets.functions.exact import order_key
 from capbuckets.operators import assign as A
 from capbuckets.operators import exact, fixed_ell, policy, refine, release, search, workload
 from capbuckets.operators import lattice as L
+from capbuckets.plans.method_queries import brute, with_caps
 from capbuckets.plans.registry import Registry
 from capbuckets.sources import microdata as M
 
@@ -108,6 +109,27 @@ def w_re_theta(spark, sf):
     return spark.createDataFrame(rows, "table string, theta int, method string, queries bigint, skipped bigint, mean_re double")
 
 
+@query()
+def w_re_correlated(spark, sf):
+    """The same on a table whose eighth quasi-identifier depends on the sensitive value."""
+    return spark.createDataFrame(error_sweep(spark, sf, ("corr",), (8,)), "table string, theta int, method string, queries bigint, skipped bigint, mean_re double")
+
+
+#: Text, vector and other stand-ins beyond the census-like ones.
+OTHERS = ("k100", "psize50", "lang4", "toxic2", "role3", "embed10", "acct")
+
+
+@query(" UNION ALL ".join(f"""SELECT '{t}' AS "table", s1, b1, s2, b2, loss FROM ({with_caps(t)}{brute()} SELECT * FROM best)""" for t in OTHERS))
+def w_standins(spark, sf):
+    """The two-size optimum of every other stand-in."""
+    out = None
+    for name in OTHERS:
+        caps = policy.linear_caps(policy.histogram(M.MICRODATA[name](spark, sf).df), 8, 2, 100)
+        one = search.layout_row(spark, search.search_two_size(caps, M_MAX)).select(F.lit(name).alias("table"), "*")
+        out = one if out is None else out.unionAll(one)
+    return out
+
+
 def timed(c: search.Counts, strategy: str, runs: int = 3) -> tuple[float, search.Layout]:
     best, found = float("inf"), None
     for _ in range(runs):

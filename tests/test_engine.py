@@ -215,3 +215,21 @@ def test_rewritten_query_is_the_estimate(spark, sf):
     one = workload.rewrite_on_release(qi_side, sa, {"hour": [6, 7, 8]}, [0, 1]).first().est
     two = workload.estimate_count(qi_side, sa, F.col("hour").between(6, 8), F.col("v") < 2).first().est
     assert abs(one - two) < 1e-9 and one > 0
+
+
+def test_large_domains_are_searched_by_class(spark, sf):
+    c = Q.caps(spark, sf, "bigdom")
+    row, found = search.plan_search(c).first(), search.search_two_size(c)
+    assert len(search.collect_classes(c).cnt) < policy.histogram(microdata.bigdom(spark, sf).df).count()
+    assert (row is None) == (found.loss is None) and (row is None or row.loss == found.loss)
+
+
+def test_bucketed_sides_join_without_exchange(spark, sf):
+    m, _, _, a = Q.two_size(spark, sf)
+    qi_side, sa = release.publish(a, m.qi)
+    sinks.write_bucketed(qi_side, "side_q", 4)
+    sinks.write_bucketed(release.compact(sa), "side_s", 4)
+    joined = spark.table("side_q").join(spark.table("side_s").hint("merge"), "bucket")
+    assert "Exchange" not in plan_of(joined) and joined.count() > m.df.count()
+    spark.sql("DROP TABLE side_q")
+    spark.sql("DROP TABLE side_s")
