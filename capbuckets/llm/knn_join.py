@@ -65,7 +65,7 @@ def voronoi_top_k(rows: DataFrame, key: str, vector: str, is_query: Column, k: i
 
     ``vector`` holds arrays of bigint; null vectors and null keys take no part, shorter vectors count as ended by zeros.
     Ties go to the smaller key; a query with fewer than ``k`` partners gets all of them. Rows that repeat a key count as
-    partners of their own, but never of their own key. Pivots are a sample by hash, bounded by ``MAX_PIVOTS``; every row is
+    partners of their own, but never of their own key; rows of one query key ask together. Pivots are a sample by hash, bounded by ``MAX_PIVOTS``; every row is
     searched. Cells are cut into rings by distance and into blocks of about ``BLOCK`` rows by hash, so a cell of any size
     is spread out; blocks, not rows, are matched with cells.
     """
@@ -79,6 +79,8 @@ def voronoi_top_k(rows: DataFrame, key: str, vector: str, is_query: Column, k: i
         return spark.createDataFrame([], out_schema)
     dim, top = int(facts.dim), float(facts.top)
     small = next(t for t in (np.int8, np.int16, np.int32, np.int64) if facts.widest <= np.iinfo(t).max)
+    repeats = own.groupBy("id").agg(F.count(F.lit(1)).alias("c")).agg(F.max("c")).first()[0]
+    spare = k + repeats  # a query's own rows are among the nearest, and don't count
     pivots = min(MAX_PIVOTS, max(4, facts.asked * 2 // BLOCK))  # a query cell should fill half a block
     sample = own.select("id", "v").orderBy(F.xxhash64("id"), "id").limit(pivots).collect()
     centre = np.zeros((len(sample), dim), np.int64)
@@ -112,14 +114,14 @@ def voronoi_top_k(rows: DataFrame, key: str, vector: str, is_query: Column, k: i
     # Summaries: a row a cell, or a ring of a cell; their number is bounded by that of the pivots.
     q_cells = queries.groupBy("cell").agg(F.count(F.lit(1)).alias("n"), F.max("d").alias("far")).collect()
     rings = data.groupBy("cell", "ring").agg(F.count(F.lit(1)).alias("n"), F.min("d").alias("lo"), F.max("d").alias("hi")).collect()
-    nearest = data.select("cell", "d", F.row_number().over(Window.partitionBy("cell").orderBy("d")).alias("r")).where(F.col("r") <= k + 1).select("cell", "d").collect()
+    nearest = data.select("cell", "d", F.row_number().over(Window.partitionBy("cell").orderBy("d")).alias("r")).where(F.col("r") <= spare).select("cell", "d").collect()
     if not q_cells or not rings:
         return spark.createDataFrame([], out_schema)
     cells, dist = np.array([r.cell for r in nearest]), np.array([r.d for r in nearest])
     bound = {}
-    for r in q_cells:  # the k-th distance of any query of the cell; one more, as the query's own row does not count
+    for r in q_cells:  # the k-th distance of any query of the cell, its own rows left out
         upper = np.sort(r.far + apart[r.cell, cells] + dist)
-        bound[r.cell] = float(upper[k]) if len(upper) > k else float("inf")
+        bound[r.cell] = float(upper[spare - 1]) if len(upper) >= spare else float("inf")
     slack = 1e-6 * (1 + top**0.5)
     reach = [(r.cell, r.ring, -(-r.n // BLOCK), t.cell, max(0.0, apart[t.cell, r.cell] - t.far - r.hi, r.lo - apart[t.cell, r.cell] - t.far)) for r in rings for t in q_cells]
     reach = [x for x in reach if x[4] <= bound[x[3]] + slack]
