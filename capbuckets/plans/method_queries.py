@@ -607,6 +607,22 @@ def noisy_confidence(spark, sf):
     return n.select(*_QI, "v", "x", "y", F.round("noisy_x", 6).alias("noisy_x"), F.round("noisy_y", 6).alias("noisy_y"), F.round("noisy_conf", 5).alias("noisy_conf"))
 
 
+_KEYX, _KEYY = "'w2x|' || n_regionkey || '|' || c_mktsegment", "'w2y|' || n_regionkey || '|' || c_mktsegment || '|' || v"
+
+
+@query(_ACCT + " SELECT eps, rules, near, worst FROM (" + " UNION ALL ".join(f"""SELECT {e}::DOUBLE AS eps, count(*)::BIGINT AS rules, count(*) FILTER (abs(d) <= 0.1)::BIGINT AS near, round(max(abs(d)), 4) AS worst
+        FROM (SELECT (y + {_laplace_sql(_KEYY, e)}) / (x + {_laplace_sql(_KEYX, e)}) - conf AS d, x + {_laplace_sql(_KEYX, e)} AS nx FROM r) WHERE abs(nx) >= 1""" for e in (0.01, 0.1, 1.0)) + ")")
+def w_noise_ratio(spark, sf):
+    """How near noisy ratios stay to the true confidence, for three noise levels: rules, those within a tenth, the worst."""
+    out = None
+    for e in (0.01, 0.1, 1.0):
+        d = F.col("noisy_conf") - F.col("conf")
+        n = noise.noisy_rule_confidence(M.acct(spark, sf).df, _QI, e, "v", "w2", 5).where("noisy_conf IS NOT NULL")
+        one = n.agg(F.count(F.lit(1)).alias("rules"), F.count_if(F.abs(d) <= 0.1).alias("near"), F.round(F.max(F.abs(d)), 4).alias("worst")).select(F.lit(e).alias("eps"), "*")
+        out = one if out is None else out.unionAll(one)
+    return out
+
+
 @query("SELECT x, y, eps, round(1 + 2 / (eps * eps) / (x * x), 6) AS factor, round(y / x * (1 + 2 / (eps * eps) / (x * x)), 6) AS mean, round(2 / (eps * eps) / (x * x) * (1 + (y / x) * (y / x)), 8) AS var FROM (VALUES (100::BIGINT, 99::BIGINT), (1000, 990)) v(x, y), unnest([0.01::DOUBLE, 0.1::DOUBLE, 1.0::DOUBLE]) e(eps)")
 def ratio_moments(spark, sf):
     base = spark.createDataFrame([(100, 99), (1000, 990)], "x bigint, y bigint")

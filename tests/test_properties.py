@@ -133,3 +133,21 @@ def test_no_layout_in_range():
 def test_invalid_split_raises():
     with pytest.raises(ValueError, match="not valid"):
         assign.split_counts([5, 5], [1, 1], [1, 1], [(2, 1), (4, 2)])
+
+
+@settings(max_examples=100, deadline=None)
+@given(counts_, caps_, st.integers(1, 8), st.integers(1, 8), st.integers(0, 40))
+def test_two_size_conditions_are_a_split_and_a_flow(counts, rule, a, b, i):
+    c = instance(counts, rule)
+    lat = lattice(c.n, min(a, b), max(a, b) + 1)
+    if lat is None or i > lat.last:
+        return
+    b1, b2 = lat.at(i)
+    layout = [(lat.s1, b1), (lat.s2, b2)]
+    ok = bool(search.valid_positions(c, lat, np.array([i]))[0])
+    q = np.stack([c.quota(lat.s1), c.quota(lat.s2)], 1)
+    assert ok == (exact.flow_split(c.cnt, q, layout) is not None)
+    if ok:
+        for order in ("key", "rare_first", "common_first", "spread"):
+            take = np.array(assign.split_counts(c.cnt, q[:, 0], q[:, 1], layout, order))
+            assert (take <= q * [b1, b2]).all() and take.sum(0).tolist() == [lat.s1 * b1, lat.s2 * b2] and (take.sum(1) == c.cnt).all()
