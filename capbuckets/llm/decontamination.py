@@ -83,11 +83,13 @@ def contaminated(docs: DataFrame, benchmark: DataFrame, key: str = "doc_id", tex
         return rows.where(F.lit(False)).select(F.col("id").alias(key), F.lit(0).cast("bigint").alias("item_id"), F.lit(0).alias("shared"), F.lit(0).alias("weight"))
     if len(names) <= MAX_INLINE:
         found = lambda w: F.filter(starts(w), lambda i: shingle_at(w, i).isin(names))
-        held = rows.select("id", F.explode(F.filter(F.transform(F.array(words(F.col("t"))), lambda w: F.struct(w.alias("w"), found(w).alias("hits"))), lambda m: F.size(m["hits"]) > 0)).alias("m"))
-        held = held.select("id", "m.w", F.explode(F.transform(F.array("m.hits"), ends)).alias("ends")).select("id", "w", F.explode(F.transform("ends", lambda p: F.struct(p.alias("p"), shingle_at(F.col("w"), p).alias("name")))).alias("s")).select("id", "w", "s.p", "s.name")
-    else:
-        every = rows.select("id", F.explode(F.transform(F.array(words(F.col("t"))), lambda w: F.struct(w.alias("w"), shingles(w).alias("names")))).alias("m"))
-        held = every.select("id", "m.w", F.posexplode("m.names").alias("p", "name")).join(seeds.select("name").distinct(), "name")
+        met = rows.select("id", F.explode(F.filter(F.transform(F.array(words(F.col("t"))), lambda w: F.struct(w.alias("w"), found(w).alias("hits"))), lambda m: F.size(m["hits"]) > 0)).alias("m")).select("id", "m.w", "m.hits")
+    else:  # places travel without the words, which are joined on again where there are hits
+        named = rows.withColumn("th", F.xxhash64("t"))
+        every = named.select("id", "th", F.explode(F.transform(F.array(words(F.col("t"))), lambda w: shingles(w))).alias("names")).select("id", "th", F.posexplode("names").alias("p", "name"))
+        hits = every.join(seeds.select("name").distinct(), "name", "left_semi").groupBy("id", "th").agg(F.array_sort(F.collect_set("p")).alias("hits")).withColumnsRenamed({"id": "_id", "th": "_th"})
+        met = named.join(hits, F.col("id").eqNullSafe(F.col("_id")) & (F.col("th") == F.col("_th"))).select("id", words(F.col("t")).alias("w"), "hits")
+    held = met.select("id", "w", F.explode(F.transform(F.array("hits"), ends)).alias("ends")).select("id", "w", F.explode(F.transform("ends", lambda p: F.struct(p.alias("p"), shingle_at(F.col("w"), p).alias("name")))).alias("s")).select("id", "w", "s.p", "s.name")
     laid = held.join(seeds, "name").where(F.size("w") >= F.col("n")).select("id", "n", F.greatest(F.lit(0), F.least(F.col("p") - F.col("at"), F.size("w") - F.col("n"))).alias("start"), "w")
     laid = laid.select("id", "n", F.concat_ws(" ", F.slice("w", F.col("start") + 1, F.col("n"))).alias("window"))
     laid = storage.materialize(laid.select("id", "n", "window", F.md5("window").alias("wk")).groupBy("id", "n", "wk").agg(F.first("window").alias("window")), "windows")
