@@ -41,6 +41,14 @@ def st_dedup(spark, sf):
     return run_available(s)
 
 
+@query("SELECT event_id FROM events")
+def st_dedup_watermark(spark, sf):
+    """Repeats of an event within the watermark's delay are dropped; state is kept no longer than that."""
+    s = event_stream(spark, sf)
+    twice = s.union(s).withWatermark("ts", "31 days").dropDuplicatesWithinWatermark(["event_id"]).select("event_id")
+    return run_available(twice)
+
+
 @query("SELECT event_id, n_name FROM events JOIN nation ON user_id % 25 = n_nationkey")
 def st_static_join(spark, sf):
     n = table(spark, sf, "nation").select("n_nationkey", "n_name")
