@@ -2,8 +2,6 @@
 
 from __future__ import annotations
 
-from collections.abc import Sequence
-
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
@@ -99,7 +97,3 @@ def forbidden_values(qi_side: DataFrame, z: Column, assoc: DataFrame) -> DataFra
 def safe_decoys(qi_side: DataFrame, sa: DataFrame, z: Column, assoc: DataFrame, sigma: int, salt: str) -> DataFrame:
     """:func:`inject_decoys` without values that an association rules out."""
     return inject_decoys(sa, sigma, salt, forbidden_values(qi_side, z, assoc))
-
-
-def columns_key(columns: Sequence[str]) -> Column:
-    return F.concat_ws("|", *[F.col(c).cast("string") for c in columns])

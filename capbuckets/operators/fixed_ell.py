@@ -7,7 +7,7 @@ from collections.abc import Sequence
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from capbuckets.functions.exact import ceil_div, div
+from capbuckets.functions.exact import div
 from capbuckets.operators.assign import deal
 from capbuckets.operators.policy import histogram
 
@@ -38,7 +38,3 @@ def fixed_ell_assign(df: DataFrame, v: str, key: Sequence[str], ell: int, salt:
     if not buckets or facts.most > buckets and not ignore_privacy:
         raise ValueError(f"a value with {facts.most} of {facts.n} rows rules out {ell} different values a bucket")
     return deal(df, v, key, buckets, salt)
-
-
-def ell_need(num: Column, den: Column) -> Column:
-    return ceil_div(den, num)

@@ -7,8 +7,6 @@ from collections.abc import Sequence
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from capbuckets.functions.exact import order_key
-
 
 def publish(assigned: DataFrame, qi: Sequence[str], v: str = "v", salt: str | None = None) -> tuple[DataFrame, DataFrame]:
     """(QI side, sensitive side): each is dealt out by bucket and sorted by its own columns, so rows can't be matched by place.
@@ -75,8 +73,3 @@ def layout_mse(loss: int, n: int) -> float:
 def map_histogram(sa: DataFrame) -> DataFrame:
     """(bucket, values): the sensitive side as one map a bucket."""
     return sa.groupBy("bucket").agg(F.map_from_entries(F.array_sort(F.collect_list(F.struct("v", "cnt")))).alias("values"))
-
-
-def shuffled_order(side: DataFrame, salt: str, columns: Sequence[str]) -> DataFrame:
-    """A side in a random but repeatable order."""
-    return side.orderBy(order_key(salt, *[F.col(c) for c in columns]))

@@ -4,7 +4,7 @@ import pytest
 from pyspark.sql import functions as F
 
 import __spark_entry__ as entry
-from capbuckets.operators import assign, attacks, fixed_ell, policy, refine, release, search, workload
+from capbuckets.operators import assign, attacks, fixed_ell, policy, refine, release, search, validity, workload
 from capbuckets.plans import method_queries as Q
 from capbuckets.sources import generated, microdata, sinks
 
@@ -233,3 +233,22 @@ def test_bucketed_sides_join_without_exchange(spark, sf):
     assert "Exchange" not in plan_of(joined) and joined.count() > m.df.count()
     spark.sql("DROP TABLE side_q")
     spark.sql("DROP TABLE side_s")
+
+
+def test_best_layout_is_valid_for_every_set_of_classes(spark):
+    caps = Q.fifty_caps(spark)
+    assert validity.valid_multi(caps, [(4, 7), (5, 2), (12, 1)]).first().valid
+    assert not validity.valid_multi(caps, [(3, 9), (11, 1), (12, 1)]).first().valid
+
+
+def test_safe_decoys_avoid_associations(spark):
+    qi_side = spark.createDataFrame([(0, "a"), (0, "b"), (1, "b"), (1, "b")], "bucket bigint, z string")
+    sa = spark.createDataFrame([(0, 1, 1), (0, 2, 1), (1, 3, 1), (1, 4, 1)], "bucket bigint, v int, cnt bigint")
+    assoc = spark.createDataFrame([("a", 3, 0.0), ("b", 9, 0.0)], "z string, v int, lift double")
+    got = attacks.safe_decoys(qi_side, sa, F.col("z"), assoc, 1, "s")
+    assert got.count() == 6 and {r.v for r in got.where("bucket = 0").collect()} == {1, 2, 4}
+
+
+def test_map_of_a_bucket(spark):
+    sa = spark.createDataFrame([(0, 2, 3), (0, 1, 1)], "bucket bigint, v int, cnt bigint")
+    assert release.map_histogram(sa).first()["values"] == {1: 1, 2: 3}
