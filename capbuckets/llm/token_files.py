@@ -24,6 +24,7 @@ from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
 from . import storage
+from .token_counts import byte_alphabet
 
 #: Fixed values of the format: mark, header layout (partition, sequence, documents, ids, levels), bits between directory entries.
 MARK = b"DACTOK1\0"
@@ -133,7 +134,7 @@ def encoder_for(path: str) -> WordEncoder:
 
 
 class WordEncoder:
-    """Ids of whole texts, as the library gives them: distinct words are encoded by the library, once each while cached.
+    """Ids of whole texts, as the library gives them: distinct words are encoded by the library's model, once each while cached.
 
     The tokenizer lower-cases, drops white space and encodes runs of letters, single digits and runs of other characters
     apart, so the ids of a text are those of its words. Texts with characters outside :data:`PLAIN` are encoded whole.
@@ -155,9 +156,8 @@ class WordEncoder:
         digit = np.array([chr(p).isnumeric() for p in point])
         self.kind = np.where(letter, 1, np.where(digit, 2, 3)).astype(np.uint8)
         self.kind[[9, 10, 11, 12, 13, 32]] = 0
-        vocab, suffix = self.library.get_vocab(), spec["model"].get("end_of_word_suffix") or ""
-        self.ends_word = np.zeros(max(vocab.values()) + 1, bool)
-        self.ends_word[[i for t, i in vocab.items() if suffix and t.endswith(suffix)]] = True
+        self.model = self.library.model
+        self.alphabet = {b: c for c, b in byte_alphabet().items()}
         rng = np.random.default_rng(7)
         self.mark = rng.integers(1, 1 << 63, 0x180, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
         self.reset()
@@ -171,20 +171,17 @@ class WordEncoder:
             self.reset()
         if len(words) + 1 >= len(self.starts):
             self.starts = np.zeros(2 * len(words) + 2, np.int64)
-        for at in range(0, len(words), 20_000):
-            some = words[at : at + 20_000]
-            ids = np.array(self.library.encode(" ".join(some), add_special_tokens=False).ids, np.uint32)
-            ends = np.flatnonzero(self.ends_word[ids]) + 1  # a word's last token, and no other, ends a word
-            if len(ends) != len(some):
-                codes = [c.ids for c in self.library.encode_batch(some, add_special_tokens=False)]
-                ids, ends = np.array([i for c in codes for i in c], np.uint32), np.cumsum([len(c) for c in codes])
-            if self.used + len(ids) > len(self.flat):
-                self.flat = np.concatenate([self.flat, np.zeros(len(self.flat) + len(ids), np.uint32)])
-            self.flat[self.used : self.used + len(ids)] = ids
-            n = len(self.place)
-            self.starts[n + 1 : n + 1 + len(some)] = self.used + ends
-            self.place.update(zip(some, range(n, n + len(some)), strict=True))
-            self.used += len(ids)
+        tokenize, alphabet, ids, ends = self.model.tokenize, self.alphabet, [], []
+        for word in words:
+            ids += [t.id for t in tokenize(word if word.isascii() else word.encode().decode("latin-1").translate(alphabet))]
+            ends.append(len(ids))
+        if self.used + len(ids) > len(self.flat):
+            self.flat = np.concatenate([self.flat, np.zeros(len(self.flat) + len(ids), np.uint32)])
+        self.flat[self.used : self.used + len(ids)] = ids
+        n = len(self.place)
+        self.starts[n + 1 : n + 1 + len(words)] = self.used + np.array(ends, np.int64)
+        self.place.update(zip(words, range(n, n + len(words)), strict=True))
+        self.used += len(ids)
 
     def encode(self, texts: list[str]) -> tuple[np.ndarray, np.ndarray]:
         """(ids of all texts in a row, number of ids of each)."""
@@ -203,7 +200,10 @@ class WordEncoder:
 
     def _plain(self, texts: list[str]) -> list[np.ndarray]:
         joined = "\n".join(texts) + "\n"
-        points = np.frombuffer(joined.encode("utf-32-le"), np.uint32)
+        try:  # a byte a character, where that will do
+            points = np.frombuffer(joined.encode("latin-1"), np.uint8)
+        except UnicodeEncodeError:
+            points = np.frombuffer(joined.encode("utf-32-le"), np.uint32)
         kind = self.kind[points]
         start = kind != 0
         start[1:] &= (kind[1:] != kind[:-1]) | (kind[1:] == 2)
