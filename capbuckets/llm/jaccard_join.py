@@ -82,23 +82,28 @@ def roots(n: int, i: np.ndarray, j: np.ndarray) -> np.ndarray:
         root = after
 
 
-def components(edges: DataFrame, rounds: int = 60) -> DataFrame:
-    """(node, label): the smallest node of each component of ``edges`` (a, b), by label exchange with pointer jumps.
+def components(edges: DataFrame) -> DataFrame:
+    """(node, label): the smallest node of each component of ``edges`` (a, b), by label exchange with hooks and pointer jumps.
 
-    Each round is written to the shared folder; rounds end when no label changes. Nothing is collected but a count.
+    A smaller label that a node hears goes to the node and to the node that its old label names, so that whole trees move at
+    once and the rounds grow with the logarithm of a component's length. Rounds go on until no label changes; each
+    lowers a label, so they end. Each is written to the shared folder. Nothing is collected but a count.
     """
     both = edges.where("a <> b").select("a", "b").unionAll(edges.where("a <> b").select(F.col("b").alias("a"), F.col("a").alias("b"))).distinct()
     both = storage.materialize(both, "edges")
     labels = storage.materialize(both.groupBy("a").agg(F.min("b").alias("m")).select(F.col("a").alias("node"), F.least("a", "m").alias("label")), "labels")
-    for _ in range(rounds):
+    while True:
         heard = both.join(labels.select(F.col("node").alias("b"), F.col("label").alias("heard")), "b").groupBy(F.col("a").alias("node")).agg(F.min("heard").alias("heard"))
-        new = labels.join(heard, "node").select("node", "label", F.least("label", "heard").alias("near"))
+        near = labels.join(heard, "node").select("node", "label", F.least("label", "heard").alias("near"))
+        own = F.struct("node", "label", "near")
+        hook = F.struct(F.col("label").alias("node"), F.lit(None).cast(labels.schema["label"].dataType).alias("label"), "near")
+        told = near.select(F.inline(F.when(F.col("near") < F.col("label"), F.array(own, hook)).otherwise(F.array(own))))
+        new = told.groupBy("node").agg(F.max("label").alias("label"), F.min("near").alias("near"))
         jump = new.join(labels.select(F.col("node").alias("near"), F.col("label").alias("far")), "near").select("node", "label", F.least("near", "far").alias("next"))
         jump = storage.materialize(jump, "labels")
         labels = jump.select("node", F.col("next").alias("label"))
         if jump.where("label <> next").isEmpty():
-            break
-    return labels
+            return labels
 
 
 def jaccard_join(docs: DataFrame, key: str = "doc_id", text: str = "text", num: int = 4, den: int = 5, recall: float = 0.9995, width: int = WIDTH) -> DataFrame:

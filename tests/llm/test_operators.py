@@ -181,6 +181,17 @@ def test_components_of_chains(spark):
     assert got == {i: 0 for i in range(n + 1)} | {100: 100, 101: 100}
 
 
+def test_components_of_long_shuffled_chains(spark, monkeypatch):
+    n, written, write = 3000, [], storage.materialize
+    monkeypatch.setattr(storage, "materialize", lambda df, name: written.append(name) or write(df, name))
+    name = list(range(n))
+    random.Random(7).shuffle(name)
+    edges = frame(spark, [(name[i], name[i + 1]) for i in range(n - 1)] + [(n + 1, n)], "a bigint, b bigint")
+    got = {r.node: r.label for r in jaccard_join.components(edges).collect()}
+    assert got == dict.fromkeys(range(n), 0) | {n: n, n + 1: n}
+    assert written.count("labels") < 30
+
+
 # ---------------------------------------------------------------- 5
 
 
