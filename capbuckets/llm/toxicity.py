@@ -104,7 +104,7 @@ def features(text: str, codes: _Codes) -> list[float]:
     window = int((np.searchsorted(both, both + 50) - np.arange(len(both))).max()) if len(both) else 0
     d = max(1, n)
     return [
-        len(hit) / d, float(np.log1p(len(hit))), float(weights.sum()) / d, float(weights.max()) if len(hit) else 0.0, float(len({words[i] for i in hit[:200]})),
+        len(hit) / d, float(np.log1p(len(hit))), float(weights.sum()) / d, float(weights.max()) if len(hit) else 0.0, float(len({words[i] for i in hit})),
         len(begin) / d, float(np.log1p(len(begin))), near, len(you) / d, float(counts @ _UPPER) / letters, float(counts @ _PUNCT) / chars, float(counts @ _SHOUT) / chars,
         float(((fl & MASKED) > 0).sum()) / d, float(((fl & MASKED_HIT) > 0).sum()), float(counts @ _DIGIT) / chars, float(np.log1p(n)), chars / d, float(np.log1p(counts[10])), float(window), float(both[0]) / d if len(both) else 1.0,
     ]

@@ -391,3 +391,9 @@ def test_masked_spelling_is_a_hit():
     codes = toxicity._Codes({"w:idiot": 5.0})
     at = toxicity.FEATURES.index("masked_hits")
     assert toxicity.features("you 1d10t!", codes)[at] == 1 and toxicity.features("you idiom", codes)[at] == 0
+
+
+def test_kinds_counts_the_words_of_the_whole_text():
+    names = [f"bad{i}" for i in range(300)]
+    codes = toxicity._Codes({f"w:{w}": 5.0 for w in names})
+    assert toxicity.features(" ".join(names), codes)[toxicity.FEATURES.index("kinds")] == 300
