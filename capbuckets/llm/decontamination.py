@@ -2,7 +2,8 @@
 
 Documents are cut into words (lower case, letters and digits). Only windows that have a five-word shingle in common with
 an item can be similar to one, so windows as long as the item are laid where a run of such shingles begins, goes on for some words, or ends: a window
-with nine tenths of its shingles in common has a run of eight of them, or all if it has fewer. Equal windows are one row. Each gets a 64-bit SimHash of its shingles, which is matched with the items of the same length
+with nine tenths of its shingles in common has a run of eight of them, or all if it has fewer. A document of fewer words
+than the item is one window, whole, wherever it meets the item. Equal windows are one row. Each gets a 64-bit SimHash of its shingles, which is matched with the items of the same length
 through blocks of bits: two fingerprints at most ``radius`` apart agree in one of ``radius + 1`` blocks at least. What is
 within the radius is then judged exactly, on the shingles weighted by how often they occur.
 """
@@ -67,7 +68,8 @@ def contaminated(docs: DataFrame, benchmark: DataFrame, key: str = "doc_id", tex
     """(key, item_id, shared, weight): each pair of a document and an item of which it holds a similar window.
 
     Similar: the weighted Jaccard similarity shared / weight of the window's and the item's shingles is ``num/den`` or more;
-    of several windows the most similar counts. Null and short texts hold nothing. Rows of the same key, null among them,
+    of several windows the most similar counts. A document of fewer words than the item is
+    its own window; only null texts and those of fewer than five words hold nothing. Rows of the same key, null among them,
     are one document. The number of pairs is at most that of items in documents; a passage that very many documents
     hold is judged once.
     """
@@ -76,9 +78,9 @@ def contaminated(docs: DataFrame, benchmark: DataFrame, key: str = "doc_id", tex
     names = [r.name for r in seeds.select("name").distinct().limit(MAX_INLINE + 1).collect()]
     rows = docs.select(F.col(key).cast("bigint").alias("id"), F.col(text).alias("t"))
     # generators keep the words from being cut again for every use of them
-    least = items.agg(F.min("n")).first()[0]
+    least, most = items.agg(F.min("n"), F.max("n")).first()
     step = max(1, min(8, (least or WIDTH) - WIDTH + 1))
-    ends = lambda hits: F.filter(hits, lambda p, i: (p % step == 0) | (i == 0) | (i == F.size(hits) - 1) | (F.get(hits, i - 1) != p - 1) | (F.get(hits, i + 1) != p + 1))
+    ends = lambda hits: F.filter(hits, lambda p, i: (F.size("w") < F.lit(most)) | (p % step == 0) | (i == 0) | (i == F.size(hits) - 1) | (F.get(hits, i - 1) != p - 1) | (F.get(hits, i + 1) != p + 1))
     if not names:
         return rows.where(F.lit(False)).select(F.col("id").alias(key), F.lit(0).cast("bigint").alias("item_id"), F.lit(0).alias("shared"), F.lit(0).alias("weight"))
     if len(names) <= MAX_INLINE:
@@ -90,7 +92,7 @@ def contaminated(docs: DataFrame, benchmark: DataFrame, key: str = "doc_id", tex
         hits = every.join(seeds.select("name").distinct(), "name", "left_semi").groupBy("id", "th").agg(F.array_sort(F.collect_set("p")).alias("hits")).withColumnsRenamed({"id": "_id", "th": "_th"})
         met = named.join(hits, F.col("id").eqNullSafe(F.col("_id")) & (F.col("th") == F.col("_th"))).select("id", words(F.col("t")).alias("w"), "hits")
     held = met.select("id", "w", F.explode(F.transform(F.array("hits"), ends)).alias("ends")).select("id", "w", F.explode(F.transform("ends", lambda p: F.struct(p.alias("p"), shingle_at(F.col("w"), p).alias("name")))).alias("s")).select("id", "w", "s.p", "s.name")
-    laid = held.join(seeds, "name").where(F.size("w") >= F.col("n")).select("id", "n", F.greatest(F.lit(0), F.least(F.col("p") - F.col("at"), F.size("w") - F.col("n"))).alias("start"), "w")
+    laid = held.join(seeds, "name").where((F.size("w") - (WIDTH - 1)) * den >= (F.col("n") - (WIDTH - 1)) * num).select("id", "n", F.greatest(F.lit(0), F.least(F.col("p") - F.col("at"), F.size("w") - F.col("n"))).alias("start"), "w")
     laid = laid.select("id", "n", F.concat_ws(" ", F.slice("w", F.col("start") + 1, F.col("n"))).alias("window"))
     laid = storage.materialize(laid.select("id", "n", "window", F.md5("window").alias("wk")).groupBy("id", "n", "wk").agg(F.first("window").alias("window")), "windows")
     distinct = laid.groupBy("n", "wk").agg(F.first("window").alias("window")).select("n", "wk", F.explode(F.transform(F.array(F.split("window", " ")), lambda w: shingles(w))).alias("names"))
@@ -101,7 +103,7 @@ def contaminated(docs: DataFrame, benchmark: DataFrame, key: str = "doc_id", tex
     judged = near.join(distinct.select("n", "wk", "names"), ["n", "wk"]).join(items.select("item_id", F.col("names").alias("item_names")), "item_id")
     judged = judged.select("n", "wk", "item_id", shared_weight(F.col("names"), F.col("item_names")).alias("shared"), (F.size("names") + F.size("item_names")).alias("both"))
     judged = judged.where(F.col("shared") * den >= (F.col("both") - F.col("shared")) * num)
-    pairs = laid.select("id", "n", "wk").join(judged, ["n", "wk"]).groupBy("id", "item_id").agg(F.max(F.struct("shared", (F.col("shared") - F.col("both")).alias("less"))).alias("best"))
+    pairs = laid.select("id", "n", "wk").join(judged, ["n", "wk"]).groupBy("id", "item_id").agg(F.max(F.struct((F.col("shared") / (F.col("both") - F.col("shared"))).alias("ratio"), "shared", (F.col("shared") - F.col("both")).alias("less"))).alias("best"))
     return pairs.select(F.col("id").alias(key), "item_id", F.col("best.shared").alias("shared"), (-F.col("best.less")).alias("weight"))
 
 

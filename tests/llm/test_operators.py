@@ -323,6 +323,20 @@ def test_windows_against_brute_force(spark):
     assert got == H.contaminated(docs, items) and (3, 22) in got
 
 
+def test_documents_shorter_than_the_item(spark, monkeypatch):
+    whole = [prose(n, 900 + n).split() for n in (9, 38, 50, 59)]
+    items = [(i, " ".join(w)) for i, w in enumerate(whole)]
+    docs = [(i, " ".join(w[:-1])) for i, w in enumerate(whole)] + [(10 + i, " ".join(w[1:])) for i, w in enumerate(whole)]
+    docs += [(22, " ".join(whole[2][:25] + whole[2][26:])), (23, " ".join(whole[3][:45])), (24, " ".join(whole[3][:48])), (25, " ".join(whole[0][:4])), (26, " ".join(whole[1][:20]))]
+    docs += [(30, " ".join(whole[1][:35])), (30, " ".join([*whole[1][:36], "new", "end"]))]  # rows of one key: the shorter is the more similar
+    want = {(i, i) for i in range(4)} | {(10 + i, i) for i in range(4)} | {(22, 2), (24, 3), (30, 1)}
+    lost = {(22, 2): (41, 50), (24, 3): (44, 55), (30, 1): (31, 34)}
+    for inline in (50_000, 10):
+        monkeypatch.setattr(decontamination, "MAX_INLINE", inline)
+        got = {(r.doc_id, r.item_id): (r.shared, r.weight) for r in decontamination.contaminated(frame(spark, docs), frame(spark, items, "item_id bigint, text string")).collect()}
+        assert set(got) == want and all(got[k] == lost.get(k, (len(whole[k[1]]) - 5, len(whole[k[1]]) - 4)) for k in want)
+
+
 def test_large_benchmarks_are_joined(spark, sf, monkeypatch):
     docs, bench = storage.table(spark, sf, "documents"), storage.table(spark, sf, "benchmark")
     want = H.rows(decontamination.contaminated(docs, bench))
