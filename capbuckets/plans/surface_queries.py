@@ -156,6 +156,29 @@ def join_full_outer(spark, sf):
     return _outer(spark, sf, "full")
 
 
+def _outer_whole(spark, sf, how):
+    """All customers and all orders; only finished orders match, so that both sides have rows without a partner."""
+    return table(spark, sf, "customer").join(table(spark, sf, "orders"), _co() & (F.col("o_orderstatus") == "F"), how).select("c_custkey", "o_orderkey")
+
+
+_OUTER_WHOLE = "SELECT c_custkey, o_orderkey FROM customer {} JOIN orders ON c_custkey = o_custkey AND o_orderstatus = 'F'"
+
+
+@query(_OUTER_WHOLE.format("LEFT"))
+def join_left_outer_whole(spark, sf):
+    return _outer_whole(spark, sf, "left")
+
+
+@query(_OUTER_WHOLE.format("RIGHT"))
+def join_right_outer_whole(spark, sf):
+    return _outer_whole(spark, sf, "right")
+
+
+@query(_OUTER_WHOLE.format("FULL"))
+def join_full_outer_whole(spark, sf):
+    return _outer_whole(spark, sf, "full")
+
+
 @query("SELECT c_custkey FROM customer WHERE EXISTS (SELECT 1 FROM orders WHERE o_custkey = c_custkey)")
 def join_left_semi(spark, sf):
     return table(spark, sf, "customer").join(table(spark, sf, "orders"), _co(), "left_semi").select("c_custkey")

@@ -252,3 +252,18 @@ def test_safe_decoys_avoid_associations(spark):
 def test_map_of_a_bucket(spark):
     sa = spark.createDataFrame([(0, 2, 3), (0, 1, 1)], "bucket bigint, v int, cnt bigint")
     assert release.map_histogram(sa).first()["values"] == {1: 1, 2: 3}
+
+
+def test_outer_joins_keep_every_row_of_whole_tables(spark, sf):
+    import duckdb
+
+    customers, orders = (spark.read.parquet(f"{sf}/{t}.parquet").count() for t in ("customer", "orders"))
+    con = duckdb.connect()
+    for t in ("customer", "orders"):
+        con.execute(f"CREATE VIEW {t} AS SELECT * FROM '{sf}/{t}.parquet'")
+    for how, left, right in (("left", True, False), ("right", False, True), ("full", True, True)):
+        name = f"join_{how}_outer_whole"
+        got = [tuple(r) for r in entry.queries()[name](spark, sf).collect()]
+        assert sorted(got, key=str) == sorted(con.execute(entry.oracle_sql()[name]).fetchall(), key=str)
+        assert not left or len({c for c, _ in got} - {None}) == customers and any(o is None for _, o in got)
+        assert not right or len({o for _, o in got} - {None}) == orders and any(c is None for c, _ in got)
