@@ -216,9 +216,13 @@ class WordEncoder:
         power[1:] = np.uint64(0x9E3779B97F4A7C15)
         power = np.multiply.accumulate(power)
         inside = np.arange(length.sum()) - np.repeat(np.cumsum(length) - length, length)
-        value = self.mark[points[kind != 0]] * power[inside]
-        name = np.add.reduceat(value, np.cumsum(length) - length)
+        chars, base = points[kind != 0], np.cumsum(length) - length
+        name = np.add.reduceat(self.mark[chars] * power[inside], base)
         _, first, which = np.unique(name, return_index=True, return_inverse=True)
+        like = first[which]
+        if (length != length[like]).any() or (chars != chars[np.arange(len(chars)) + np.repeat(base[like] - base, length)]).any():
+            # two words of one name: the names are only a short way to equal words
+            return [np.array(code.ids, np.uint32) for code in self.library.encode_batch(texts, add_special_tokens=False)]
         words = [joined[a:b] for a, b in zip(at[first].tolist(), stop[first].tolist(), strict=True)]
         new = [w for w in words if w not in self.place]
         if len(self.place) + len(new) > CACHE_WORDS:
