@@ -1,8 +1,8 @@
 """Self-join of documents on the Jaccard similarity of their word n-gram sets, by MinHash banding.
 
 Copies of a text are one node. Nodes that share a band name meet in a bucket; buckets with the same members as one of an
-earlier band are dropped, as no pair meets there first. A pair is judged on its full n-gram sets, in the first band in
-which it meets and nowhere else, so links are counted once without any table of pairs: each bucket returns, for each of
+earlier band are dropped, as no pair meets there first. A pair is judged on its full n-gram sets, words against words, in
+the first band in which it meets and nowhere else, so links are counted once without any table of pairs: each bucket returns, for each of
 its members, a weight of links and one partner that leads to the rest of its component. A bucket of any size is cut into
 blocks, and each pair of blocks is a task of bounded size.
 """
@@ -16,7 +16,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from . import storage
-from .shingles import WIDTH, band_names, choose_bands, shingle_set
+from .shingles import WIDTH, band_names, choose_bands, exact_sets, shingle_set
 
 #: Members, and shingles, of a block at most (on average, as blocks are dealt out by hash).
 BLOCK_MEMBERS, BLOCK_SHINGLES = 1024, 4 << 20
@@ -116,7 +116,7 @@ def jaccard_join(docs: DataFrame, key: str = "doc_id", text: str = "text", num:
     id. Bands and rows are chosen so that a pair just at the threshold is met with probability ``recall``.
     """
     bands, rows = choose_bands(num / den, recall)
-    base = docs.select(F.col(key).cast("bigint").alias("id"), F.coalesce(F.col(text), F.lit("")).alias("t")).withColumn("k", F.unhex(F.md5("t")))
+    base = docs.select(F.col(key).cast("bigint").alias("id"), F.coalesce(F.col(text), F.lit("")).alias("t")).withColumn("k", F.unhex(F.substring(F.sha2("t", 256), 1, 32)))
 
     def sketch(batches):
         for batch in batches:
@@ -139,16 +139,17 @@ def jaccard_join(docs: DataFrame, key: str = "doc_id", text: str = "text", num:
     own = F.pmod(F.xxhash64("k"), F.col("blocks"))
     dealt = members.withColumn("own", own).withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1).cast("array<bigint>")))
     dealt = dealt.select("k", "band", "name", "own", F.least("own", "other").alias("lo"), F.greatest("own", "other").alias("hi"))
-    wanted = dealt.join(nodes, "k").select("k", F.col("rep").alias("id"), "copies", "band", "name", "own", "lo", "hi")
+    known = nodes.join(first.select("k", "names"), "k").select("k", F.col("rep").alias("id"), "copies", "names")
+    wanted = dealt.join(known, "k").select("k", "id", "copies", "names", "band", "name", "own", "lo", "hi")
     texts = base.select("id", "k", "t")
-    full = wanted.join(texts, (wanted["k"] == texts["k"]) & wanted["id"].eqNullSafe(texts["id"])).select(wanted["k"], "t", "copies", "band", "name", "own", "lo", "hi")
+    full = wanted.join(texts, (wanted["k"] == texts["k"]) & wanted["id"].eqNullSafe(texts["id"])).select(wanted["k"], "t", "copies", "names", "band", "name", "own", "lo", "hi")
 
     def judge(group: pd.DataFrame) -> pd.DataFrame:
         group = group.drop_duplicates("k").sort_values("k")
         if len(group) < 2:
             return pd.DataFrame({"a": [], "b": [], "links": []})
-        sets = [shingle_set(t, width) for t in group["t"]]
-        names = np.stack([band_names(s, bands, rows) for s in sets])
+        sets = exact_sets(group["t"].tolist(), width)
+        names = np.stack(group["names"].to_list()).astype(np.int64)
         lo, hi = int(group["lo"].iloc[0]), int(group["hi"].iloc[0])
         left = np.ones(len(group), bool) if lo == hi else (group["own"] == lo).to_numpy()
         i, j = linked_pairs(sets, names, int(group["band"].iloc[0]), left, num, den)

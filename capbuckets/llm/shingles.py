@@ -1,4 +1,8 @@
-"""Word shingles of texts as sets of 64-bit names, and MinHash sketches of those sets, by array operations."""
+"""Word shingles of texts, and MinHash sketches of their sets, by array operations.
+
+Sketches rest on 64-bit names of shingles, as candidates may be too many but not too few. Decisions rest on
+:func:`exact_sets`, which numbers the words and shingles of some texts by comparing the words themselves.
+"""
 
 from __future__ import annotations
 
@@ -46,6 +50,39 @@ def shingle_set(text: str, width: int = WIDTH) -> np.ndarray:
     return np.unique(mix(total))
 
 
+def _numbered(high: np.ndarray, low: np.ndarray, low_count: int) -> tuple[np.ndarray, int]:
+    """Numbers from 0 for the distinct pairs (high, low), and how many there are."""
+    if int(high.max(initial=0)) < (1 << 62) // max(1, low_count):
+        distinct, which = np.unique(high * low_count + low, return_inverse=True)
+    else:
+        distinct, which = np.unique(np.stack([high, low], 1), axis=0, return_inverse=True)
+    return which.reshape(-1).astype(np.int64), len(distinct)
+
+
+def exact_sets(texts: list[str], width: int = WIDTH) -> list[np.ndarray]:
+    """For each text the sorted numbers of its distinct shingles; equal numbers are equal words, in any of the texts.
+
+    Texts of fewer words have one shingle of all their words (unlike any of another length), or none.
+    """
+    number: dict[str, int] = {}
+    words = [np.fromiter((number.setdefault(w, len(number)) for w in t.lower().split()), np.int64) for t in texts]
+    count, sizes = len(number), np.array([len(w) for w in words], np.int64)
+    out: list[np.ndarray] = [np.zeros(0, np.int64)] * len(texts)
+    used = 0
+    for n in sorted({min(width, int(x)) for x in sizes} - {0}):
+        own = np.flatnonzero(sizes == n if n < width else sizes >= width)
+        flat = np.concatenate([words[i] for i in own])
+        ends = np.cumsum(sizes[own])
+        begin = np.concatenate([np.arange(e - k, e - n + 1) for e, k in zip(ends, sizes[own], strict=True)])
+        name, names = flat[begin], count
+        for j in range(1, n):
+            name, names = _numbered(name, flat[begin + j], count)
+        for i, part in zip(own, np.split(name + used, np.cumsum(sizes[own] - n + 1)[:-1]), strict=True):
+            out[i] = np.unique(part)
+        used += names
+    return out
+
+
 def choose_bands(threshold: float, recall: float, most_hashes: int = 128) -> tuple[int, int]:
     """(bands, rows): the most rows a band, within ``most_hashes`` in all, that find a pair at ``threshold`` with ``recall``."""
     for rows in range(16, 0, -1):

@@ -411,3 +411,47 @@ def test_kinds_counts_the_words_of_the_whole_text():
     names = [f"bad{i}" for i in range(300)]
     codes = toxicity._Codes({f"w:{w}": 5.0 for w in names})
     assert toxicity.features(" ".join(names), codes)[toxicity.FEATURES.index("kinds")] == 300
+
+
+# ---------------------------------------------------------------- words that a polynomial name does not tell apart
+
+
+def doubled(steps):
+    """Two different words of 2 ** steps letters: each step appends the complement."""
+    a = "a"
+    for _ in range(steps):
+        a += a.translate(str.maketrans("ab", "ba"))
+    return a, a.translate(str.maketrans("ab", "ba"))
+
+
+@pytest.mark.parametrize("steps", [8, 10, 11, 12])
+def test_words_of_one_name_have_their_own_ids(steps):
+    a, b = doubled(steps)
+    e = token_files.encoder_for(WORD_BPE)
+    for texts in ([a, b], [f"{a} {b} end", "x y"], [b, a, b]):
+        want = [e.library.encode(t, add_special_tokens=False).ids for t in texts]
+        ids, sizes = e.encode(texts)
+        assert ids.tolist() == [i for w in want for i in w] and sizes.tolist() == [len(w) for w in want]
+
+
+@settings(max_examples=60, deadline=None)
+@given(st.lists(st.lists(st.text(alphabet="ab", min_size=1, max_size=40), max_size=12), max_size=5))
+def test_words_of_two_letters(texts):
+    texts = [" ".join(t) for t in texts]
+    e = token_files.encoder_for(WORD_BPE)
+    want = [e.library.encode(t, add_special_tokens=False).ids for t in texts]
+    assert e.encode(texts)[0].tolist() == [i for w in want for i in w]
+    sets = shingles.exact_sets(texts)
+    true = [H.shingles(t) for t in texts]
+    for i, x in enumerate(sets):
+        assert len(x) == len(true[i])
+        for j, y in enumerate(sets):
+            assert len(np.intersect1d(x, y)) == len(true[i] & true[j])
+
+
+def test_words_of_one_name_make_no_link(spark):
+    a, b = doubled(10)
+    data = [(1, " ".join([a] * 9)), (2, " ".join([b] * 9)), (3, f"{a} {b} {a} {b} {b}"), (4, f"{b} {a} {b} {a} {a}"), (5, " ".join([a] * 12))]
+    assert shingles.word_names(a) == shingles.word_names(b)
+    got = H.rows(jaccard_join.jaccard_join(frame(spark, data)).select("doc_id", "class_id", "n_links"))
+    assert got == sorted(H.jaccard_classes(data), key=str) and (5, 1, 1) in got
