@@ -77,10 +77,10 @@ def contaminated(docs, items):
         for i, n, bag in known:
             if not every & set(bag):
                 continue
-            for s in range(len(w) - n + 1):
+            for s in range(max(1, len(w) - n + 1)):  # a text of fewer words is one window
                 own = bags(w[s : s + n])
                 both = sum((own & bag).values())
-                if both * 5 >= 4 * (2 * (n - 4) - both):
+                if both and both * 5 >= 4 * (sum(own.values()) + n - 4 - both):
                     found.add((k, i))
                     break
     return found
