@@ -1,9 +1,11 @@
 """Web archives: writing capture transactions as WARC records, reading them back, and putting transactions together.
 
 A capture is a request, a response (or a revisit of an earlier equal payload) and a metadata record; the first and the
-last name the second one through ``WARC-Concurrent-To``. Records are built by column expressions and written by Spark's
-committed text writer (a record's closing line end is the writer's), so archives lie in any store Spark writes to and a
-lost task leaves no half archive. Archives are read whole, one bounded file at a time, and cut by ``Content-Length``.
+last name the second one through ``WARC-Concurrent-To``, and a revisit names the response that it stands for through
+``WARC-Refers-To``. Each record is a gzip member of its own, so that a reader may begin at any record. Members are put
+together to chunks of some bytes, and chunks to files, by Spark's committed text writer: what it writes between two chunks is an empty
+gzip member, so the archives are plain concatenations of members, lie in any store Spark writes to, and a lost task
+leaves no half archive. Archives are read one bounded file at a time, member by member, and cut by ``Content-Length``.
 """
 
 from __future__ import annotations
@@ -18,49 +20,57 @@ from pyspark.sql import functions as F
 
 from . import storage
 
-#: Captures in one archive file at most (three records each), and the smallest payload that a revisit stands for.
-CAPTURES_PER_FILE, LEAST_REVISIT = 1000, 100
+#: Bytes of a chunk, chunks in a file (a file has their product, or its largest record more), and the smallest payload that a revisit stands for.
+CHUNK_BYTES, CHUNKS_PER_FILE, LEAST_REVISIT = 4 << 20, 16, 100
 CRLF = "\r\n"
+#: Fixed value: a gzip member that holds nothing.
+EMPTY_MEMBER = bytes.fromhex("1f8b08000000000000030300") + bytes(8)
+LEVEL = 6
 #: Fixed value: the date of every record, as the tables have no time of capture.
 DATE = "2024-01-01T00:00:00Z"
 
 
-def revisited(pages: DataFrame, key: str, payload: Column, least: int = LEAST_REVISIT) -> DataFrame:
-    """(digest, first): for each payload of at least ``least`` bytes that occurs more than once, its smallest key.
+def revisited(captures: DataFrame, least: int = LEAST_REVISIT) -> DataFrame:
+    """(digest, first, first_name): for each payload of at least ``least`` bytes that occurs more than once, its smallest key and that capture's name.
 
-    Partial sums on each task come first, so a payload that a third of all pages share sends one row a task.
+    ``captures`` has (k, digest, n, seq). Partial minima on each task come first, so a payload that a third of all pages
+    share sends one row a task. Of repeated keys the smallest ``seq`` responds; null keys come after all others.
     """
-    named = pages.select(F.col(key).alias("k"), F.sha2(payload, 256).alias("digest"), F.octet_length(payload).alias("n")).where(F.col("n") >= least)
-    return named.groupBy("digest").agg(F.count(F.lit(1)).alias("c"), F.min("k").alias("first")).where("c > 1").select("digest", "first")
+    least_row = F.min(F.struct(F.col("k").isNull().alias("none"), "k", "seq"))
+    again = captures.where(F.col("n") >= least).groupBy("digest").agg(F.count(F.lit(1)).alias("c"), least_row.alias("r")).where("c > 1")
+    return again.select("digest", F.col("r.k").alias("first"), F.col("r.seq").alias("first_seq"))
 
 
 def _record(kind: Column | str, name: Column, headers: list[Column], body: Column) -> Column:
-    """A record as binary, but for the last line end; null headers are left out."""
+    """A record as binary; null headers are left out."""
     kind = F.lit(kind) if isinstance(kind, str) else kind
     head = F.concat_ws(CRLF, F.lit("WARC/1.1"), F.concat(F.lit("WARC-Type: "), kind), F.concat(F.lit("WARC-Record-ID: <"), name, F.lit(">")), F.lit(f"WARC-Date: {DATE}"), *headers, F.concat(F.lit("Content-Length: "), F.octet_length(body).cast("string")))
-    return F.concat(head.cast("binary"), F.lit(CRLF * 2).cast("binary"), body, F.lit(CRLF).cast("binary"))
+    return F.concat(head.cast("binary"), F.lit(CRLF * 2).cast("binary"), body, F.lit(CRLF * 2).cast("binary"))
 
 
 def write_archives(pages: DataFrame, path: str, key: str = "page_id", url: str = "url", html: str = "html", least: int = LEAST_REVISIT) -> None:
     """Writes three records a page into gzip-compressed archives below ``path``.
 
     A null payload is empty, a null url is left out, a null key is written as ``null``. Of equal payloads of at least
-    ``least`` bytes the rows with the smallest key are responses, all others revisits of that key; repeated rows are
-    captures of their own. The table of repeated payloads is written first, so that Spark knows its size: it is broadcast
-    if that is under the session's limit and joined by shuffle, with skewed digests split, if not.
+    ``least`` bytes the one with the smallest key is the response (of repeated rows of that key, too, all are responses; the
+    first of them is referred to), all others are revisits that refer to its record; repeated rows are captures of
+    their own. Pages get their numbers once, in a written table, as numbers given on the fly need not be the same twice. The
+    table of repeated payloads is written first, so that Spark knows its size: it is broadcast if that is under the session's
+    limit and joined by shuffle, with skewed digests split, if not.
     """
     spark = pages.sparkSession
     payload = F.coalesce(F.col(html).cast("binary"), F.lit(b""))
-    again = storage.materialize(revisited(pages, key, payload, least), "revisited")
-    rows = pages.select(F.col(key).alias("k"), F.regexp_replace(F.col(url), r"[\r\n]+", " ").alias("u"), payload.alias("p"), F.sha2(payload, 256).alias("digest"), F.monotonically_increasing_id().alias("seq"))
+    rows = pages.select(F.col(key).alias("k"), F.regexp_replace(F.col(url), r"[\r\n]+", " ").alias("u"), payload.alias("p"), F.sha2(payload, 256).alias("digest"), F.octet_length(payload).alias("n"), F.monotonically_increasing_id().alias("seq"))
+    rows = storage.materialize(rows, "captures")
+    again = storage.materialize(revisited(rows, least), "revisited")
     rows = rows.join(again, "digest", "left")
-    revisit = F.col("first").isNotNull() & ~F.col("k").eqNullSafe(F.col("first"))
-    own = F.concat_ws(":", F.coalesce(F.col("k").cast("string"), F.lit("null")), F.substring("digest", 1, 16), F.col("seq").cast("string"))
-    name = lambda kind: F.concat(F.lit(f"urn:x-capture:{kind}:"), own)
+    revisit = F.col("first_seq").isNotNull() & ~F.col("k").eqNullSafe(F.col("first"))
+    named = lambda kind, k, seq: F.concat_ws(":", F.lit(f"urn:x-capture:{kind}"), F.coalesce(F.col(k).cast("string"), F.lit("null")), F.substring("digest", 1, 16), F.col(seq).cast("string"))
+    name = lambda kind: named(kind, "k", "seq")
     target = F.concat(F.lit("WARC-Target-URI: "), F.col("u"))
     digest = F.concat(F.lit("WARC-Payload-Digest: sha256:"), F.col("digest"))
     to = F.concat(F.lit("WARC-Concurrent-To: <"), name("capture"), F.lit(">"))
-    refers = F.when(revisit, F.concat(F.lit("WARC-Refers-To: <urn:x-capture:capture:"), F.col("first").cast("string"), F.lit(":"), F.substring("digest", 1, 16), F.lit(">")))
+    refers = F.when(revisit, F.concat(F.lit("WARC-Refers-To: <"), named("capture", "first", "first_seq"), F.lit(">")))
     text = lambda *lines: F.concat_ws(CRLF, *lines).cast("binary")
     empty = F.lit("")
     ask = text(F.concat(F.lit("GET "), F.coalesce(F.col("u"), F.lit("/")), F.lit(" HTTP/1.1")), F.lit("Accept: text/html"), empty, empty)
@@ -71,35 +81,70 @@ def write_archives(pages: DataFrame, path: str, key: str = "page_id", url: str =
         _record(F.when(revisit, F.lit("revisit")).otherwise(F.lit("response")), name("capture"), [target, digest, refers, F.when(revisit, F.lit("WARC-Profile: http://netpreserve.org/warc/1.1/revisit/identical-payload-digest")), F.lit("Content-Type: application/http; msgtype=response")], answer),
         _record("metadata", name("metadata"), [to, target, F.lit("Content-Type: application/warc-fields")], about),
     )
-    records = rows.select(F.explode(three).alias("record")).select(F.col("record").cast("string").alias("value"))
-    (records.write.option("compression", "gzip").option("lineSep", CRLF).option("maxRecordsPerFile", 3 * CAPTURES_PER_FILE).text(path))
+
+    def members(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held, size = [], 0
+        for batch in batches:
+            for record in batch.column("record"):
+                pack = zlib.compressobj(LEVEL, zlib.DEFLATED, 31)
+                member = pack.compress(record.as_buffer()) + pack.flush()
+                if held and size + len(member) > CHUNK_BYTES:
+                    yield pa.RecordBatch.from_arrays([pa.array([b"".join(held)], pa.binary())], names=["chunk"])
+                    held, size = [], 0
+                held.append(member)
+                size += len(member)
+        if held:
+            yield pa.RecordBatch.from_arrays([pa.array([b"".join(held)], pa.binary())], names=["chunk"])
+
+    chunks = rows.select(F.explode(three).alias("record")).mapInArrow(members, "chunk binary").select(F.col("chunk").cast("string").alias("value"))
+    write = chunks.write.option("encoding", "ISO-8859-1").option("lineSep", EMPTY_MEMBER.decode("latin-1")).option("maxRecordsPerFile", CHUNKS_PER_FILE)
+    write.text(path)
 
 
 _LENGTH = re.compile(rb"\r\nContent-Length:[ \t]*(\d+)", re.I)
 
 
+def members_of(data: bytes) -> Iterator[bytes]:
+    """The contents of the gzip members of an archive, one after another; the archive itself, if it is not compressed."""
+    if data[:2] != b"\x1f\x8b":
+        yield data
+        return
+    at = memoryview(data)
+    while len(at):
+        member, out, used, step = zlib.decompressobj(31), [], 0, 1 << 12
+        while not member.eof:
+            if used >= len(at):
+                raise ValueError("the archive ends within a member")
+            out.append(member.decompress(at[used : used + step]))
+            used, step = used + step, 1 << 18
+        at = at[min(used, len(at)) - len(member.unused_data) :]
+        yield b"".join(out)
+
+
 def records_of(data: bytes) -> Iterator[tuple[dict[str, str], bytes]]:
-    """(headers by lower-case name, block) of every record of one archive; gzip members are decompressed in turn."""
-    if data[:2] == b"\x1f\x8b":
-        parts = []
-        while data:
-            member = zlib.decompressobj(31)
-            parts.append(member.decompress(data) + member.flush())
-            data = member.unused_data
-        data = b"".join(parts)
-    at = 0
-    while at < len(data):
-        stop = data.find(b"\r\n\r\n", at)
-        if data[at : at + 5] != b"WARC/" or stop < 0:
-            raise ValueError(f"no record starts at byte {at}")
-        head = data[at:stop]
-        size = int(_LENGTH.search(head)[1])
-        fields = (line.partition(b":") for line in head.split(b"\r\n")[1:])
-        yield {k.decode("utf-8", "replace").lower(): v.decode("utf-8", "replace").strip() for k, _, v in fields}, data[stop + 4 : stop + 4 + size]
-        at = stop + 4 + size
-        if data[at : at + 4] != b"\r\n\r\n":
-            raise ValueError(f"no record ends at byte {at}")
-        at += 4
+    """(headers by lower-case name, block) of every record of one archive; a record may be a member, or go over several."""
+    rest = b""
+    for part in members_of(data):
+        rest, at = rest + part if rest else part, 0
+        while at < len(rest):
+            stop = rest.find(b"\r\n\r\n", at)
+            if rest[at : at + 5] not in (b"WARC/", b"WARC/"[: len(rest) - at]):
+                raise ValueError("a record does not start where the one before ends")
+            if stop < 0:
+                break
+            head = rest[at:stop]
+            size = int(_LENGTH.search(head)[1])
+            if len(rest) < stop + 8 + size:
+                break
+            fields = (line.partition(b":") for line in head.split(b"\r\n")[1:])
+            yield {k.decode("utf-8", "replace").lower(): v.decode("utf-8", "replace").strip() for k, _, v in fields}, rest[stop + 4 : stop + 4 + size]
+            at = stop + 4 + size
+            if rest[at : at + 4] != b"\r\n\r\n":
+                raise ValueError("a record does not end after its block")
+            at += 4
+        rest = rest[at:]
+    if rest:
+        raise ValueError("the archive ends within a record")
 
 
 RECORD = "record_id string, record_type string, concurrent_to string, target_uri string, refers_to string, digest string, block_bytes bigint, block binary, payload_sha256 string, payload_bytes bigint"

@@ -96,6 +96,50 @@ def test_archives_round_trip(spark):
     assert any(big.encode() in bytes(r.block) for r in held)
 
 
+def test_every_revisit_finds_its_record(spark, sf):
+    """WARC-Refers-To names a response record of the same payload digest, and each record is a member that can be read alone."""
+    pages = storage.table(spark, sf, "pages")
+    pages = pages.unionByName(pages.limit(9)).unionByName(pages.withColumn("page_id", F.col("page_id") + 10_000)).unionByName(pages.limit(5).withColumn("page_id", F.lit(None).cast("bigint")))
+    path = storage.shared_path(spark, "warc-refers")
+    warc.write_archives(pages, path)
+    records = warc.read_records(spark, path).select("record_id", "record_type", "refers_to", "concurrent_to", "digest").collect()
+    named = {r.record_id: r for r in records}
+    assert len(named) == len(records) == 3 * pages.count()
+    revisits = [r for r in records if r.record_type == "revisit"]
+    assert revisits and all(named[r.refers_to].record_type == "response" and named[r.refers_to].digest == r.digest for r in revisits)
+    assert all(r.concurrent_to in named for r in records if r.record_type in ("request", "metadata"))
+    archive = bytes(spark.read.format("binaryFile").option("pathGlobFilter", "part-*").load(path).first().content)
+    members = [m for m in warc.members_of(archive) if m]
+    assert len(members) >= 3 and all(len(list(warc.records_of(m))) == 1 and m.startswith(b"WARC/1.1") for m in members)
+    import gzip
+
+    assert gzip.decompress(archive) == b"".join(members)
+
+
+def test_large_payloads_are_cut_into_files_by_bytes(spark, monkeypatch):
+    monkeypatch.setattr(warc, "CHUNK_BYTES", 1 << 16)
+    monkeypatch.setattr(warc, "CHUNKS_PER_FILE", 2)
+    r = random.Random(3)
+    data = [(i, "http://a", "".join(r.choice("abcdefghijklmnopqrstuvwxyz0123456789") for _ in range(3_000_000 if i == 7 else 50_000))) for i in range(20)]
+    path = storage.shared_path(spark, "warc-large")
+    warc.write_archives(frame(spark, data, "page_id bigint, url string, html string").coalesce(1), path)
+    sizes = [r.length for r in spark.read.format("binaryFile").option("pathGlobFilter", "part-*").load(path).select("length").collect()]
+    assert len(sizes) > 5 and sum(x > 2 * (1 << 16) + 100 for x in sizes) == 1
+    got = {r.page_id: r.payload_bytes for r in warc.capture_summary(warc.assemble_transactions(warc.read_records(spark, path))).collect()}
+    assert got == {i: len(h) for i, _, h in data}
+
+
+def test_plain_archives_and_records_over_several_members():
+    import gzip
+
+    record = b"WARC/1.1\r\nWARC-Type: resource\r\nContent-Length: 6\r\n\r\nab\r\ncd\r\n\r\n"
+    for data in (record * 3, gzip.compress(record * 3), gzip.compress(record[:20]) + gzip.compress(record[20:] + record * 2), b""):
+        assert [b for _, b in warc.records_of(data)] == [b"ab\r\ncd"] * (3 if data else 0)
+    for data in (record[:-4], gzip.compress(record)[:-6], record + b"junk"):
+        with pytest.raises(ValueError):
+            list(warc.records_of(data))
+
+
 def test_assembly_of_parts_in_any_order(spark):
     none = [None] * 4
     rows = [("m", "metadata", "c", *none[:3], 0, *none[:3]), ("c", "response", *none, 0, None, "aa", 2), ("lone", "resource", *none, 0, *none[:3])]
@@ -359,6 +403,40 @@ def test_blocks_meet_within_the_radius(spark):
     assert df.where(F.size(F.array_intersect(blocks("a"), blocks("b"))) == 0).count() == 0
 
 
+def test_moved_passages_against_brute_force(spark, monkeypatch):
+    """Items with halves swapped, rotated, with words put in, left out or changed, repeated items, and items of few words."""
+    r = random.Random(12)
+    few = ["red", "blue", "green"]
+    items = [(i, prose(20 + 5 * i, 700 + i)) for i in range(9)] + [(20, " ".join(r.choice(few) for _ in range(30))), (21, "red " * 25), (22, " ".join(["one two three four five six"] * 6))]
+    docs = []
+    for k, (_, t) in enumerate(items):
+        w = t.split()
+        half, at = len(w) // 2, r.randrange(1, len(w))
+        shapes = [w[half:] + w[:half], w[at:] + w[:at], w[:at] + ["new"] + w[at:], w[:at] + w[at + 1 :], w + w, w[:-2] + ["x", "y"], w[at:] + w, [*w[: at // 2], "p", "q", *w[at // 2 :]], r.sample(w, len(w))]
+        docs += [(100 * k + i, " ".join(prose(r.randint(0, 40), 9 * k + i).split() + x + prose(r.randint(0, 40), 5000 + 9 * k + i).split())) for i, x in enumerate(shapes)]
+    docs += [(5000 + i, " ".join(r.choice(few) for _ in range(r.randint(3, 90)))) for i in range(30)]
+    want = H.contaminated(docs, items)
+    assert {k for k, _ in want} >= {400, 500, 600, 700, 800, 801, 1000, 1100}
+    for inline in (50_000, 10):
+        monkeypatch.setattr(decontamination, "MAX_INLINE", inline)
+        got = {(r.doc_id, r.item_id) for r in decontamination.contaminated(frame(spark, docs), frame(spark, items, "item_id bigint, text string")).collect()}
+        assert got == want
+
+
+def test_radius_finds_windows_at_the_threshold(spark):
+    """Of pairs of shingle sets with a similarity of just 0.8 or little more nearly none is beyond the radius."""
+    r = np.random.default_rng(3)
+    draw = lambda n: r.integers(-(1 << 63), (1 << 63) - 1, n).tolist()
+    rows = []
+    for m in (9, 18, 27, 36, 45, 90):
+        for _ in range(500):
+            both = draw(m * 8 // 9)
+            rows.append((both + draw(m - len(both)), both + draw(m - len(both))))
+    df = frame(spark, rows, "a array<bigint>, b array<bigint>")
+    far = df.where(F.bit_count(decontamination.simhash(F.col("a")).bitwiseXOR(decontamination.simhash(F.col("b")))) > decontamination.RADIUS).count()
+    assert far <= 0.002 * len(rows)
+
+
 def test_clean_documents_keep_their_columns(spark, awkward):
     bench = frame(spark, [(1, prose(60, 2))], "item_id bigint, text string")
     kept = decontamination.clean_documents(awkward, bench)
