@@ -2,6 +2,7 @@
 
 import random
 import sys
+import time
 import zlib
 from pathlib import Path
 
@@ -348,6 +349,23 @@ def test_spread_lines(spark, awkward):
     assert out.count() == awkward.count() and line_spread.remove_spread_lines(awkward.limit(0)).count() == 0
 
 
+def test_runs_of_lines_that_go(spark):
+    """Lines that go at either end, side by side, all of them, or in a text of very many lines."""
+    r = random.Random(4)
+    common = [f"common {i}" for i in range(5)]
+    data = [(i, "\n".join(common), f"site{i}") for i in range(12)]
+    texts = {100 + i: [r.choice([*common, f"own {r.random()}", "", "  "]) for _ in range(r.randint(1, 12))] for i in range(60)}
+    texts[500] = [common[i % 5] for i in range(100_000)] + ["kept"]
+    data += [(k, "\n".join(t), "site0") for k, t in texts.items()]
+    began = time.monotonic()
+    got = {x.doc_id: x for x in line_spread.remove_spread_lines(frame(spark, data, "doc_id bigint, text string, source string")).collect()}
+    assert time.monotonic() - began < 60
+    for k, t in texts.items():
+        left = [x for x in t if x not in common]
+        assert (got[k].text, got[k].n_lines, got[k].n_removed) == ("\n".join(left), len(t), len(t) - len(left))
+    assert all(got[i].text == "" and got[i].n_removed == 5 for i in range(12))
+
+
 def test_sketches_merge(spark):
     occ = frame(spark, [(1, 2, f"s{i}") for i in range(50)] + [(3, 4, "s0")], "a bigint, b int, site string")
     halves = [line_spread.site_sketches(occ.where(f"site {op} 's3'")) for op in ("<", ">=")]
