@@ -65,13 +65,16 @@ def voronoi_top_k(rows: DataFrame, key: str, vector: str, is_query: Column, k: i
 
     ``vector`` holds arrays of bigint; null vectors and null keys take no part, shorter vectors count as ended by zeros.
     Ties go to the smaller key; a query with fewer than ``k`` partners gets all of them. Rows that repeat a key count as
-    partners of their own, but never of their own key; rows of one query key ask together. Pivots are a sample by hash, bounded by ``MAX_PIVOTS``; every row is
+    partners of their own, but never of their own key; each row of a repeated query key has its own ``k`` answers. Pivots are
+    a sample by hash, bounded by ``MAX_PIVOTS``, as they and k + 1 distances of each are collected; every row is
     searched. Cells are cut into rings by distance and into blocks of about ``BLOCK`` rows by hash, so a cell of any size
-    is spread out; blocks, not rows, are matched with cells.
+    is spread out; blocks, not rows, are matched with cells. Blocks are dealt out to shares, and a block of queries goes only
+    to shares that hold a block which its cell can need. A vector is copied to the cells that need it and a query to no more
+    shares than make as many copies, so what is moved grows in proportion to the rows.
     """
     spark = rows.sparkSession
     own = rows.select(F.col(key).cast("bigint").alias("id"), F.col(vector).alias("v"), is_query.alias("q")).where(F.col("v").isNotNull() & F.col("id").isNotNull())
-    own = storage.materialize(own.withColumn("q", F.coalesce("q", F.lit(False))), "vectors")
+    own = storage.materialize(own.withColumn("q", F.coalesce("q", F.lit(False))).withColumn("row", F.monotonically_increasing_id()), "vectors")
     square = F.aggregate("v", F.lit(0.0), lambda a, x: a + x.cast("double") * x.cast("double"))
     facts = own.agg(F.count(F.lit(1)).alias("n"), F.max(F.size("v")).alias("dim"), F.max(square).alias("top"), F.max(F.aggregate("v", F.lit(0).cast("bigint"), lambda a, x: F.greatest(a, F.abs(x)))).alias("widest"), F.count_if("q").alias("asked")).first()
     out_schema = "query_id bigint, rank int, vec_id bigint, score bigint"
@@ -79,8 +82,7 @@ def voronoi_top_k(rows: DataFrame, key: str, vector: str, is_query: Column, k: i
         return spark.createDataFrame([], out_schema)
     dim, top = int(facts.dim), float(facts.top)
     small = next(t for t in (np.int8, np.int16, np.int32, np.int64) if facts.widest <= np.iinfo(t).max)
-    repeats = own.groupBy("id").agg(F.count(F.lit(1)).alias("c")).agg(F.max("c")).first()[0]
-    spare = k + repeats  # a query's own rows are among the nearest, and don't count
+    spare = k + 1  # of so many different keys one at most is a query's own
     pivots = min(MAX_PIVOTS, max(4, facts.asked * 2 // BLOCK))  # a query cell should fill half a block
     sample = own.select("id", "v").orderBy(F.xxhash64("id"), "id").limit(pivots).collect()
     centre = np.zeros((len(sample), dim), np.int64)
@@ -106,58 +108,66 @@ def voronoi_top_k(rows: DataFrame, key: str, vector: str, is_query: Column, k: i
                     d = _distances(z, centre)
                     cell = d.argmin(1)
                     near = d[np.arange(len(z)), cell]
-                    yield pa.RecordBatch.from_arrays([pa.array(np.full(len(z), kind)), pa.array(cell.astype(np.int32)), pa.array(near), part.column("id").filter(pa.array(chosen)), data.filter(pa.array(chosen))], names=["q", "cell", "d", "id", "x"])
+                    yield pa.RecordBatch.from_arrays([pa.array(np.full(len(z), kind)), pa.array(cell.astype(np.int32)), pa.array(near), part.column("row").filter(pa.array(chosen)), part.column("id").filter(pa.array(chosen)), data.filter(pa.array(chosen))], names=["q", "cell", "d", "row", "id", "x"])
 
-    placed = storage.materialize(own.mapInArrow(place, "q boolean, cell int, d double, id bigint, x binary"), "placed")
+    placed = storage.materialize(own.mapInArrow(place, "q boolean, cell int, d double, row bigint, id bigint, x binary"), "placed")
     queries, data = placed.where("q"), placed.where("NOT q").withColumn("ring", F.floor(F.col("d") / width).cast("int"))
 
     # Summaries: a row a cell, or a ring of a cell; their number is bounded by that of the pivots.
     q_cells = queries.groupBy("cell").agg(F.count(F.lit(1)).alias("n"), F.max("d").alias("far")).collect()
     rings = data.groupBy("cell", "ring").agg(F.count(F.lit(1)).alias("n"), F.min("d").alias("lo"), F.max("d").alias("hi")).collect()
-    nearest = data.select("cell", "d", F.row_number().over(Window.partitionBy("cell").orderBy("d")).alias("r")).where(F.col("r") <= spare).select("cell", "d").collect()
+    by_key = data.groupBy("cell", "id").agg(F.min("d").alias("d"))
+    nearest = by_key.select("cell", "id", "d", F.row_number().over(Window.partitionBy("cell").orderBy("d")).alias("r")).where(F.col("r") <= spare).select("cell", "id", "d").collect()
     if not q_cells or not rings:
         return spark.createDataFrame([], out_schema)
-    cells, dist = np.array([r.cell for r in nearest]), np.array([r.d for r in nearest])
+    cells, dist, keys = np.array([r.cell for r in nearest]), np.array([r.d for r in nearest]), np.array([r.id for r in nearest])
     bound = {}
-    for r in q_cells:  # the k-th distance of any query of the cell, its own rows left out
-        upper = np.sort(r.far + apart[r.cell, cells] + dist)
+    for r in q_cells:  # the k-th distance of any query of the cell, its own key left out
+        upper = r.far + apart[r.cell, cells] + dist
+        order = np.argsort(upper, kind="stable")
+        _, first = np.unique(keys[order], return_index=True)
+        upper = np.sort(upper[order][first])
         bound[r.cell] = float(upper[spare - 1]) if len(upper) >= spare else float("inf")
     slack = 1e-6 * (1 + top**0.5)
     reach = [(r.cell, r.ring, -(-r.n // BLOCK), t.cell, max(0.0, apart[t.cell, r.cell] - t.far - r.hi, r.lo - apart[t.cell, r.cell] - t.far)) for r in rings for t in q_cells]
     reach = [x for x in reach if x[4] <= bound[x[3]] + slack]
-    routes = F.broadcast(spark.createDataFrame(_grouped(reach), "cell int, ring int, parts bigint, targets array<struct<q_cell:int,least:double>>"))  # bounded: rings x pivots
-    shares = max(1, int(facts.n) // (16 * BLOCK))
-    packed = data.join(routes, ["cell", "ring"]).withColumn("part", F.pmod(F.xxhash64("id"), F.col("parts")))
+    routes = spark.createDataFrame(_grouped(reach), "cell int, ring int, parts bigint, targets array<struct<q_cell:int,least:double>>")
+    held = {(r.cell, r.ring): r.n for r in rings}
+    copies = sum(held[x[0], x[1]] for x in reach)  # rows of vectors that are moved
+    shares = max(1, min(int(facts.n) // (16 * BLOCK), copies // max(1, facts.asked)))
+    packed = data.join(F.broadcast(routes), ["cell", "ring"]).withColumn("part", F.pmod(F.xxhash64("id"), F.col("parts")))
     blocks = packed.groupBy("cell", "ring", "part").agg(F.first("targets").alias("targets"), F.collect_list(F.struct("id", "x")).alias("rows"))
-    blocks = blocks.withColumn("share", F.pmod(F.xxhash64("cell", "ring", "part"), F.lit(shares))).select("share", "rows", F.inline("targets"))
+    share = F.pmod(F.xxhash64("cell", "ring", "part"), F.lit(shares))
+    blocks = blocks.withColumn("share", share).select("share", "rows", F.inline("targets"))
     sizes = F.broadcast(spark.createDataFrame([(r.cell, -(-r.n // BLOCK)) for r in q_cells], "q_cell int, parts bigint"))
     asked = queries.withColumnRenamed("cell", "q_cell").join(sizes, "q_cell").withColumn("q_part", F.pmod(F.xxhash64("id"), F.col("parts")))
-    asked = asked.groupBy("q_cell", "q_part").agg(F.collect_list(F.struct("id", "x")).alias("queries"))
-    asked = asked.withColumn("share", F.explode(F.sequence(F.lit(0), F.lit(shares - 1)).cast("array<bigint>")))
+    asked = asked.groupBy("q_cell", "q_part").agg(F.collect_list(F.struct("id", "x", "row")).alias("queries"))
+    wanted = routes.select("cell", "ring", "targets", F.explode(F.sequence(F.lit(0).cast("bigint"), F.col("parts") - 1)).alias("part")).select(share.alias("share"), F.inline("targets")).select("share", "q_cell").distinct()
+    asked = asked.join(wanted, "q_cell")
     tasks = blocks.join(asked, ["share", "q_cell"]).select("q_cell", "q_part", "least", "queries", "rows").sortWithinPartitions("q_cell", "q_part", "least")
 
     def solve(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        current, qid, q, far, score, ids = None, None, None, None, None, None
+        current, qid, row, q, far, score, ids = None, None, None, None, None, None, None
 
         def told():
             if current is None:
                 return
             keep = ids >= 0
-            at = np.repeat(qid, k)[keep.ravel()]
-            yield pa.RecordBatch.from_arrays([pa.array(at), pa.array(ids[keep]), pa.array(score[keep])], names=["query_id", "vec_id", "score"])
+            at = keep.ravel()
+            yield pa.RecordBatch.from_arrays([pa.array(np.repeat(row, k)[at]), pa.array(np.repeat(qid, k)[at]), pa.array(ids[keep]), pa.array(score[keep])], names=["row", "query_id", "vec_id", "score"])
 
         for batch in batches:
             for i in range(batch.num_rows):
                 name = (batch.column("q_cell")[i].as_py(), batch.column("q_part")[i].as_py())
                 if name != current:
                     yield from told()
-                    qid, q = _unpacked(batch.column("queries")[i], dim, small)
+                    qid, q, row = _unpacked(batch.column("queries")[i], dim, small)
                     score, ids = np.full((len(qid), k), NONE), np.full((len(qid), k), -1, np.int64)
                     current, far = name, (q.astype(float) ** 2).sum(1) + top
                 least = batch.column("least")[i].as_py()
                 if (ids[:, -1] >= 0).all() and (least > np.sqrt(np.maximum(far - 2.0 * score[:, -1], 0)) + slack).all():
                     continue
-                xid, x = _unpacked(batch.column("rows")[i], dim, small)
+                xid, x, _ = _unpacked(batch.column("rows")[i], dim, small)
                 for at in range(0, len(xid), BLOCK):
                     some, its = x[at : at + BLOCK], xid[at : at + BLOCK]
                     s = _products(q, some)
@@ -172,8 +182,8 @@ def voronoi_top_k(rows: DataFrame, key: str, vector: str, is_query: Column, k: i
                     score, ids = np.take_along_axis(s, order, 1), np.take_along_axis(ours, order, 1)
         yield from told()
 
-    local = tasks.mapInArrow(solve, "query_id bigint, vec_id bigint, score bigint")
-    ranked = local.withColumn("rank", F.row_number().over(Window.partitionBy("query_id").orderBy(F.desc("score"), "vec_id")))
+    local = tasks.mapInArrow(solve, "row bigint, query_id bigint, vec_id bigint, score bigint")
+    ranked = local.withColumn("rank", F.row_number().over(Window.partitionBy("row").orderBy(F.desc("score"), "vec_id")))
     return ranked.where(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score")
 
 
@@ -184,9 +194,11 @@ def _grouped(reach: list[tuple]) -> list[tuple]:
     return [(*k, v) for k, v in sorted(out.items())]
 
 
-def _unpacked(value: pa.Scalar, dim: int, kind: type) -> tuple[np.ndarray, np.ndarray]:
+def _unpacked(value: pa.Scalar, dim: int, kind: type) -> tuple[np.ndarray, np.ndarray, np.ndarray | None]:
+    """(ids in ascending order, vectors, row numbers if there are any) of a block."""
     rows = value.values
     ids = rows.field(0).to_numpy(zero_copy_only=False).astype(np.int64)
     x = np.frombuffer(b"".join(rows.field(1).to_pylist()), kind).reshape(len(ids), dim).astype(np.int64)
     order = np.argsort(ids, kind="stable")
-    return ids[order], x[order]
+    row = rows.field(2).to_numpy(zero_copy_only=False).astype(np.int64)[order] if rows.type.num_fields > 2 else None
+    return ids[order], x[order], row
