@@ -17,6 +17,8 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from . import storage
+
 #: Most labelled rows that the fit takes, and most entries of the lexicon.
 MAX_ROWS, MAX_TERMS = 16_000, 600
 BEGINNING = 5
@@ -204,24 +206,27 @@ def fold(key: Column, folds: int = 5) -> Column:
     return F.pmod(F.crc32(F.coalesce(key.cast("string"), F.lit("")).cast("binary")), F.lit(folds))
 
 
-def fit(docs: DataFrame, labels: DataFrame, key: str = "doc_id", text: str = "text", label: str = "toxic", max_rows: int = MAX_ROWS) -> Model:
+def fit(docs: DataFrame, labels: DataFrame, key: str = "doc_id", text: str = "text", label: str = "toxic", max_rows: int = MAX_ROWS, max_terms: int = MAX_TERMS) -> Model:
     """Fits lexicon, trees and calibration on the labelled rows of all folds but 0.
 
-    At most ``max_rows`` labelled keys take part, those with the smallest hash; this bound also bounds what is broadcast.
-    Rows with a null label or key are left out; of several labels of a key the largest counts; copies of a text count
-    once. Fold 1 calibrates. Without rows of both labels the model is constant: the share of the label, or 0.
+    At most ``max_rows`` labelled keys, and texts of them, take part, those with the smallest hash; this bounds what is
+    broadcast and collected, however often keys repeat. The lexicon has the ``max_terms`` terms with the largest product of
+    lift and number of toxic texts. Rows with a null label or key are left out; of several labels of a key, or a text, the
+    largest counts; copies of a text count once, in the fold of their smallest key. Fold 1 calibrates. Without rows of
+    both labels the model is constant: the share of the label, or 0. The fit is the same in whatever order rows arrive.
     """
     known = labels.select(F.col(key).alias("k"), F.col(label).cast("int").alias("y")).where(F.col("y").isNotNull() & F.col("k").isNotNull()).groupBy("k").agg(F.max("y").alias("y"))
     sample = known.where(fold(F.col("k")) != 0).orderBy(F.xxhash64("k"), "k").limit(max_rows)
     rows = docs.select(F.col(key).alias("k"), F.coalesce(F.col(text), F.lit("")).alias("t")).join(F.broadcast(sample), "k")
-    rows = rows.withColumn("h", F.xxhash64("t")).dropDuplicates(["h", "y"]).select("t", "y", fold(F.col("k")).alias("fold"))
+    rows = storage.materialize(rows.select("k", "y", fold(F.col("k")).alias("fold"), F.sha2("t", 256).alias("h"), "t"), "labelled-rows")
+    chosen = rows.groupBy("h").agg(F.max("y").alias("y"), F.min(F.struct("k", "fold")).alias("at")).orderBy("h").limit(max_rows).select("h", "y", "at.fold")
+    rows = storage.materialize(rows.groupBy("h").agg(F.first("t").alias("t")).join(F.broadcast(chosen), "h").select("t", "y", "fold"), "labelled-texts")
 
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         seen = (Counter(), Counter())
         for batch in batches:
             for t, y in zip(batch.column("t").to_pylist(), batch.column("y").to_pylist(), strict=True):
                 seen[y > 0].update(terms_of(t))
-                seen[y > 0]["rows"] += 1
             if len(seen[0]) + len(seen[1]) > 500_000:
                 yield from told(seen)
                 seen = (Counter(), Counter())
@@ -234,12 +239,10 @@ def fit(docs: DataFrame, labels: DataFrame, key: str = "doc_id", text: str = "te
             yield pa.RecordBatch.from_arrays([pa.array(some), *[pa.array([seen[k][t] for t in some], pa.int64()) for k in (0, 1)]], names=["term", "clean", "toxic"])
 
     counts = rows.where("fold <> 1").select("t", "y").mapInArrow(count, "term string, clean bigint, toxic bigint").groupBy("term").agg(F.sum("clean").alias("clean"), F.sum("toxic").alias("toxic"))
-    strong = counts.where((F.col("term") == "rows") | (F.col("toxic") >= 5) & (F.col("toxic") > F.col("clean") / 4)).orderBy((F.col("term") == "rows").desc(), F.col("toxic").desc(), "term").limit(20 * MAX_TERMS).collect()
-    total = next(((r.clean, r.toxic) for r in strong if r.term == "rows"), (0, 0))
-    lift = {r.term: float(np.log((r.toxic + 0.5) / (total[1] + 1)) - np.log((r.clean + 0.5) / (total[0] + 1))) for r in strong if r.term != "rows"}
-    size = {r.term: r.toxic for r in strong}
-    best = sorted((t for t, v in lift.items() if v >= 1.5), key=lambda t: (-lift[t] * size[t], t))[:MAX_TERMS]
-    model = Model({t: lift[t] for t in best})
+    clean, toxic = rows.where("fold <> 1").agg(F.count_if(F.col("y") <= 0), F.count_if(F.col("y") > 0)).first()
+    lift = F.log((F.col("toxic") + 0.5) / (toxic + 1)) - F.log((F.col("clean") + 0.5) / (clean + 1))
+    strong = counts.where((F.col("toxic") >= 5) & (F.col("toxic") > F.col("clean") / 4)).withColumn("lift", lift).where("lift >= 1.5")
+    model = Model({r.term: r.lift for r in strong.orderBy(F.desc(F.col("lift") * F.col("toxic")), "term").limit(max_terms).collect()})
     data = rows.mapInArrow(_featurizer(model.lexicon, ["y", "fold"]), "y int, fold bigint, x array<double>").toPandas()
     if data["y"].nunique() < 2:
         model.constant = float(data["y"].mean()) if len(data) else 0.0

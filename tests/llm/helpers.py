@@ -86,5 +86,71 @@ def contaminated(docs, items):
     return found
 
 
+def text_features(text, lexicon, second, strip, stand_ins):
+    """The toxicity features of a text, one definition after another, from lists of words."""
+    words = [w.strip(strip) for w in text.lower().split()]
+    n, d = len(words), max(1, len(words))
+    hits, begins, you, masked, masked_hits = {}, [], [], 0, 0
+    for i, w in enumerate(words):
+        if w in second:
+            you.append(i)
+        plain = "".join(c for c in "".join(stand_ins.get(c, c) for c in w) if c.isalpha() or (c.isalnum() and not c.isdecimal()))
+        if f"w:{w}" in lexicon:
+            hits[i] = lexicon[f"w:{w}"]
+        elif len(w) > 5 and f"b:{w[:5]}" in lexicon:
+            begins.append(i)
+        elif w and not w.isalpha() and not w.isnumeric() and any(c.isalpha() for c in w):
+            masked += 1
+            if f"w:{plain}" in lexicon:
+                hits[i] = lexicon[f"w:{plain}"]
+                masked_hits += 1
+    both = sorted([*hits, *begins])
+    near = [any(abs(i - j) <= 5 for j in you) for i in both] if you else []
+    data = text.encode()
+    letters = max(1, sum(chr(c).isalpha() and c < 128 or c == 0xC3 for c in data))
+    weights = [int(min(x, 30.0) * 64) / 64 for x in hits.values()]
+    chars = max(1, len(data))
+    ascii_punct = [chr(c) for c in data if 33 <= c < 127 and not chr(c).isalnum()]
+    return [
+        len(hits) / d, np.log1p(len(hits)), sum(weights) / d, max(weights, default=0.0), len({text.lower().split()[i] for i in hits}),
+        len(begins) / d, np.log1p(len(begins)), sum(near) / len(near) if near else 0.0, len(you) / d,
+        sum(65 <= c <= 90 for c in data) / letters, len(ascii_punct) / chars, sum(c in "!?" for c in ascii_punct) / chars,
+        masked / d, masked_hits, sum(48 <= c <= 57 for c in data) / chars, np.log1p(n), chars / d, np.log1p(data.count(b"\n")),
+        max((sum(i <= j < i + 50 for j in both) for i in both), default=0), both[0] / d if both else 1.0,
+    ]
+
+
+def boosted(x, y, rounds, depth, rate, bins, l2):
+    """Scores of second-order boosting, every split of every node tried in turn."""
+    cuts = [np.unique(np.quantile(c, np.linspace(0, 1, bins + 1)[1:-1])) for c in x.T]
+    p = y.mean()
+    raw = np.full(len(y), np.log(p / (1 - p)))
+    least = max(3, len(y) // 1000)
+    for _ in range(rounds):
+        prob = 1 / (1 + np.exp(-raw))
+        g, h = prob - y, np.maximum(prob * (1 - prob), 1e-6)
+        parts = [np.arange(len(y))]
+        add = np.zeros(len(y))
+        for _ in range(depth):
+            grown = []
+            for own in parts:
+                best = (1e-6, None)
+                for j, cut in enumerate(cuts):
+                    for c in cut:
+                        a, b = own[x[own, j] <= c], own[x[own, j] > c]
+                        if len(a) < least or len(b) < least:
+                            continue
+                        gain = sum(g[z].sum() ** 2 / (h[z].sum() + l2) for z in (a, b)) - g[own].sum() ** 2 / (h[own].sum() + l2)
+                        if gain > best[0] + 1e-9:
+                            best = (gain, (a, b))
+                if best[1]:
+                    for z in best[1]:
+                        add[z] = -rate * g[z].sum() / (h[z].sum() + l2)
+                        grown.append(z)
+            parts = grown
+        raw = raw + add
+    return raw
+
+
 def rows(df):
     return sorted((tuple(r) for r in df.collect()), key=str)

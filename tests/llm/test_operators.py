@@ -484,6 +484,47 @@ def test_boosting_learns_and_calibrates():
     assert (np.diff(m.knots[1]) >= 0).all()
 
 
+@settings(max_examples=120, deadline=None)
+@given(st.lists(st.one_of(st.sampled_from(["idiot", "1d10t", "i.diot", "Idiot!", "moronic", "moronXX", "you", "YOUR", "du", "ok", "x2", "42", "\n", "né", "--", "@$$"]), st.text(alphabet="abé!?1 ", max_size=6)), max_size=120))
+def test_features_against_their_definitions(words):
+    lexicon = {"w:idiot": 5.0, "b:moron": 2.5, "w:ass": 40.0, "w:ok": 0.3}
+    text = " ".join(words)
+    stand_ins = {chr(k): chr(v) if isinstance(v, int) else v for k, v in toxicity.STAND_INS.items()}
+    want = H.text_features(text, lexicon, toxicity.SECOND_PERSON, toxicity.STRIP, stand_ins)
+    got = toxicity.features(text, toxicity._Codes(lexicon))
+    assert dict(zip(toxicity.FEATURES, got, strict=True)) == pytest.approx(dict(zip(toxicity.FEATURES, map(float, want), strict=True)))
+
+
+@pytest.mark.parametrize("seed", range(4))
+def test_boosting_against_every_split(seed):
+    r = np.random.default_rng(seed)
+    x = np.stack([r.normal(size=150), r.integers(0, 4, 150), r.normal(size=150)], 1).astype(float)
+    y = (r.random(150) < 1 / (1 + np.exp(-2 * x[:, 0] * (x[:, 1] > 1) - x[:, 2]))).astype(float)
+    base, trees = toxicity.boost(x, y, rounds=6, depth=3, rate=0.3, bins=12, l2=1.0)
+    assert toxicity.Model({}, base, trees).raw(x) == pytest.approx(H.boosted(x, y, 6, 3, 0.3, 12, 1.0), abs=1e-6)
+
+
+@given(st.lists(st.tuples(st.integers(0, 30), st.integers(0, 1)), min_size=1, max_size=25, unique_by=lambda p: p[0]))
+def test_calibration_is_the_increasing_least_squares_fit(pairs):
+    pairs = sorted(pairs)
+    raw, y = np.array([p[0] for p in pairs], float), np.array([p[1] for p in pairs], float)
+    at, value = toxicity.isotonic(raw, y)
+    n = len(y)
+    want = [max(min(y[i : j + 1].mean() for j in range(k, n)) for i in range(k + 1)) for k in range(n)]
+    steps = [i for i in range(n) if i == 0 or want[i] != pytest.approx(want[i - 1])]
+    assert value == pytest.approx([want[i] for i in steps])
+    assert at == pytest.approx([raw[i:j].mean() for i, j in zip(steps, [*steps[1:], n], strict=True)])
+
+
+def test_fit_does_not_depend_on_the_order_of_rows(spark, sf):
+    docs, labels = storage.table(spark, sf, "documents"), storage.table(spark, sf, "labels")
+    again = docs.unionByName(docs.withColumn("doc_id", F.col("doc_id") + 1))  # copies in other folds, and keys of two texts
+    models = [toxicity.fit(d, labels, max_rows=60) for d in (again, again.orderBy(F.desc("text")).repartition(7))]
+    assert models[0].lexicon == models[1].lexicon and models[0].base == models[1].base and len(models[0].trees) == len(models[1].trees)
+    x = np.random.default_rng(0).random((200, len(toxicity.FEATURES)))
+    assert models[0].score(x).tolist() == models[1].score(x).tolist()
+
+
 def test_held_out_toxicity(spark):
     sf = "/root/testdata/sf0.1"
     got = queries.op10_toxicity(spark, sf).join(storage.table(spark, sf, "labels"), "doc_id").where("held_out")
