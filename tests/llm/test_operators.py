@@ -293,14 +293,44 @@ def test_removed_strings(spark, monkeypatch):
     monkeypatch.setattr(repeated_strings, "BLOCK_BYTES", 4096)
     part, long = prose(120, 5), prose(700, 6)
     data = [(1, prose(30, 7) + part + prose(30, 8)), (2, part + prose(100, 9)), (3, long), (4, long), (5, None), (6, ""), (7, part[:399]), (8, part[:401] + "é"), (9, prose(20, 10) + part[100:505] + part[100:505]), (9, "x" * 1000), (None, "ab" * 300), (10, prose(50, 11)), (11, prose(50, 11))]
-    got = H.rows(repeated_strings.repeated_spans(frame(spark, data)))
-    assert got == sorted(H.removed_strings(data), key=str)
-
-
-def test_removed_strings_of_a_table(spark, sf):
+    got = repeated_strings.repeated_spans(frame(spark, data))
+    assert H.rows(got.select(got.columns[:5])) == sorted(H.removed_strings(data), key=str)
+    assert got.where("kept_bytes <> n_bytes - n_removed OR changed <> (n_removed > 0)").count() == 0
+    assert not [t for t in spark.catalog.listTables() if t.name.startswith("texts_")]
+
+
+def test_strings_of_one_name_are_told_apart(spark, monkeypatch):
+    """Strings that no base tells apart modulo 2^64, in one block and in several: bytes are compared, and other names taken."""
+    a, b = doubled(11)
+    used, rounds = [], repeated_strings._rounds
+    monkeypatch.setattr(repeated_strings, "_rounds", lambda keyed, length, buckets, kind, store: used.append(kind) or rounds(keyed, length, buckets, kind, store))
+    data = [(1, a), (2, b), (3, "start " + a[:1500]), (4, prose(100, 1)), (5, a + b), (6, "x" + b[:700])]
+    for size in (1 << 20, 4096):
+        monkeypatch.setattr(repeated_strings, "BLOCK_BYTES", size)
+        got = repeated_strings.repeated_spans(frame(spark, data), 1024)
+        assert H.rows(got.select(got.columns[:5])) == sorted(H.removed_strings(data, 1024), key=str)
+    assert used == [0, 1, 0, 1]
+
+
+def test_names_of_all_kinds():
+    texts = [prose(60, 2).encode(), b"", b"ab" * 40, prose(60, 2).encode()[:90]]
+    for kind in (0, 1, 2):
+        names = repeated_strings.Names(texts, kind)
+        at = names.all_of(20)
+        strings = [bytes(names.data[p : p + 20]) for p in at]
+        assert len(at) == sum(max(0, len(t) - 19) for t in texts)
+        assert len(set(names.of(at, 20).tolist())) == len(set(strings)) == len(set(zip(strings, names.of(at, 20).tolist(), strict=True)))
+        assert repeated_strings.differing(names.data, at, names.data, at, 20) == 0
+        assert repeated_strings.differing(names.data, at[:-1], names.data, at[1:], 20) > 0
+
+
+@pytest.mark.parametrize("block", [8 << 20, 1 << 16])
+def test_removed_strings_of_a_table(spark, sf, monkeypatch, block):
+    monkeypatch.setattr(repeated_strings, "BLOCK_BYTES", block)
     docs = storage.table(spark, sf, "documents")
     want = H.removed_strings([(r.doc_id, r.text) for r in docs.collect()])
-    assert H.rows(repeated_strings.repeated_spans(docs)) == sorted(want, key=str)
+    got = repeated_strings.repeated_spans(docs)
+    assert H.rows(got.select(got.columns[:5])) == sorted(want, key=str)
     assert repeated_strings.repeated_spans(docs.limit(0)).count() == 0
 
 
