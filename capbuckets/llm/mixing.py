@@ -15,8 +15,8 @@ from pyspark.sql.window import Window
 
 from . import storage
 
-#: Hexadecimal digits of the hash that name a shard: 4,096 shards a leaf.
-SHARD_DIGITS = 3
+#: Tokens of a shard at most, about: a leaf has 16, 256, ... of them as its own tokens ask for.
+SHARD_TOKENS = 4_000_000
 
 
 def token_count(text: Column) -> Column:
@@ -29,6 +29,12 @@ def epoch_order(seed: str, epoch: Column, key: Column) -> Column:
     return F.md5(F.concat_ws(":", F.lit(seed), epoch.cast("string"), F.coalesce(key.cast("string"), F.lit("null"))))
 
 
+def shard_digits(tokens: Column, shard_tokens: int) -> Column:
+    """Leading hexadecimal digits of the hash that name a leaf's shards, none for a leaf of one shard."""
+    steps = [F.when(tokens > F.lit(shard_tokens).cast("double") * 16.0**i, 1).otherwise(0) for i in range(12)]
+    return sum(steps[1:], steps[0])
+
+
 def shared_out(nodes: DataFrame, parent: list[str], order: list[str]) -> DataFrame:
     """Adds ``share``: the node's part of ``budget`` among its siblings by ``weight``, at most ``room``.
 
@@ -71,22 +77,22 @@ def mix(docs: DataFrame, levels: dict[str, Column], weights: dict[str, dict[str,
     an empty mix; a column of the input by the name of ``epoch`` is replaced. The leaf table is joined by whatever way its written size allows.
     """
     own = storage.fresh(docs, *[f"_level{i}" for i in range(len(levels))])
-    times, whole, rest, shard, last_h = storage.fresh(docs, "_times", "_whole", "_rest", "_shard", "_last")
+    times, whole, rest, digits, shard, last_h = storage.fresh(docs, "_times", "_whole", "_rest", "_digits", "_shard", "_last")
     by_own = {o: weights.get(name, {}) for o, name in zip(own, levels, strict=True)}
     placed = docs.select("*", *[F.coalesce(c, F.lit("(none)")).alias(o) for o, c in zip(own, levels.values(), strict=True)])
     light = storage.materialize(placed.select(F.col(key).alias("k"), *own, token_count(F.col(text)).alias("tokens")), "mix-rows")
     leaves = light.groupBy(*own).agg(F.sum("tokens").alias("tokens"))
     leaves = leaves.withColumn("total", F.sum("tokens").over(Window.partitionBy(F.lit(1))))
-    plan = storage.materialize(leaf_budgets(leaves, own, by_own, budget, max_epochs).withColumn("whole", F.when(F.col("tokens") > 0, F.floor(F.col("quota") / F.col("tokens"))).otherwise(F.lit(max_epochs)).cast("bigint")).withColumn("rest", F.when(F.col("tokens") > 0, F.col("quota") - F.col("whole") * F.col("tokens")).otherwise(F.lit(0)).cast("bigint")), "mix-leaves")
-    ordered = light.join(plan.where("rest > 0").select(*own, "whole", "rest"), own).withColumn("h", epoch_order(seed, F.col("whole"), F.col("k"))).withColumn("shard", F.substring("h", 1, SHARD_DIGITS))
+    plan = storage.materialize(leaf_budgets(leaves, own, by_own, budget, max_epochs).withColumn("whole", F.when(F.col("tokens") > 0, F.floor(F.col("quota") / F.col("tokens"))).otherwise(F.lit(max_epochs)).cast("bigint")).withColumn("rest", F.when(F.col("tokens") > 0, F.col("quota") - F.col("whole") * F.col("tokens")).otherwise(F.lit(0)).cast("bigint")).withColumn("digits", shard_digits(F.col("tokens"), SHARD_TOKENS)), "mix-leaves")
+    ordered = light.join(plan.where("rest > 0").select(*own, "whole", "rest", "digits"), own).withColumn("h", epoch_order(seed, F.col("whole"), F.col("k"))).withColumn("shard", F.substr("h", F.lit(1), F.col("digits")))
     sums = ordered.groupBy(*own, "rest", "shard").agg(F.sum("tokens").alias("n"))
     sums = sums.withColumn("before", F.coalesce(F.sum("n").over(Window.partitionBy(*own).orderBy("shard").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)))
     edge = storage.materialize(sums.where((F.col("before") <= F.col("rest")) & (F.col("before") + F.col("n") > F.col("rest"))).select(*own, "shard", "before"), "mix-edges")
     inside = ordered.join(edge, [*own, "shard"]).withColumn("sum", F.col("before") + F.sum("tokens").over(Window.partitionBy(*own, "shard").orderBy("h")))
     last = inside.where("sum <= rest").groupBy(*own).agg(F.max("h").alias("last"))
-    cuts = plan.join(edge, own, "left").join(last, own, "left").select(*own, F.col("whole").alias(whole), F.col("rest").alias(rest), F.col("shard").alias(shard), F.col("last").alias(last_h))
+    cuts = plan.join(edge, own, "left").join(last, own, "left").select(*own, F.col("whole").alias(whole), F.col("rest").alias(rest), F.col("digits").alias(digits), F.col("shard").alias(shard), F.col("last").alias(last_h))
     cuts = storage.materialize(cuts, "mix-cuts")
     h = epoch_order(seed, F.col(whole), F.col(key))
-    taken = F.coalesce((F.col(rest) > 0) & (F.substring(h, 1, SHARD_DIGITS) < F.col(shard)), F.lit(False)) | F.coalesce(h <= F.col(last_h), F.lit(False))
+    taken = F.coalesce((F.col(rest) > 0) & (F.substr(h, F.lit(1), F.col(digits)) < F.col(shard)), F.lit(False)) | F.coalesce(h <= F.col(last_h), F.lit(False))
     chosen = placed.join(cuts, own).withColumn(times, F.col(whole) + taken.cast("int")).where(F.col(times) > 0)
     return chosen.select(*[c for c in docs.columns if c != epoch], F.explode(F.sequence(F.lit(0), F.col(times).cast("int") - 1)).alias(epoch))

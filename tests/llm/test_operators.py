@@ -345,6 +345,15 @@ def test_shortage_goes_to_siblings_first(spark):
     assert more == {("a", "x"): 10, ("a", "y"): 900, ("b", "x"): 990}
 
 
+def test_shards_do_not_change_the_mix(spark, monkeypatch):
+    docs = frame(spark, [(i, prose(1 + i % 7, i), f"src{i % 3 % 2}") for i in range(300)], "doc_id bigint, text string, source string")
+    took = []
+    for tokens in (10**9, 100, 3):
+        monkeypatch.setattr(mixing, "SHARD_TOKENS", tokens)
+        took.append(H.rows(mixing.mix(docs, {"source": F.col("source")}, {"source": {"src0": 2.0}}, F.expr("total * 2 div 3"), "s", 1)))
+    assert took[0] == took[1] == took[2] and 100 < len(took[0]) < 300
+
+
 def test_mix_takes_seeded_prefixes(spark, awkward):
     data = [(i, prose(10 + i % 5, i), "en" if i % 3 else None, f"src{i % 4}") for i in range(200)]
     docs = frame(spark, data, "doc_id bigint, text string, lang string, source string")
