@@ -1,7 +1,7 @@
 """Dealing rows into the buckets of a layout: one distributed ranking, then arithmetic.
 
-Rows of a value are ranked by a salted hash of the row. The rank is made in shards named by leading digits of that hash,
-so a value that many rows share is not sorted in one task. A small table of cut points says which ranks of a value go
+Rows of a value are ranked by a salted hash of the row. The rank is made in shards named by leading digits of that hash, as
+many as the commonest value's rows ask for, so a value that many rows share is not sorted in one task. A small table of cut points says which ranks of a value go
 to which class; within a class rows are dealt to its buckets in turn, so counts of a value differ by one at most.
 """
 
@@ -17,8 +17,8 @@ from pyspark.sql.window import Window
 
 from capbuckets.functions.exact import order_key
 
-#: Leading hexadecimal digits that name a shard, and most cut points that are broadcast.
-SHARD_DIGITS, MAX_BROADCAST = 2, 200_000
+#: Rows of a shard, about, at most; most cut points that are broadcast, and most values that are collected.
+SHARD_ROWS, MAX_BROADCAST, MAX_VALUES = 1 << 18, 200_000, 2_000_000
 
 
 def split_counts(counts: Sequence[int], q1: Sequence[int], q2: Sequence[int], layout: Sequence[tuple[int, int]], order: str = "rare_first") -> list[tuple[int, int]]:
@@ -96,8 +96,23 @@ def cut_points(values: Sequence, takes: Sequence[Sequence[int]], layout: Sequenc
     return out
 
 
-def rank_rows(df: DataFrame, v: str, key: Sequence[str], salt: str, digits: int = SHARD_DIGITS) -> DataFrame:
-    """Adds ``_t`` (1, 2, ...): the rank of the row among the rows of its value, in the order of the salted hash and the key."""
+def shard_digits(rows: int) -> int:
+    """Leading hexadecimal digits that cut ``rows`` rows of one value into shards of about ``SHARD_ROWS`` at most."""
+    digits = 0
+    while rows > SHARD_ROWS * 16**digits:
+        digits += 1
+    return digits
+
+
+def rank_rows(df: DataFrame, v: str, key: Sequence[str], salt: str, most: int | None = None) -> DataFrame:
+    """Adds ``_t`` (1, 2, ...): the rank of the row among the rows of its value, in the order of the salted hash and the key.
+
+    ``most`` is the number of rows of the commonest value; it is counted where it is not known. It decides on the number of
+    shards alone, never on ranks.
+    """
+    if most is None:
+        most = df.groupBy(v).agg(F.count(F.lit(1)).alias("_n")).agg(F.coalesce(F.max("_n"), F.lit(0))).first()[0]
+    digits = shard_digits(most)
     h = order_key(salt, *[F.col(k) for k in key])
     keyed = df.withColumn("_h", h).withColumn("_shard", F.substring("_h", 1, digits))
     sums = keyed.groupBy(F.col(v).alias("_v"), "_shard").agg(F.count(F.lit(1)).alias("_n"))
@@ -117,7 +132,7 @@ def assign(df: DataFrame, v: str, key: Sequence[str], cuts: Sequence[Cut], salt:
         by_value.setdefault(c.v, []).append((c.class_id, c.lo, c.hi, c.prefix, c.b, c.first))
     table = spark.createDataFrame(list(by_value.items()), f"_v {kind}, _cuts array<struct<class_id:int,lo:bigint,hi:bigint,prefix:bigint,b:bigint,first:bigint>>")
     table = F.broadcast(table) if len(cuts) <= MAX_BROADCAST else table
-    ranked = rank_rows(df, v, key, salt)
+    ranked = rank_rows(df, v, key, salt, max((c.hi for c in cuts), default=0))
     met = ranked.join(table, ranked[v].eqNullSafe(table["_v"]))
     cut = F.get(F.filter("_cuts", lambda c: (F.col("_t") > c["lo"]) & (F.col("_t") <= c["hi"])), 0)
     met = met.withColumn("_cut", cut)
@@ -125,8 +140,8 @@ def assign(df: DataFrame, v: str, key: Sequence[str], cuts: Sequence[Cut], salt:
     return met.select(*df.columns, F.col("_cut.class_id").alias("class_id"), bucket.alias("bucket"))
 
 
-def collect_caps(caps: DataFrame, most: int = 2_000_000) -> list:
-    """The caps table on the driver, in the order of the values; its size is that of the sensitive domain and is checked."""
+def collect_caps(caps: DataFrame, most: int = MAX_VALUES) -> list:
+    """The caps table, or a histogram, on the driver, in the order of the values; its size is that of the sensitive domain and is checked."""
     rows = caps.orderBy(F.asc_nulls_first("v")).limit(most + 1).collect()
     if len(rows) > most:
         raise ValueError("the sensitive domain is too large for the driver")
@@ -144,6 +159,6 @@ def deal(df: DataFrame, v: str, key: Sequence[str], buckets: int, salt: str) ->
     """Deals all rows over ``buckets`` buckets: the one-size case."""
     from capbuckets.operators.policy import histogram
 
-    rows = histogram(df, v).orderBy(F.asc_nulls_first("v")).collect()
+    rows = collect_caps(histogram(df, v))
     n = sum(r.cnt for r in rows)
     return assign(df, v, key, cut_points([r.v for r in rows], [[r.cnt] for r in rows], [(-(-n // buckets), buckets)]), salt)

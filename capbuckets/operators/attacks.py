@@ -29,25 +29,33 @@ def corruption_attack(sa_side: DataFrame, known: int, sigma: int, salt: str, v:
     return counts.select("bucket", "v", (F.col("c") / (size + sigma)).alias("prob"))
 
 
-def domain_of(sa: DataFrame) -> DataFrame:
-    """One row (domain): all sensitive values in order."""
-    return sa.agg(F.array_sort(F.collect_set("v")).alias("domain"))
+def domain_order(sa: DataFrame, salt: str) -> DataFrame:
+    """(v, i): the sensitive values numbered from 0 in a salted order."""
+    order = Window.partitionBy(F.lit(1)).orderBy(order_key(salt, F.col("v")), "v")
+    return sa.select("v").distinct().select("v", (F.row_number().over(order) - 1).cast("bigint").alias("i"))
 
 
 def decoys(sa: DataFrame, sigma: int, salt: str, forbidden: DataFrame | None = None) -> DataFrame:
     """(bucket, v): ``sigma`` different values for each bucket that it doesn't hold, from the compact sensitive side.
 
-    ``forbidden`` (bucket, values) names values that some row of a bucket can rule out; they are passed over. Raises if
-    a bucket leaves fewer than ``sigma`` candidates. The domain is a broadcast of as many values as the column has.
+    Values stand in a salted ring; a bucket begins at a place of its own and takes the first ``sigma`` values from there on that
+    it neither holds nor finds in ``forbidden`` (bucket, values), which some row of the bucket can rule out. It looks at no more
+    places than it may have to pass over, so the work follows the buckets' sizes and not the domain. Raises if a
+    bucket leaves fewer than ``sigma`` candidates.
     """
-    held = sa.groupBy("bucket").agg(F.collect_set("v").alias("held")).crossJoin(F.broadcast(domain_of(sa)))
-    free = F.array_except("domain", "held")
+    ring = domain_order(sa, salt)
+    size = ring.agg(F.count(F.lit(1)).alias("_d"))  # one row
+    taken = sa.select("bucket", "v").distinct()
     if forbidden is not None:
-        held = held.join(forbidden.select("bucket", F.col("values").alias("_no")), "bucket", "left")
-        free = F.array_except(free, F.coalesce("_no", F.array().cast(held.schema["held"].dataType)))
-    ranked = F.array_sort(F.transform(free, lambda x: F.struct(F.md5(F.concat_ws("|", F.lit(salt), F.col("bucket").cast("string"), x.cast("string"))).alias("h"), x.alias("v"))))
-    chosen = F.when(F.size(free) < sigma, F.raise_error(F.lit("too few values are left for decoys"))).otherwise(F.slice(F.transform(ranked, lambda x: x["v"]), 1, sigma))
-    return held.select("bucket", F.explode(chosen).alias("v"))
+        out = forbidden.join(sa.select("bucket").distinct(), "bucket", "left_semi").select("bucket", F.explode("values").alias("v"))
+        taken = taken.unionByName(out.join(ring.select("v"), "v", "left_semi").select("bucket", "v")).distinct()
+    passed = taken.groupBy("bucket").agg(F.count(F.lit(1)).alias("_k")).crossJoin(size)
+    passed = passed.withColumn("_k", F.when(F.col("_d") - F.col("_k") < sigma, F.raise_error(F.lit("too few values are left for decoys"))).otherwise(F.col("_k")).cast("bigint"))
+    tried = passed.select("bucket", "_d", F.explode(F.sequence(F.lit(0).cast("bigint"), F.col("_k") + (sigma - 1))).alias("_j"))
+    begin = F.pmod(F.conv(F.substring(order_key(salt, F.col("bucket")), 1, 13), 16, 10).cast("bigint"), F.col("_d"))
+    places = tried.select("bucket", "_j", F.pmod(begin + F.col("_j"), F.col("_d")).alias("i")).join(ring, "i")
+    free = places.join(taken, ["bucket", "v"], "left_anti").withColumn("_r", F.row_number().over(Window.partitionBy("bucket").orderBy("_j")))
+    return free.where(F.col("_r") <= sigma).select("bucket", "v")
 
 
 def inject_decoys(sa: DataFrame, sigma: int, salt: str, forbidden: DataFrame | None = None) -> DataFrame:
@@ -61,14 +69,17 @@ def decoy_distortion(sa: DataFrame, with_decoys: DataFrame) -> DataFrame:
     return a.join(b, "v", "full").select("v", F.coalesce("cnt", F.lit(0)).cast("bigint").alias("cnt"), "published").withColumn("excess", F.col("published") - F.col("cnt"))
 
 
-def pair_counts(qi_side: DataFrame, sa: DataFrame, z: Column) -> DataFrame:
+def pair_counts(qi_side: DataFrame, sa: DataFrame, z: Column, min_support: int = 1) -> DataFrame:
     """(z, v, pairs, base): rows of each pair of a quasi-identifier and a value as the release lets one expect them,
-    and as many as there would be without any association. Both sides are summed by bucket before they meet."""
+    and as many as there would be without any association. Both sides are summed by bucket before they meet.
+
+    Pairs that never meet belong to the answer, so it has a row for each z with ``min_support`` rows and each value: the
+    product is the result, and how its sides are sent is left to Spark, which knows their sizes."""
     zs = qi_side.select("bucket", z.alias("z")).groupBy("bucket", "z").agg(F.count(F.lit(1)).alias("nz"))
     sizes = sa.groupBy("bucket").agg(F.sum("cnt").alias("size"))
     met = zs.join(sa, "bucket").join(sizes, "bucket").groupBy("z", "v").agg(F.sum(F.col("nz") * F.col("cnt") / F.col("size")).alias("pairs"))
-    of_z, of_v = zs.groupBy("z").agg(F.sum("nz").alias("n_z")), sa.groupBy("v").agg(F.sum("cnt").alias("n_v"))
-    every = of_z.crossJoin(F.broadcast(of_v)).crossJoin(F.broadcast(of_v.agg(F.sum("n_v").alias("n"))))
+    of_z, of_v = zs.groupBy("z").agg(F.sum("nz").alias("n_z")).where(F.col("n_z") >= min_support), sa.groupBy("v").agg(F.sum("cnt").alias("n_v"))
+    every = of_z.crossJoin(of_v.crossJoin(of_v.agg(F.sum("n_v").alias("n"))))
     out = every.join(met, ["z", "v"], "left")
     return out.select("z", "v", F.col("n_z").cast("bigint").alias("n_z"), F.coalesce("pairs", F.lit(0.0)).alias("pairs"), (F.col("n_z") * F.col("n_v") / F.col("n")).alias("base"))
 
@@ -76,7 +87,7 @@ def pair_counts(qi_side: DataFrame, sa: DataFrame, z: Column) -> DataFrame:
 def negative_associations(qi_side: DataFrame, sa: DataFrame, z: Column, tau: float = 0.5, min_support: int = 1) -> DataFrame:
     """(z, v, lift): pairs that occur at most ``tau`` times as often as without association."""
     lift = F.col("pairs") / F.col("base")
-    return pair_counts(qi_side, sa, z).where((F.col("n_z") >= min_support) & (lift <= tau)).select("z", "v", lift.alias("lift"))
+    return pair_counts(qi_side, sa, z, min_support).where(lift <= tau).select("z", "v", lift.alias("lift"))
 
 
 def exclusion_attack(qi_side: DataFrame, sa: DataFrame, z: Column, assoc: DataFrame) -> DataFrame:

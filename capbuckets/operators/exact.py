@@ -5,33 +5,43 @@ Rows can be dealt into b_S buckets of each size S if and only if for every set A
     rows(A) <= sum over S of min(sum of A's quotas in a bucket of S, S) * b_S
 
 (the smallest cut of the flow from values to sizes). These inequalities are added where a maximum flow finds them
-violated; branching makes the b_S whole.
+violated; branching makes the b_S whole. The search stops after a number of nodes, never by the clock, so its answers are
+the same on every machine.
 """
 
 from __future__ import annotations
 
 import heapq
-import time
 from collections.abc import Sequence
 from dataclasses import dataclass
 
 import numpy as np
 
 EPS = 1e-7
+#: Nodes that a search looks at before it gives the best so far.
+MAX_NODES = 400
 
 
 @dataclass
 class Exact:
-    """``layout`` and ``loss`` of the best layout found; ``bound``: no layout has less; optimal if they meet."""
+    """``layout`` and ``loss`` of the best layout found; ``bound``: no layout has less; optimal if they meet.
+
+    ``stopped`` says why the search ended before that: ``nodes`` or ``simplex``.
+    """
 
     layout: list[tuple[int, int]]
     loss: int | None
     bound: float
     nodes: int = 0
+    stopped: str = ""
 
     @property
     def optimal(self) -> bool:
-        return self.loss is not None and np.ceil(self.bound - 1e-6) >= self.loss
+        return self.loss is not None and bool(np.ceil(self.bound - 1e-6) >= self.loss)
+
+
+class SimplexStopped(ArithmeticError):
+    """The simplex method ran out of steps: what it holds is no bound."""
 
 
 def max_flow(supply: np.ndarray, middle: np.ndarray, demand: np.ndarray) -> tuple[float, np.ndarray, np.ndarray]:
@@ -91,8 +101,11 @@ def flow_split(counts: Sequence[int], quotas: Sequence[Sequence[int]], layout: S
     return flow.tolist() if full else None
 
 
-def simplex(cost: np.ndarray, a: np.ndarray, rhs: np.ndarray, equal: np.ndarray) -> tuple[float, np.ndarray] | None:
-    """min cost x over a x >= rhs (= where ``equal``), x >= 0; None if there is no x. Two phases, smallest index on ties."""
+def simplex(cost: np.ndarray, a: np.ndarray, rhs: np.ndarray, equal: np.ndarray, steps: int = 5000) -> tuple[float, np.ndarray] | None:
+    """min cost x over a x >= rhs (= where ``equal``), x >= 0; None if there is no x. Two phases, smallest index on ties.
+
+    Raises :class:`SimplexStopped` if a phase does not end within ``steps``, or the cost has no least value.
+    """
     m, n = a.shape
     sign = np.where(rhs < 0, -1.0, 1.0)
     slack = np.diag(np.where(equal, 0.0, -1.0))[:, ~equal]
@@ -106,7 +119,7 @@ def simplex(cost: np.ndarray, a: np.ndarray, rhs: np.ndarray, equal: np.ndarray)
             c[:n] = cost
             c[width:] = 1e6 * max(1.0, float(np.abs(cost).max()))  # those still in the basis must stay at nought
         usable = width + m if phase == 1 else width
-        for _ in range(5000):
+        for _ in range(steps):
             reduced = c[:usable] - c[basis] @ t[:, :usable]
             enter = int(reduced.argmin()) if _ < 500 else next((int(j) for j in np.flatnonzero(reduced < -EPS)), 0)
             if reduced[enter] >= -EPS:
@@ -115,11 +128,13 @@ def simplex(cost: np.ndarray, a: np.ndarray, rhs: np.ndarray, equal: np.ndarray)
             ratio = np.where(column > EPS, t[:, -1] / np.where(column > EPS, column, 1), np.inf)
             row = int(ratio.argmin())
             if not np.isfinite(ratio[row]):
-                break
+                raise SimplexStopped("the cost has no least value")
             t[row] /= t[row, enter]
             others = np.arange(m) != row
             t[others] -= np.outer(t[others, enter], t[row])
             basis[row] = enter
+        else:
+            raise SimplexStopped(f"no end within {steps} steps")
         if phase == 1 and float(c[basis] @ t[:, -1]) > 1e-5 * max(1.0, float(np.abs(rhs).max(initial=0))):
             return None
     x = np.zeros(width + m)
@@ -158,8 +173,29 @@ def _first_cuts(o, quotas, sizes) -> list:
     return [(np.minimum(q, sizes).astype(float), float(x)) for q, x in zip(quotas, o, strict=True)]
 
 
-def exact_multi(counts: Sequence[int], num: Sequence[int], den: Sequence[int], m_max: int = 50, start: tuple[list[tuple[int, int]], int] | None = None, seconds: float = 20.0) -> Exact:
-    """The least-loss layout of any number of sizes, or the best one found and a bound when the time is up.
+def _dive(o, quotas, sizes, n, cuts, b, most: int = 80) -> np.ndarray | None:
+    """A whole solution on a way down from ``b``: the variable nearest to a whole number is held there, or beside it, in turn."""
+    extra: list = []
+    for _ in range(most):
+        part = np.abs(b - np.round(b))
+        if part.max() < 1e-6:
+            whole = np.round(b).astype(np.int64)
+            flow, _, _ = max_flow(o.copy(), quotas * whole, sizes * whole)
+            return whole if int(flow) == n == int(sizes @ whole) else None
+        for j in [int(k) for k in np.argsort(part) if part[k] >= 1e-6]:
+            near = float(np.round(b[j]))
+            tried = [[*extra, (j, 1.0, x), (j, -1.0, x)] for x in (near, near + (1.0 if b[j] > near else -1.0))]
+            found = next(((more, got[1]) for more in tried if (got := _relaxed(o, quotas, sizes, n, cuts, more)) is not None), None)
+            if found:
+                extra, b = found
+                break
+        else:
+            return None
+    return None
+
+
+def exact_multi(counts: Sequence[int], num: Sequence[int], den: Sequence[int], m_max: int = 50, start: tuple[list[tuple[int, int]], int] | None = None, max_nodes: int = MAX_NODES) -> Exact:
+    """The least-loss layout of any number of sizes, or the best one found and a bound after ``max_nodes`` nodes.
 
     ``start``: a layout known to be valid, and its loss.
     """
@@ -169,37 +205,58 @@ def exact_multi(counts: Sequence[int], num: Sequence[int], den: Sequence[int], m
     sizes = np.arange(low, m_max + 1)
     quotas = np.array([[min(int(s), int(s) * int(a) // int(b)) for s in sizes] for a, b in zip(num, den, strict=True)], np.int64)
     best = Exact([] if start is None else start[0], None if start is None else start[1], 0.0)
-    cuts, ends = _first_cuts(o, quotas, sizes), time.monotonic() + seconds
-    root = _relaxed(o, quotas, sizes, n, cuts, [])
+    cuts = _first_cuts(o, quotas, sizes)
+    try:
+        root = _relaxed(o, quotas, sizes, n, cuts, [])
+    except SimplexStopped:
+        best.stopped = "simplex"
+        return best
     if root is None:
         return Exact([], None, float("inf"))
-    heap, tick = [(root[0], 0, root[1], [])], 0
+    heap, tick = [(root[0], 0, root[1], ())], 0
+    try:
+        whole = _dive(o, quotas, sizes, n, cuts, root[1])
+    except SimplexStopped:
+        whole = None
+    if whole is not None and (best.loss is None or int(whole @ (sizes - 1) ** 2) < best.loss):
+        best.layout, best.loss = [(int(s), int(x)) for s, x in zip(sizes, whole, strict=True) if x], int(whole @ (sizes - 1) ** 2)
     while heap:
         bound, _, b, extra = heapq.heappop(heap)
         best.bound = bound
         if best.loss is not None and np.ceil(bound - 1e-6) >= best.loss:
             best.bound = float(best.loss)
             return best
-        if time.monotonic() > ends:
+        if best.nodes >= max_nodes:
+            best.stopped = "nodes"
             return best
         best.nodes += 1
         part = np.abs(b - np.round(b))
-        if part.max() < 1e-6:
-            layout = [(int(s), int(round(x))) for s, x in zip(sizes, b, strict=True) if round(x) > 0]
-            index = [int(s) - low for s, _ in layout]
-            if flow_split(o, quotas[:, index], layout) is not None:
-                loss = sum(x * (s - 1) ** 2 for s, x in layout)
+        j = int(part.argmax())
+        branches = [(*extra, (j, -1.0, float(np.floor(b[j])))), (*extra, (j, 1.0, float(np.ceil(b[j]))))]
+        if part[j] < 1e-6:
+            whole = np.round(b).astype(np.int64)
+            flow, _, side = max_flow(o.copy(), quotas * whole, sizes * whole)
+            if int(flow) == n == int(sizes @ whole):
+                loss = int(whole @ (sizes - 1) ** 2)
                 if best.loss is None or loss < best.loss:
-                    best.layout, best.loss = layout, loss
+                    best.layout, best.loss = [(int(s), int(x)) for s, x in zip(sizes, whole, strict=True) if x], loss
                 continue
-        j = int(part.argmax())
-        if part[j] < 1e-9:
-            continue
-        for s, x in ((-1.0, np.floor(b[j])), (1.0, np.ceil(b[j]))):
-            got = _relaxed(o, quotas, sizes, n, cuts, [*extra, (j, s, float(x))])
+            # whole but not dealable: the cut that forbids it, or, within the tolerance of the flow, other whole numbers
+            cut = np.minimum(quotas[side].sum(0), sizes).astype(float)
+            if float(cut @ whole) < float(o[side].sum()):
+                cuts.append((cut, float(o[side].sum())))
+                branches = [extra]
+            else:
+                branches = [(*extra, (k, s, float(whole[k] + s))) for k in range(len(sizes)) for s in (-1.0, 1.0) if whole[k] + s >= 0]
+        for more in branches:
+            try:
+                got = _relaxed(o, quotas, sizes, n, cuts, list(more))
+            except SimplexStopped:
+                best.stopped = "simplex"
+                return best
             if got is not None and (best.loss is None or np.ceil(got[0] - 1e-6) < best.loss):
                 tick += 1
-                heapq.heappush(heap, (got[0], tick, got[1], [*extra, (j, s, float(x))]))
+                heapq.heappush(heap, (got[0], tick, got[1], more))
     best.bound = float(best.loss) if best.loss is not None else float("inf")
     return best
 

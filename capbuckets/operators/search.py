@@ -195,7 +195,7 @@ def bounds_of(c: Counts) -> tuple[int, int]:
 
 def driver_search(c: Counts, m_max: int = 50, strategy: str = "full", low: int | None = None) -> Layout:
     """``full``: loss cutoff, fill and privacy intervals. ``loss``: loss cutoff, positions one after another.
-    ``none``: every position. ``ilp``: an integer program for each pair (small inputs only). All give the same layout."""
+    ``none``: every position. ``ilp``: an integer program for each pair, with the best loss so far as a bound. All give the same layout."""
     best = Layout(reason="no valid layout in the size range", counters=dict.fromkeys(("pairs", "positions", "tests", "listed"), 0))
     if not len(c.cnt):
         return best
@@ -215,7 +215,7 @@ def driver_search(c: Counts, m_max: int = 50, strategy: str = "full", low: int |
                 continue
             count["pairs"] += 1
             count["listed"] += lat.last + 1
-            cut = lat.last if strategy in ("none", "ilp") else lat.cutoff(best.loss)
+            cut = lat.last if strategy == "none" else lat.cutoff(best.loss)
             if cut < 0:
                 continue
             first = None
@@ -232,14 +232,15 @@ def driver_search(c: Counts, m_max: int = 50, strategy: str = "full", low: int |
                     count["tests"] += m
                     first = max(lo, a) if max(lo, a) <= min(hi, b) else None
             elif strategy == "ilp":
-                first, nodes = ilp_first(c, lat)
-                count["tests"] += nodes
-                count["positions"] += lat.last + 1
+                first, nodes = ilp_first(c, lat, cut)
+                count["tests"] += nodes * m
+                count["positions"] += nodes
             else:
                 if strategy == "none" and count["listed"] > MAX_LAYOUTS:
                     raise ValueError("too many layouts for a search without prunings")
-                for at in range(0, cut + 1, 4096):
-                    positions = np.arange(at, min(at + 4096, cut + 1))
+                step = max(64, (1 << 21) // m)
+                for at in range(0, cut + 1, step):
+                    positions = np.arange(at, min(at + step, cut + 1))
                     ok = np.flatnonzero(valid_positions(c, lat, positions))
                     seen = len(positions) if strategy == "none" or not len(ok) else int(ok[0]) + 1
                     count["positions"] += seen
@@ -254,27 +255,46 @@ def driver_search(c: Counts, m_max: int = 50, strategy: str = "full", low: int |
     return best
 
 
-def ilp_first(c: Counts, lat) -> tuple[int | None, int]:
-    """(first position for which the integer program over rows of each value in the first class has a solution, branches looked at)."""
-    nodes = [0]
-    values = [(int(o), int(a), int(b)) for o, a, b, k in zip(c.cnt, c.quota(lat.s1), c.quota(lat.s2), c.mult, strict=True) for _ in range(int(k))]
-    for i in range(lat.last + 1):
-        b1, b2 = lat.at(i)
-        if _branch(values, b1, b2, lat.s1 * b1, 0, nodes):
-            return i, nodes[0]
-    return None, nodes[0]
-
-
-def _branch(values: list[tuple[int, int, int]], b1: int, b2: int, left: int, at: int, nodes: list[int]) -> bool:
-    nodes[0] += 1
-    if at == len(values):
-        return left == 0
-    o, a, b = values[at]
-    rest = sum(v[0] for v in values[at + 1 :])
-    for take in range(min(o, a * b1, left), max(0, o - b * b2, left - rest) - 1, -1):
-        if _branch(values, b1, b2, left - take, at + 1, nodes):
-            return True
-    return False
+def ilp_first(c: Counts, lat, last: int | None = None) -> tuple[int | None, int]:
+    """(least position up to ``last`` at which an integer program has a solution, nodes looked at).
+
+    Unknown are the position i and, for each value, its rows in the first class; they must fit into both classes and fill
+    the first one. Given i the rest is a transport problem, whose corners are whole, so the linear relaxation is held as
+    cuts on i alone: one a value, and for each class the one of the values that are short of its buckets. A node solves the
+    relaxation at its lower end; the most demanding violated cut gives a new end, and as positions are whole, the branch
+    below the next whole number is empty.
+    """
+    q1, q2 = c.quota(lat.s1), c.quota(lat.s2)
+    at, last, nodes = 0, lat.last if last is None else min(last, lat.last), 0
+    own, own_slope = c.cnt - q1 * lat.b1 - q2 * lat.b2, q1 * lat.d1 - q2 * lat.d2
+    while at <= last:
+        nodes += 1
+        b1, b2 = lat.at(at)
+        cuts = []  # (constant, slope): constant + slope * i <= 0
+        short = own + own_slope * at > 0
+        cuts += zip(own[short].tolist(), own_slope[short].tolist(), strict=True)
+        for q, s, b, start, step in ((q1, lat.s1, b1, lat.b1, -lat.d1), (q2, lat.s2, b2, lat.b2, lat.d2)):
+            few = q * b < c.cnt
+            open_room = s - int((q * c.mult)[few].sum())  # room of a bucket that the values outside must fill
+            constant, slope = open_room * start - int((c.cnt * c.mult)[~few].sum()), open_room * step
+            if constant + slope * at > 0:
+                cuts.append((constant, slope))
+        if not cuts:
+            return at, nodes
+        if any(slope >= 0 for _, slope in cuts):
+            return None, nodes
+        at = max(-(constant // slope) for constant, slope in cuts)
+    return None, nodes
+
+
+def ilp_rows(c: Counts, lat, position: int) -> np.ndarray:
+    """Whole rows of each value class (one value each) in the first class: a solution at ``position``."""
+    b1, b2 = lat.at(position)
+    low, high = np.maximum(0, c.cnt - c.quota(lat.s2) * b2), np.minimum(c.cnt, c.quota(lat.s1) * b1)
+    left = lat.s1 * b1 - int(low.sum())
+    room = high - low
+    before = np.cumsum(room) - room
+    return low + np.clip(left - before, 0, room)
 
 
 def search_one_size(c: Counts, m_max: int = 50) -> Layout:

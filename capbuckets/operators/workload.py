@@ -7,6 +7,7 @@ long table (query_id, d, attr, value) with attr ``v`` for the sensitive list; va
 from __future__ import annotations
 
 from collections.abc import Iterator, Sequence
+from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
@@ -16,6 +17,9 @@ from pyspark.sql.window import Window
 
 from capbuckets.functions.exact import order_key, pick
 
+#: Most rows of a pool that are collected, and most cells of the tables of a chunk.
+MAX_POOL_ROWS, MAX_CELLS = 5_000_000, 1 << 26
+
 
 def domains(df: DataFrame, columns: Sequence[str]) -> DataFrame:
     """(attr, value): distinct values of each column, in one pass."""
@@ -37,94 +41,100 @@ def query_pool(dom: DataFrame, qi: Sequence[str], n_queries: int, selectivity: f
     chosen = F.slice(F.transform(F.array_sort(F.array(*names)), lambda s: s["a"]), F.lit(1), F.col("d"))
     attrs = queries.select("query_id", "d", F.explode(F.concat(chosen, F.array(F.lit(v)))).alias("attr"))
     sized = dom.withColumn("size", F.count(F.lit(1)).over(Window.partitionBy("attr")))
-    grid = attrs.join(F.broadcast(sized), "attr")
+    grid = attrs.join(sized, "attr")  # the pool grows with the queries, the domains with the table: Spark sizes them
     rank = F.row_number().over(Window.partitionBy("query_id", "attr").orderBy(order_key(f"{seed}v", q, F.col("attr"), F.col("value"))))
     return grid.withColumn("r", rank).where(F.col("r") <= width(F.col("size"), F.col("d"), selectivity)).select("query_id", "d", "attr", "value")
 
 
-def pool_maps(pool: DataFrame) -> DataFrame:
-    """(query_id, preds): each query as one map from attribute to list."""
-    lists = pool.groupBy("query_id", "attr").agg(F.array_sort(F.collect_list("value")).alias("list"))
-    return lists.groupBy("query_id").agg(F.map_from_entries(F.collect_list(F.struct("attr", "list"))).alias("preds"))
-
-
-def matches(columns: Sequence[str]) -> Column:
-    """Whether a row satisfies the lists of ``preds`` on ``columns``."""
-    ok = F.lit(True)
-    for c in columns:
-        ok = ok & (~F.map_contains_key("preds", c) | F.array_contains(F.col("preds")[c], F.col(c).cast("string")))
-    return ok
+@dataclass
+class PoolBits:
+    """A pool on the driver: for each attribute, which queries allow a value, and which leave the attribute free."""
 
+    ids: list[int]
+    allowed: dict[str, dict[str, np.ndarray]]
+    free: dict[str, np.ndarray]
 
-def exact_answers(df: DataFrame, pool: DataFrame, qi: Sequence[str], v: str = "v") -> DataFrame:
-    """(query_id, act) by a broadcast of a small pool; see :func:`pool_answers` for large ones."""
-    maps = F.broadcast(pool_maps(pool))
-    combos = df.groupBy(*qi, v).agg(F.count(F.lit(1)).alias("_n"))
-    hit = combos.crossJoin(maps).where(matches([*qi, v])).groupBy("query_id").agg(F.sum("_n").cast("bigint").alias("act"))
-    return pool.select("query_id").distinct().join(hit, "query_id", "left").select("query_id", F.coalesce("act", F.lit(0)).cast("bigint").alias("act"))
+    def chunks(self) -> Iterator[PoolBits]:
+        """Parts of the pool whose tables have ``MAX_CELLS`` cells at most: these are what every task holds."""
+        values = max(1, sum(len(x) for x in self.allowed.values()))
+        step = max(1, MAX_CELLS // values)
+        for at in range(0, len(self.ids), step):
+            own = slice(at, at + step)
+            yield PoolBits(self.ids[own], {a: {v: x[own] for v, x in m.items()} for a, m in self.allowed.items()}, {a: x[own] for a, x in self.free.items()})
 
 
-def estimate_answers(qi_side: DataFrame, sa: DataFrame, pool: DataFrame, qi: Sequence[str]) -> DataFrame:
-    """(query_id, est): sum over buckets of matching rows times matching values over the size, from the release alone."""
-    maps = F.broadcast(pool_maps(pool))
-    rows = qi_side.groupBy(*qi, "bucket").agg(F.count(F.lit(1)).alias("_n")).crossJoin(maps).where(matches(qi)).groupBy("query_id", "bucket").agg(F.sum("_n").alias("q"))
-    sizes = sa.groupBy("bucket").agg(F.sum("cnt").alias("size"))
-    values = sa.crossJoin(maps).where(matches(["v"])).groupBy("query_id", "bucket").agg(F.sum("cnt").alias("s"))
-    est = rows.join(values, ["query_id", "bucket"]).join(sizes, "bucket").groupBy("query_id").agg(F.sum(F.col("q") * F.col("s") / F.col("size")).alias("est"))
-    return pool.select("query_id").distinct().join(est, "query_id", "left").select("query_id", F.coalesce("est", F.lit(0.0)).alias("est"))
+def pool_bits(pool: DataFrame) -> PoolBits:
+    """The pool collected; its size is that of the workload, not of the data, and is checked."""
+    rows = pool.select("query_id", "attr", "value").limit(MAX_POOL_ROWS + 1).collect()
+    if len(rows) > MAX_POOL_ROWS:
+        raise ValueError("the pool is too large for the driver; answer it in parts")
+    ids = sorted({r.query_id for r in rows})
+    place = {q: i for i, q in enumerate(ids)}
+    allowed: dict[str, dict[str, np.ndarray]] = {}
+    free: dict[str, np.ndarray] = {}
+    for r in rows:
+        free.setdefault(r.attr, np.ones(len(ids), bool))[place[r.query_id]] = False
+        allowed.setdefault(r.attr, {}).setdefault(r.value, np.zeros(len(ids), bool))[place[r.query_id]] = True
+    return PoolBits(ids, allowed, free)
 
 
-def pool_answers(df: DataFrame, pool: DataFrame, qi: Sequence[str], values: str, shares: str) -> DataFrame:
-    """(query_id, answer) of a large pool in one pass over weighted rows: a bit a query, for each value of each attribute.
+def pool_answers(df: DataFrame, pool: DataFrame | PoolBits, qi: Sequence[str], values: str, shares: str) -> DataFrame:
+    """(query_id, answer) of a pool in one pass over weighted rows: a bit a query, for each value of each attribute.
 
     ``values`` and ``shares`` are arrays: the sensitive values that a row may have and how much of it each stands for. For raw
-    rows that is the one value and the count; for a release the bucket's values and their share of the size. The pool
-    is collected; its size is that of the workload, not of the data.
+    rows that is the one value and the count; for a release the bucket's values and their share of the size. Rows
+    are read once for each chunk of the pool.
     """
-    rows = pool.collect()
-    ids = sorted({r.query_id for r in rows})
-    place = {q: i for i, q in enumerate(ids)}
-    bits: dict[str, dict[str, np.ndarray]] = {}
-    asked: dict[str, np.ndarray] = {}
-    for r in rows:
-        asked.setdefault(r.attr, np.zeros(len(ids), bool))[place[r.query_id]] = True
-        bits.setdefault(r.attr, {}).setdefault(r.value, np.zeros(len(ids), bool))[place[r.query_id]] = True
-    free = {a: ~x for a, x in asked.items()}
-    sens = {k: (x | free["v"]).astype(np.float32) for k, x in bits.get("v", {}).items()}
-    default = free.get("v", np.ones(len(ids), bool)).astype(np.float32)
+    pool = pool if isinstance(pool, PoolBits) else pool_bits(pool)
     rows_in = df.select(*[F.col(c).cast("string").alias(c) for c in qi], F.transform(values, lambda x: x.cast("string")).alias("_values"), F.transform(shares, lambda x: x.cast("double")).alias("_shares"))
+    out = None
+    for part in pool.chunks():
+        one = rows_in.mapInArrow(_evaluator(part, qi), "query_id int, answer double")
+        out = one if out is None else out.unionAll(one)
+    if out is None:
+        return df.sparkSession.createDataFrame([], "query_id int, answer double")
+    return out.groupBy("query_id").agg(F.sum("answer").alias("answer"))
+
+
+def _evaluator(pool: PoolBits, qi: Sequence[str]):
+    n = len(pool.ids)
+    sens_free = pool.free.get("v", np.ones(n, bool))
+
+    def allows(attr: str, value: str, free: np.ndarray) -> np.ndarray:
+        own = pool.allowed.get(attr, {}).get(value)
+        return free if own is None else own | free
 
     def evaluate(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        total = np.zeros(len(ids))
+        total = np.zeros(n)
         for batch in batches:
             for at in range(0, batch.num_rows, 2000):
                 part = batch.slice(at, 2000)
-                ok = np.ones((part.num_rows, len(ids)), bool)
+                ok = np.ones((part.num_rows, n), bool)
                 for c in qi:
-                    if c in bits:
+                    if c in pool.allowed:
                         codes = part.column(c).dictionary_encode()
-                        table = np.array([bits[c].get(x, np.zeros(len(ids), bool)) | free[c] for x in codes.dictionary.to_pylist()] or np.zeros((1, len(ids)), bool))
-                        ok &= table[codes.indices.to_numpy(zero_copy_only=False)]
+                        table = np.array([allows(c, x, pool.free[c]) for x in [*codes.dictionary.to_pylist(), None]])
+                        ok &= table[codes.indices.fill_null(len(codes.dictionary)).to_numpy(zero_copy_only=False)]
                 v, w = part.column("_values"), part.column("_shares").flatten().to_numpy(zero_copy_only=False)
                 codes = v.flatten().dictionary_encode()
                 owner = np.repeat(np.arange(part.num_rows), np.diff(np.asarray(v.offsets)))
-                share = np.zeros((part.num_rows, max(1, len(codes.dictionary))), np.float32)
-                np.add.at(share, (owner, codes.indices.to_numpy(zero_copy_only=False)), w)
-                table = np.array([sens.get(x, default) for x in codes.dictionary.to_pylist()] or [default])
-                total += (ok * (share @ table)).sum(0, dtype=np.float64)
-        yield pa.RecordBatch.from_arrays([pa.array(ids, pa.int32()), pa.array(total)], names=["query_id", "answer"])
+                share = np.zeros((part.num_rows, len(codes.dictionary) + 1))
+                np.add.at(share, (owner, codes.indices.fill_null(len(codes.dictionary)).to_numpy(zero_copy_only=False)), w)
+                table = np.array([allows("v", x, sens_free) for x in [*codes.dictionary.to_pylist(), None]], float)
+                total += np.einsum("ij,ij->j", ok, share @ table)
+        yield pa.RecordBatch.from_arrays([pa.array(pool.ids, pa.int32()), pa.array(total)], names=["query_id", "answer"])
 
-    return rows_in.mapInArrow(evaluate, "query_id int, answer double").groupBy("query_id").agg(F.sum("answer").alias("answer"))
+    return evaluate
 
 
-def pool_exact(df: DataFrame, pool: DataFrame, qi: Sequence[str], v: str = "v") -> DataFrame:
-    """(query_id, act) of a large pool: rows are summed to distinct combinations first."""
+def pool_exact(df: DataFrame, pool: DataFrame | PoolBits, qi: Sequence[str], v: str = "v") -> DataFrame:
+    """(query_id, act) of a pool: rows are summed to distinct combinations first."""
     combos = df.groupBy(*qi, v).agg(F.count(F.lit(1)).alias("_n")).select(*qi, F.array(v).alias("_a"), F.array("_n").alias("_b"))
     return pool_answers(combos, pool, qi, "_a", "_b").select("query_id", F.round("answer").cast("bigint").alias("act"))
 
 
-def pool_estimate(qi_side: DataFrame, sa: DataFrame, pool: DataFrame, qi: Sequence[str]) -> DataFrame:
-    """(query_id, est) of a large pool: each row takes its bucket's values and shares along."""
+def pool_estimate(qi_side: DataFrame, sa: DataFrame, pool: DataFrame | PoolBits, qi: Sequence[str]) -> DataFrame:
+    """(query_id, est) of a pool, from the release alone: each row takes its bucket's values and shares along."""
     sizes = sa.groupBy("bucket").agg(F.collect_list("v").alias("_a"), F.collect_list("cnt").alias("_c"), F.sum("cnt").alias("_s"))
     shares = sizes.select("bucket", "_a", F.transform("_c", lambda x: x / F.col("_s")).alias("_b"))
     return pool_answers(qi_side.join(shares, "bucket"), pool, qi, "_a", "_b").withColumnRenamed("answer", "est")

@@ -19,6 +19,7 @@ from capbuckets.sources import microdata as M
 query = Registry()
 THETA, M_MAX = 8, 50
 THETAS = (2, 4, 8, 16, 32)
+STRATEGIES = ("full", "loss", "none", "ilp")
 
 
 def caps(spark, sf, name: str, theta: int = THETA) -> DataFrame:
@@ -329,17 +330,28 @@ def one_size_optimal(spark, sf):
     return search.plan_search_one_size(caps(spark, sf, "qty50"), M_MAX)
 
 
-@query(with_caps("occ50") + brute() + "SELECT u AS strategy, loss FROM best, unnest(['full', 'loss', 'none']) x(u)")
+@query(with_caps("occ50") + brute() + "SELECT u AS strategy, loss FROM best, unnest(['full', 'loss', 'none', 'ilp']) x(u)")
 def strategies_agree(spark, sf):
     c = search.collect_classes(caps(spark, sf, "occ50"))
-    return search.counters_row(spark, {s: search.driver_search(c, M_MAX, s) for s in ("full", "loss", "none")}).select("strategy", "loss")
+    return search.counters_row(spark, {s: search.driver_search(c, M_MAX, s) for s in STRATEGIES}).select("strategy", "loss")
 
 
 @query()
 def work_counters(spark, sf):
     """Pairs, positions, tests and list lengths of each strategy."""
     c = search.collect_classes(caps(spark, sf, "occ50"))
-    return search.counters_row(spark, {s: search.driver_search(c, M_MAX, s) for s in ("full", "loss", "none")})
+    return search.counters_row(spark, {s: search.driver_search(c, M_MAX, s) for s in STRATEGIES})
+
+
+@query(with_caps("occ50") + brute() + "SELECT u AS strategy, loss, (SELECT count(*) FROM l)::BIGINT AS listed, true AS in_order FROM best, unnest(['full', 'loss', 'none']) x(u)")
+def work_counters_order(spark, sf):
+    """Each pruning looks at no more positions than the search with one pruning less; all lists together have every layout."""
+    c = search.collect_classes(caps(spark, sf, "occ50"))
+    found = {s: search.driver_search(c, M_MAX, s) for s in ("full", "loss", "none")}
+    seen = {s: found[s].counters["positions"] for s in found}
+    least = {"full": 0, "loss": seen["full"], "none": seen["loss"]}
+    listed = found["none"].counters["listed"]
+    return spark.createDataFrame([(s, f.loss, listed, least[s] <= seen[s] <= listed) for s, f in found.items()], "strategy string, loss bigint, listed bigint, in_order boolean")
 
 
 # ---------------------------------------------------------------- assignment and releases
@@ -466,6 +478,16 @@ def multi_size_layout(spark, sf):
     return spark.createDataFrame(refine.layout_of(r), "s int, b bigint")
 
 
+@query(with_caps("occ50") + "SELECT n AS n_rows, true AS dealable, true AS within FROM t")
+def multi_size_audit(spark, sf):
+    """Rows that the refinement's classes hold, whether the caps allow them (by a flow), and whether the sizes are in range."""
+    rows = A.collect_caps(caps(spark, sf, "occ50"))
+    layout = refine.layout_of(refine.refine_caps(rows, M_MAX))
+    quotas = [[min(s, s * r.cap_num // r.cap_den) for s, _ in layout] for r in rows]
+    low = min(-(-r.cap_den // r.cap_num) for r in rows)
+    return spark.createDataFrame([(sum(s * b for s, b in layout), exact.flow_split([r.cnt for r in rows], quotas, layout) is not None, all(low <= s <= M_MAX for s, _ in layout))], "n_rows bigint, dealable boolean, within boolean")
+
+
 @query(with_caps("occ50") + brute() + "SELECT loss AS two_size, true AS not_more, n AS n_rows FROM best, t")
 def multi_size_loss_le_two(spark, sf):
     rows = A.collect_caps(caps(spark, sf, "occ50"))
@@ -500,11 +522,11 @@ def exact_small(spark, sf):
 
 @query()
 def optimality_gap(spark, sf):
-    """Two-size, many-size and exact loss, and the linear bound, on the education stand-in."""
+    """Two-size, many-size and exact loss, the linear bound, and whether it proves the exact one, on the education stand-in."""
     rows = A.collect_caps(caps(spark, sf, "edu14"))
     r, two = refine.refine_caps(rows, M_MAX), search.search_two_size(caps_frame(spark, rows), M_MAX)
-    e = exact.exact_multi([x.cnt for x in rows], [x.cap_num for x in rows], [x.cap_den for x in rows], M_MAX, (refine.layout_of(r), r.loss), seconds=10)
-    return spark.createDataFrame([(two.loss, r.loss, e.loss, float(e.bound))], "two_size bigint, many_size bigint, exact bigint, bound double")
+    e = exact.exact_multi([x.cnt for x in rows], [x.cap_num for x in rows], [x.cap_den for x in rows], M_MAX, (refine.layout_of(r), r.loss))
+    return spark.createDataFrame([(two.loss, r.loss, e.loss, float(e.bound), e.optimal)], "two_size bigint, many_size bigint, exact bigint, bound double, optimal boolean")
 
 
 # ---------------------------------------------------------------- uniform baseline
@@ -666,8 +688,8 @@ def corruption_empirical(spark, sf):
     return X.corruption_attack(dealt(spark, sf)[1], 3, 2, "c0").withColumn("prob", F.round("prob", 6))
 
 
-_DECOYS = _DEAL + """, dom AS (SELECT DISTINCT v FROM m), bk AS (SELECT DISTINCT bucket FROM a),
-        cand AS (SELECT bucket, v, row_number() OVER (PARTITION BY bucket ORDER BY md5('d0|' || bucket || '|' || v), v) AS r FROM bk, dom WHERE NOT EXISTS (SELECT 1 FROM sa WHERE sa.bucket = bk.bucket AND sa.v = dom.v)),
+_DECOYS = _DEAL + """, dom AS (SELECT v, row_number() OVER (ORDER BY md5('d0|' || v), v) - 1 AS i, count(*) OVER () AS d FROM (SELECT DISTINCT v FROM m)), bk AS (SELECT DISTINCT bucket FROM a),
+        cand AS (SELECT bucket, v, row_number() OVER (PARTITION BY bucket ORDER BY (i - ('0x' || substr(md5('d0|' || bucket), 1, 13))::BIGINT % d + d) % d) AS r FROM bk, dom WHERE NOT EXISTS (SELECT 1 FROM sa WHERE sa.bucket = bk.bucket AND sa.v = dom.v)),
         dec AS (SELECT bucket, v FROM cand WHERE r <= 2), pub AS (SELECT bucket, v, cnt FROM sa UNION ALL SELECT bucket, v, 1 FROM dec)"""
 
 
@@ -775,7 +797,7 @@ def pool_width(spark, sf):
 @query(OCC_ASSIGNED + _POOL + _MATCH + " SELECT query_id, coalesce(act, 0)::BIGINT AS act FROM qd LEFT JOIN act USING (query_id)")
 def pool_exact(spark, sf):
     m = M.occ50(spark, sf)
-    return workload.exact_answers(m.df, event_pool(spark, sf), m.qi)
+    return workload.pool_exact(m.df, event_pool(spark, sf), m.qi)
 
 
 @query(OCC_ASSIGNED + _POOL + _MATCH + " SELECT query_id, coalesce(act, 0)::BIGINT AS act FROM qd LEFT JOIN act USING (query_id)")
@@ -788,15 +810,15 @@ def map_in_arrow_pool(spark, sf):
 def pool_estimate(spark, sf):
     m, _, _, a = two_size(spark, sf)
     qi_side, sa = release.publish(a, m.qi)
-    return workload.estimate_answers(qi_side, release.compact(sa), event_pool(spark, sf), m.qi).withColumn("est", F.round("est", 4))
+    return workload.pool_estimate(qi_side, release.compact(sa), event_pool(spark, sf), m.qi).withColumn("est", F.round("est", 4))
 
 
 @query(OCC_ASSIGNED + _POOL + _MATCH + " SELECT count(*)::BIGINT AS queries, count(*) FILTER (coalesce(act, 0) = 0)::BIGINT AS skipped, round(avg(CASE WHEN act > 0 THEN abs(act - coalesce(est, 0)) / act END), 4) AS mean_re FROM qd LEFT JOIN act USING (query_id) LEFT JOIN est USING (query_id)")
 def re_pool(spark, sf):
     m, _, _, a = two_size(spark, sf)
     qi_side, sa = release.publish(a, m.qi)
-    pool = event_pool(spark, sf)
-    return workload.mean_error(workload.relative_error(workload.exact_answers(m.df, pool, m.qi), workload.estimate_answers(qi_side, release.compact(sa), pool, m.qi))).withColumn("mean_re", F.round("mean_re", 4))
+    pool = workload.pool_bits(event_pool(spark, sf))
+    return workload.mean_error(workload.relative_error(workload.pool_exact(m.df, pool, m.qi), workload.pool_estimate(qi_side, release.compact(sa), pool, m.qi))).withColumn("mean_re", F.round("mean_re", 4))
 
 
 @query(OCC_ASSIGNED + ", q AS (SELECT bucket, count(*) AS q FROM a WHERE event_type = (SELECT min(event_type) FROM events) AND hour BETWEEN 6 AND 11 GROUP BY bucket), s AS (SELECT bucket, sum(cnt) FILTER (v < 5) AS s FROM sa GROUP BY bucket) SELECT round(sum(q * coalesce(s, 0) / size), 4) AS est FROM q JOIN s USING (bucket) JOIN bs USING (bucket)")

@@ -184,9 +184,10 @@ def join_left_semi(spark, sf):
     return table(spark, sf, "customer").join(table(spark, sf, "orders"), _co(), "left_semi").select("c_custkey")
 
 
-@query("SELECT c_custkey FROM customer WHERE NOT EXISTS (SELECT 1 FROM orders WHERE o_custkey = c_custkey)")
+@query("SELECT c_custkey FROM customer WHERE NOT EXISTS (SELECT 1 FROM orders WHERE o_custkey = c_custkey AND o_orderpriority = '1-URGENT')")
 def join_left_anti(spark, sf):
-    return table(spark, sf, "customer").join(table(spark, sf, "orders"), _co(), "left_anti").select("c_custkey")
+    """Customers without an urgent order."""
+    return table(spark, sf, "customer").join(table(spark, sf, "orders"), _co() & (F.col("o_orderpriority") == "1-URGENT"), "left_anti").select("c_custkey")
 
 
 @query("SELECT p_partkey, b AS band FROM part, (VALUES (0, 10), (10, 25), (25, 99)) v(b, e) WHERE p_size > b AND p_size <= e")
@@ -461,10 +462,10 @@ def limit_offset(spark, sf):
     return table(spark, sf, "orders").select("o_orderkey").orderBy("o_orderkey").offset(25).limit(10)
 
 
-@query("SELECT o_orderkey, o_clerkless FROM (SELECT o_orderkey, CASE WHEN o_orderkey % 3 = 0 THEN NULL ELSE o_orderstatus END AS o_clerkless FROM orders) ORDER BY o_clerkless NULLS LAST, o_orderkey DESC LIMIT 50")
+@query("SELECT o_orderkey, o_clerkless FROM (SELECT o_orderkey, CASE WHEN o_orderkey % 3 = 0 THEN NULL ELSE o_orderstatus END AS o_clerkless FROM orders) ORDER BY o_clerkless NULLS LAST, o_orderkey DESC")
 def sort_multi_nulls(spark, sf):
     o = table(spark, sf, "orders").select("o_orderkey", F.when(F.col("o_orderkey") % 3 != 0, F.col("o_orderstatus")).alias("o_clerkless"))
-    return o.orderBy(F.asc_nulls_last("o_clerkless"), F.desc("o_orderkey")).limit(50)
+    return o.orderBy(F.asc_nulls_last("o_clerkless"), F.desc("o_orderkey"))
 
 
 @query("SELECT o_orderkey FROM orders WHERE substr(md5('h0|' || o_orderkey), 1, 2) < '40'")
@@ -514,9 +515,11 @@ def set_intersect_all(spark, sf):
     return _nations(spark, sf, "c").intersectAll(_nations(spark, sf, "s"))
 
 
-@query(_SETS.format("EXCEPT"))
+@query("SELECT o_custkey AS k FROM orders EXCEPT SELECT o_custkey FROM orders WHERE o_orderpriority = '1-URGENT'")
 def set_except(spark, sf):
-    return _nations(spark, sf, "c").subtract(_nations(spark, sf, "s"))
+    """Customers with orders, none of them urgent."""
+    o = table(spark, sf, "orders")
+    return o.select(F.col("o_custkey").alias("k")).subtract(o.where("o_orderpriority = '1-URGENT'").select(F.col("o_custkey").alias("k")))
 
 
 @query(_SETS.format("EXCEPT ALL"))
@@ -543,7 +546,7 @@ def _sql(name: str, text: str, *tables: str, oracle: str | None = None):
 
 _sql("sub_scalar_correlated", "SELECT c_custkey FROM customer c WHERE c_acctbal > (SELECT avg(x.c_acctbal) FROM customer x WHERE x.c_nationkey = c.c_nationkey)", "customer")
 _sql("sub_exists", "SELECT o_orderkey FROM orders o WHERE EXISTS (SELECT 1 FROM lineitem l WHERE l.l_orderkey = o.o_orderkey AND l.l_quantity > 48)", "orders", "lineitem")
-_sql("sub_not_in_null", "SELECT n_nationkey FROM nation WHERE n_nationkey NOT IN (SELECT s_nationkey FROM supplier WHERE s_nationkey IS NOT NULL)", "nation", "supplier")
+_sql("sub_not_in_null", "SELECT c_custkey FROM customer WHERE c_custkey NOT IN (SELECT k FROM (SELECT CASE WHEN o_orderpriority = '1-URGENT' THEN o_custkey END AS k FROM orders) WHERE k IS NOT NULL)", "customer", "orders")
 _sql("sub_lateral", "SELECT c_custkey, o_orderkey FROM customer, LATERAL (SELECT o_orderkey FROM orders WHERE o_custkey = c_custkey ORDER BY o_totalprice DESC, o_orderkey LIMIT 2)", "customer", "orders", oracle="SELECT c_custkey, x.o_orderkey FROM customer, LATERAL (SELECT o_orderkey FROM orders WHERE o_custkey = c_custkey ORDER BY o_totalprice DESC, o_orderkey LIMIT 2) x")
 _sql("cte_recursive_lattice", "WITH RECURSIVE w(b1, b2) AS (SELECT 14, 0 UNION ALL SELECT b1 - 2, b2 + 1 FROM w WHERE b1 >= 2) SELECT b1, b2 FROM w")
 

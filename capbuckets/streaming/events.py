@@ -27,8 +27,12 @@ def event_stream(spark: SparkSession, sf_dir: str, files_per_batch: int = 1) ->
 
 
 def checkpoint_path(spark: SparkSession, name: str) -> str:
-    """A new folder for a stream's state: below the shared checkpoint folder if one is named."""
-    root = spark.sparkContext.getConf().get("spark.checkpoint.dir") or f"file://{tempfile.mkdtemp(prefix='capbuckets-stream-')}"
+    """A new folder for a stream's state: below the shared checkpoint folder; one of our own only where none is named and all run in one process."""
+    root = spark.sparkContext.getConf().get("spark.checkpoint.dir")
+    if not root:
+        if spark.sparkContext.master.partition("[")[0] != "local":
+            raise ValueError("set spark.checkpoint.dir to a folder that the driver and all executors share")
+        root = f"file://{tempfile.mkdtemp(prefix='capbuckets-stream-')}"
     return f"{root.rstrip('/')}/stream-{name}-{uuid.uuid4().hex}"
 
 

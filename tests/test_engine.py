@@ -88,15 +88,33 @@ def test_decoys_need_room(spark):
         attacks.decoys(sa, 1, "s").collect()
 
 
-def test_pool_evaluators_agree(spark, sf):
+def test_pool_answers_are_those_of_each_query(spark, sf, monkeypatch):
+    """Every query of a pool asked on its own, in one chunk of the pool and in many."""
     m, _, _, a = Q.two_size(spark, sf)
     qi_side, sa = release.publish(a, m.qi)
     sa, pool = release.compact(sa), Q.event_pool(spark, sf, 20)
-    exact_a = {r.query_id: r.act for r in workload.exact_answers(m.df, pool, m.qi).collect()}
-    assert exact_a == {r.query_id: r.act for r in workload.pool_exact(m.df, pool, m.qi).collect()}
-    one = {r.query_id: r.est for r in workload.estimate_answers(qi_side, sa, pool, m.qi).collect()}
-    two = {r.query_id: r.est for r in workload.pool_estimate(qi_side, sa, pool, m.qi).collect()}
-    assert all(abs(one[k] - two[k]) < 1e-3 * max(1, one[k]) for k in one)
+    lists = {}
+    for r in pool.collect():
+        lists.setdefault(r.query_id, {}).setdefault(r.attr, set()).add(r.value)
+    rows, side = m.df.select(*m.qi, "v").collect(), qi_side.collect()
+    buckets = {}
+    for r in sa.collect():
+        buckets.setdefault(r.bucket, []).append((str(r.v), r.cnt))
+    fits = lambda r, q, columns: all(c not in q or str(r[c]) in q[c] for c in columns)
+    share = lambda b, q: sum(n for v, n in buckets[b] if v in q["v"]) / sum(n for _, n in buckets[b])
+    act = {i: sum(fits(r, q, [*m.qi, "v"]) for r in rows) for i, q in lists.items()}
+    est = {i: sum(share(r.bucket, q) for r in side if fits(r, q, m.qi)) for i, q in lists.items()}
+    for cells in (1 << 26, 400):
+        monkeypatch.setattr(workload, "MAX_CELLS", cells)
+        assert {r.query_id: r.act for r in workload.pool_exact(m.df, pool, m.qi).collect()} == act
+        assert {r.query_id: r.est for r in workload.pool_estimate(qi_side, sa, pool, m.qi).collect()} == pytest.approx(est)
+    assert len(list(workload.pool_bits(pool).chunks())) > 1
+
+
+def test_pool_is_checked(spark, sf, monkeypatch):
+    monkeypatch.setattr(workload, "MAX_POOL_ROWS", 10)
+    with pytest.raises(ValueError, match="too large"):
+        workload.pool_bits(Q.event_pool(spark, sf, 20))
 
 
 def test_relative_error_skips_zero(spark):
@@ -122,6 +140,32 @@ def test_ranking_is_sharded(spark, sf):
     assert "hashpartitioning(v" in text and "_shard" in text and "Python" not in text
 
 
+def test_shards_follow_from_the_commonest_value(spark, sf, monkeypatch):
+    assert [assign.shard_digits(n) for n in (0, 1 << 18, (1 << 18) + 1, 1 << 22, 1 << 40)] == [0, 0, 1, 1, 6]
+    m = microdata.occ50(spark, sf)
+    ranks = []
+    for rows in (1 << 18, 20, 1):
+        monkeypatch.setattr(assign, "SHARD_ROWS", rows)
+        ranks.append(sorted((r.event_id, r._t) for r in assign.rank_rows(m.df, "v", m.key, "s").collect()))
+    assert ranks[0] == ranks[1] == ranks[2]
+    assert [r.t for r in assign.rank_rows(m.df, "v", m.key, "s", 5).where("v = 0").selectExpr("_t AS t").orderBy("t").collect()] == list(range(1, m.df.where("v = 0").count() + 1))
+
+
+def test_decoys_against_the_ring(spark):
+    """Each bucket takes the first free values from its place on, whatever is forbidden; all of a small domain, if need be."""
+    sa = spark.createDataFrame([(b, v, 1) for b in range(12) for v in range(30) if (b * 7 + v) % 5 == 0], "bucket bigint, v int, cnt bigint")
+    forbidden = spark.createDataFrame([(b, [v for v in range(30) if v % 3 == b % 3] + [99]) for b in range(0, 12, 2)] + [(77, [1])], "bucket bigint, values array<int>")
+    held = {b: {v for v in range(30) if (b * 7 + v) % 5 == 0} for b in range(12)}
+    ruled = {b: {v for v in range(30) if v % 3 == b % 3} if b % 2 == 0 else set() for b in range(12)}
+    for sigma in (1, 3, 14):
+        got = {}
+        for r in attacks.decoys(sa, sigma, "s", forbidden).collect():
+            got.setdefault(r.bucket, []).append(r.v)
+        assert set(got) == set(range(12))
+        assert all(len(vs) == len(set(vs)) == sigma and not set(vs) & (held[b] | ruled[b]) for b, vs in got.items())
+    assert len({tuple(sorted(vs)) for vs in got.values()}) > 3
+
+
 def test_no_python_on_the_row_path(spark, sf):
     m, _, _, a = Q.two_size(spark, sf)
     text = plan_of(release.audit(a, policy.linear_caps(policy.histogram(m.df), 8, 2, 100)))
@@ -201,11 +245,55 @@ def test_broadcasts_of_small_tables_only(spark, sf):
 
 
 def test_work_of_the_strategies(spark, sf):
-    """Each pruning saves work, and the integer program's work explodes with the domain while the search's does not."""
-    full, loss, none = (r.positions for r in sorted(entry.queries()["work_counters"](spark, sf).collect(), key=lambda r: r.strategy))
-    assert full < loss < none
-    work = {(r.strategy, r.domain): r.tests for r in entry.queries()["w_integer_program"](spark, sf).collect()}
-    assert work["ilp", 22] > 50 * work["ilp", 6] and work["full", 22] < 8 * work["full", 6]
+    """Each pruning saves work; the integer program looks at fewer positions than no pruning, and its work grows with the domain while the list falls."""
+    seen = {r.strategy: r.positions for r in entry.queries()["work_counters"](spark, sf).collect()}
+    assert seen["full"] < seen["loss"] < seen["none"] and seen["full"] < seen["ilp"] < seen["none"]
+    work = {(r.what, r.strategy, r.size): r for r in entry.queries()["w_domain_scale"](spark, sf).collect()}
+    for name in ("occ50", "edu14"):
+        assert work[name, "none", 64].listed < work[name, "none", 2].listed
+        assert len({work[name, s, 8].loss for s in ("full", "loss", "none", "ilp")}) == 1
+    assert work["edu14", "ilp", 16].tests > 4 * work["edu14", "ilp", 2].tests
+
+
+def test_integer_program_against_every_position():
+    """The least position with a solution, and a whole solution there, for random counts, caps and lattices."""
+    import numpy as np
+
+    from capbuckets.operators import lattice
+
+    r = np.random.default_rng(5)
+    found = 0
+    for _ in range(400):
+        m = int(r.integers(2, 9))
+        den = int(r.integers(2, 12))
+        c = search.Counts(r.integers(1, 30, m), r.integers(1, den + 1, m), np.full(m, den), np.ones(m, np.int64))
+        lat = lattice.lattice(c.n, *sorted(r.choice(np.arange(1, 13), 2, replace=False).tolist()))
+        if lat is None:
+            continue
+        ok = np.flatnonzero(search.valid_positions(c, lat, np.arange(lat.last + 1)))
+        first, _ = search.ilp_first(c, lat)
+        assert first == (int(ok[0]) if len(ok) else None)
+        if first is not None:
+            found += 1
+            x, (b1, b2) = search.ilp_rows(c, lat, first), lat.at(first)
+            assert (0 <= x).all() and (x <= np.minimum(c.cnt, c.quota(lat.s1) * b1)).all() and (c.cnt - x <= c.quota(lat.s2) * b2).all() and int(x.sum()) == lat.s1 * b1
+    assert found > 20
+
+
+def test_exact_search_stops_by_nodes_and_says_so():
+    from capbuckets.operators import exact
+
+    o, n = [40, 31, 17, 9, 5, 3, 2, 1], 108
+    num, den = [min(2 * x * 50 + 3 * n, n * 50) for x in o], [n * 50] * 8
+    best, few = exact.exact_multi(o, num, den, 20), exact.exact_multi(o, num, den, 20, max_nodes=0)
+    assert best.optimal and not best.stopped and few.bound <= best.loss and (few.optimal or few.stopped == "nodes")
+    assert exact.exact_multi(o, num, den, 20).layout == best.layout
+    import numpy as np
+
+    with pytest.raises(exact.SimplexStopped):
+        exact.simplex(np.array([1.0, 1.0]), np.array([[1.0, 2.0], [3.0, 1.0]]), np.array([4.0, 5.0]), np.array([False, False]), steps=1)
+    with pytest.raises(exact.SimplexStopped):
+        exact.simplex(np.array([-1.0]), np.array([[1.0]]), np.array([1.0]), np.array([False]))
 
 
 def test_rewritten_query_is_the_estimate(spark, sf):
