@@ -496,7 +496,7 @@ def multi_size_loss_le_two(spark, sf):
     return spark.createDataFrame([(two.loss, r.loss <= two.loss, held)], "two_size bigint, not_more boolean, n_rows bigint")
 
 
-_THREE_SIZES = (
+THREE_SIZES = (
     _FIFTY
     + """, q AS (SELECT s, list(least(s, s * cap_num // cap_den) ORDER BY v) AS q FROM c, generate_series(3, 16) g(s) GROUP BY s), o AS (SELECT list(cnt ORDER BY v) AS o FROM c),
         e AS (SELECT a.s AS s1, b.s AS s2, d.s AS s3, unnest(generate_series(0, 50 // a.s)) AS b1, a.q AS q1, b.q AS q2, d.q AS q3 FROM q a, q b, q d WHERE a.s < b.s AND b.s < d.s),
@@ -510,7 +510,7 @@ _THREE_SIZES = (
 )
 
 
-@query(_THREE_SIZES)
+@query(THREE_SIZES)
 def exact_small(spark, sf):
     """The exact many-size optimum of the 50-row example."""
     rows = A.collect_caps(fifty_caps(spark))

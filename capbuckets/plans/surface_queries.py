@@ -16,7 +16,7 @@ from capbuckets.sources.microdata import table
 query = Registry()
 
 
-def _scratch(spark, name: str) -> str:
+def scratch(spark, name: str) -> str:
     """A new path for a file round trip: in the checkpoint folder if one is named, else in the warehouse."""
     import uuid
 
@@ -37,7 +37,7 @@ def scan_parquet_pruned(spark, sf):
 
 
 def _round_trip(df: DataFrame, kind: str, **options) -> DataFrame:
-    path = _scratch(df.sparkSession, kind)
+    path = scratch(df.sparkSession, kind)
     df.write.format(kind).options(**options).save(path)
     return df.sparkSession.read.format(kind).schema(df.schema).options(**options).load(path)
 

@@ -105,7 +105,10 @@ class BucketFiller(StatefulProcessor):
             pool = [r for r in pool if r[0] not in gone]
             out += [(str(key[0]), n, i, v) for i, v in taken]
             n += 1
-        self.waiting.put(pool)
+        if pool:
+            self.waiting.put(pool)
+        else:  # a list that is kept must not be empty
+            self.waiting.clear()
         self.made.update((n,))
         yield pd.DataFrame(out, columns=["part", "bucket", "event_id", "v"])
 

@@ -4,8 +4,10 @@ from __future__ import annotations
 
 from pyspark.sql import functions as F
 
+from capbuckets.plans.method_queries import brute, with_caps
 from capbuckets.plans.registry import Registry
 from capbuckets.sources.microdata import table
+from capbuckets.streaming import events as S
 from capbuckets.streaming.events import event_stream, run_available, stream_histogram
 
 query = Registry()
@@ -66,3 +68,28 @@ def st_interval_join(spark, sf):
 @query("SELECT least(49, floor(value / 4.0))::INTEGER AS v, count(*)::BIGINT AS cnt FROM events GROUP BY v")
 def st_histogram(spark, sf):
     return run_available(stream_histogram(event_stream(spark, sf)), "complete")
+
+
+@query(with_caps("occ50") + brute() + "SELECT loss, true AS feasible FROM best")
+def st_policy_monitor(spark, sf):
+    """What the monitor of a drained stream said last: the optimum's loss, and whether the policy can be kept."""
+    seen = []
+    S.policy_monitor(stream_histogram(event_stream(spark, sf)), 8, lambda layout, ok: seen.append((layout.loss, bool(ok)))).awaitTermination()
+    return spark.createDataFrame(seen[-1:], "loss bigint, feasible boolean")
+
+
+@query("SELECT 0::BIGINT AS other_sizes, 0::BIGINT AS over_quota, true AS rows_of_the_stream, true AS once")
+def st_bucket_fill(spark, sf):
+    """Buckets of six rows filled by a stream: those of another size, values in a bucket more than twice, and whether each row is one of the stream's and in one bucket."""
+    key, provider = "spark.sql.streaming.stateStore.providerClass", "org.apache.spark.sql.execution.streaming.state.RocksDBStateStoreProvider"
+    before = spark.conf.get(key)
+    spark.conf.set(key, provider)  # lists as state need it; it is a setting of the session
+    try:
+        filled = run_available(S.bucket_fill(event_stream(spark, sf), 6, 2))
+    finally:
+        spark.conf.set(key, before)
+    sizes = filled.groupBy("part", "bucket").agg(F.count(F.lit(1)).alias("n")).agg(F.count_if("n <> 6").alias("other_sizes"))
+    over = filled.groupBy("part", "bucket", "v").agg(F.count(F.lit(1)).alias("n")).agg(F.count_if("n > 2").alias("over_quota"))
+    ids = filled.agg((F.count(F.lit(1)) == F.count_distinct("event_id")).alias("once"))
+    strange = filled.join(table(spark, sf, "events"), "event_id", "left_anti").agg((F.count(F.lit(1)) == 0).alias("rows_of_the_stream"))
+    return sizes.crossJoin(over).crossJoin(strange).crossJoin(ids)
