@@ -88,8 +88,8 @@ def st_bucket_fill(spark, sf):
         filled = run_available(S.bucket_fill(event_stream(spark, sf), 6, 2))
     finally:
         spark.conf.set(key, before)
-    sizes = filled.groupBy("part", "bucket").agg(F.count(F.lit(1)).alias("n")).agg(F.count_if("n <> 6").alias("other_sizes"))
-    over = filled.groupBy("part", "bucket", "v").agg(F.count(F.lit(1)).alias("n")).agg(F.count_if("n > 2").alias("over_quota"))
+    sizes = filled.groupBy("part", "bucket").agg(F.count(F.lit(1)).alias("n")).agg(F.count_if(F.col("n") != 6).alias("other_sizes"))
+    over = filled.groupBy("part", "bucket", "v").agg(F.count(F.lit(1)).alias("n")).agg(F.count_if(F.col("n") > 2).alias("over_quota"))
     ids = filled.agg((F.count(F.lit(1)) == F.count_distinct("event_id")).alias("once"))
     strange = filled.join(table(spark, sf, "events"), "event_id", "left_anti").agg((F.count(F.lit(1)) == 0).alias("rows_of_the_stream"))
     return sizes.crossJoin(over).crossJoin(strange).crossJoin(ids)
