@@ -636,3 +636,52 @@ def test_words_of_one_name_make_no_link(spark):
     assert shingles.word_names(a) == shingles.word_names(b)
     got = H.rows(jaccard_join.jaccard_join(frame(spark, data)).select("doc_id", "class_id", "n_links"))
     assert got == sorted(H.jaccard_classes(data), key=str) and (5, 1, 1) in got
+
+
+# ---------------------------------------------------------------- the registered queries, on a whole table
+
+
+@pytest.fixture(scope="module")
+def texts(spark, sf):
+    return [(r.doc_id, r.text) for r in storage.table(spark, sf, "documents").collect()]
+
+
+def test_query_of_token_counts(spark, sf, texts):
+    c = token_counts.counter_for(BYTE_BPE)
+    sizes = [(k, len((t or "").encode()), len(c.library.encode(t or "", add_special_tokens=False).ids)) for k, t in texts]
+    assert H.rows(queries.op3_prefix_token_counts(spark, sf)) == sorted(((k, b, n, n > 1024) for k, b, n in sizes), key=str)
+
+
+def test_query_of_classes(spark, sf, texts):
+    got = H.rows(queries.op4_jaccard_join(spark, sf).select("doc_id", "class_id", "n_links"))
+    assert got == sorted(H.jaccard_classes(texts), key=str)
+
+
+def test_query_of_token_files(spark, sf, texts):
+    from tokenizers import Tokenizer
+
+    lib, place, want = Tokenizer.from_file(WORD_BPE), 0, []
+    for k, t in sorted(texts):
+        ids = lib.encode(t or "", add_special_tokens=False).ids + [2]
+        want.append((k, place, len(ids), zlib.crc32(np.array(ids, "<u4").tobytes())))
+        place += len(ids)
+    assert H.rows(queries.op5_token_files(spark, sf).select("doc_id", "start", "n_tokens", "ids_crc32")) == sorted(want, key=str)
+
+
+def test_query_of_repeated_strings(spark, sf, texts):
+    got = queries.op6_repeated_strings(spark, sf)
+    assert got.columns[:5] == ["doc_id", "n_bytes", "n_removed", "n_spans", "kept_sha256"]
+    assert H.rows(got.select(got.columns[:5])) == sorted(H.removed_strings(texts), key=str)
+
+
+def test_query_of_benchmark_windows(spark, sf, texts):
+    items = [(r.item_id, r.text) for r in storage.table(spark, sf, "benchmark").collect()]
+    found = H.contaminated(texts, items)
+    want = [(k, any(d == k for d, _ in found), sorted(i for d, i in found if d == k)) for k, _ in texts]
+    assert H.rows(queries.op9_benchmark_windows(spark, sf)) == sorted(want, key=str)
+
+
+def test_query_of_toxicity(spark, sf, texts):
+    got = queries.op10_toxicity(spark, sf).collect()
+    assert sorted(r.doc_id for r in got) == sorted(k for k, _ in texts)
+    assert all(r.held_out == (zlib.crc32(str(r.doc_id).encode()) % 5 == 0) and 0 <= r.score <= 1 and r.predicted == int(r.score >= 0.5) for r in got)
