@@ -16,7 +16,7 @@ from pyspark.sql.window import Window
 from . import storage
 
 #: Tokens of a shard at most, about: a leaf has 16, 256, ... of them as its own tokens ask for.
-SHARD_TOKENS = 4_000_000
+SHARD_TOKENS = 1_000_000
 
 
 def token_count(text: Column) -> Column:
