@@ -19,7 +19,7 @@ import numpy as np
 
 EPS = 1e-7
 #: Nodes that a search looks at before it gives the best so far.
-MAX_NODES = 400
+MAX_NODES = 300
 
 
 @dataclass
