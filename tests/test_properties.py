@@ -99,7 +99,7 @@ def test_refinement_is_between_exact_and_two_size(counts, rule):
         return
     assert many.loss <= two.loss
     assert best[1] <= many.loss
-    lp = exact.exact_multi(c.cnt, c.num, c.den, 12, (refine.layout_of(many), many.loss), 5.0)
+    lp = exact.exact_multi(c.cnt, c.num, c.den, 12, (refine.layout_of(many), many.loss))
     assert lp.optimal and lp.loss == best[1]
     values = list(range(len(counts)))
     cuts = refine.leaf_cuts(many, values)
