@@ -182,10 +182,25 @@ def _three_part(c: Counts, lat, q1: np.ndarray, q2: np.ndarray) -> tuple[int, in
 
 def valid_positions(c: Counts, lat, positions: np.ndarray) -> np.ndarray:
     """The conditions for many positions of a lattice, without any of their monotone structure."""
+    return judged_positions(c, lat, positions)[0]
+
+
+def judged_positions(c: Counts, lat, positions: np.ndarray) -> tuple[np.ndarray, int]:
+    """(valid or not, values tested): a position is done with at the first run of values, each twice as long, that has one too many."""
     b1, b2 = lat.b1 - positions * lat.d1, lat.b2 + positions * lat.d2
-    u1, u2 = c.quota(lat.s1)[:, None] * b1, c.quota(lat.s2)[:, None] * b2
+    q1, q2 = c.quota(lat.s1)[:, None], c.quota(lat.s2)[:, None]
     o, m = c.cnt[:, None], c.mult[:, None]
-    return (u1 + u2 >= o).all(0) & ((m * np.minimum(u1, o)).sum(0) >= lat.s1 * b1) & ((m * np.minimum(u2, o)).sum(0) >= lat.s2 * b2)
+    left, tests, at, run = np.arange(len(positions)), 0, 0, 4
+    while at < len(o) and len(left):
+        v = slice(at, at + run)
+        tests += len(o[v]) * len(left)
+        left = left[(q1[v] * b1[left] + q2[v] * b2[left] >= o[v]).all(0)]
+        at, run = at + run, 2 * run
+    for q, s, b in ((q1, lat.s1, b1), (q2, lat.s2, b2)):
+        left = left[(m * np.minimum(q * b[left], o)).sum(0) >= s * b[left]]
+    ok = np.zeros(len(positions), bool)
+    ok[left] = True
+    return ok, tests
 
 
 def bounds_of(c: Counts) -> tuple[int, int]:
@@ -241,10 +256,10 @@ def driver_search(c: Counts, m_max: int = 50, strategy: str = "full", low: int |
                 step = max(64, (1 << 21) // m)
                 for at in range(0, cut + 1, step):
                     positions = np.arange(at, min(at + step, cut + 1))
-                    ok = np.flatnonzero(valid_positions(c, lat, positions))
-                    seen = len(positions) if strategy == "none" or not len(ok) else int(ok[0]) + 1
-                    count["positions"] += seen
-                    count["tests"] += seen * m
+                    valid, tests = judged_positions(c, lat, positions)
+                    ok = np.flatnonzero(valid)
+                    count["positions"] += len(positions) if strategy == "none" or not len(ok) else int(ok[0]) + 1
+                    count["tests"] += tests
                     if len(ok) and first is None:
                         first = at + int(ok[0])
                     if first is not None and strategy == "loss":

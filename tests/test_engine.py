@@ -280,6 +280,30 @@ def test_integer_program_against_every_position():
     assert found > 20
 
 
+def test_positions_are_judged_run_by_run_as_at_once():
+    import numpy as np
+
+    from capbuckets.operators import lattice
+
+    r = np.random.default_rng(11)
+    seen = [0, 0]
+    for _ in range(300):
+        m, den = int(r.integers(1, 40)), int(r.integers(2, 30))
+        c = search.Counts(r.integers(1, 40, m), r.integers(1, den + 1, m), np.full(m, den), r.integers(1, 4, m))
+        lat = lattice.lattice(c.n, *sorted(r.choice(np.arange(1, 20), 2, replace=False).tolist()))
+        if lat is None:
+            continue
+        ok, tests = search.judged_positions(c, lat, np.arange(lat.last + 1))
+        assert tests <= m * (lat.last + 1)
+        for i in range(lat.last + 1):
+            (b1, b2), q1, q2 = lat.at(i), c.quota(lat.s1), c.quota(lat.s2)
+            fits = all(x * b1 + y * b2 >= o for o, x, y in zip(c.cnt, q1, q2, strict=True))
+            fills = all(sum(k * min(x * b, o) for o, x, k in zip(c.cnt, q, c.mult, strict=True)) >= s * b for q, s, b in ((q1, lat.s1, b1), (q2, lat.s2, b2)))
+            assert ok[i] == (fits and fills)
+            seen[int(ok[i])] += 1
+    assert min(seen) > 50
+
+
 def test_exact_search_stops_by_nodes_and_says_so():
     from capbuckets.operators import exact
 
