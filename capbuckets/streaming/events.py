@@ -6,6 +6,9 @@ batch query. Nothing here is claimed by the method: searches are not incremental
 
 from __future__ import annotations
 
+import collections
+import heapq
+import itertools
 import tempfile
 import uuid
 from collections.abc import Callable, Iterator
@@ -78,7 +81,11 @@ def policy_monitor(hist: DataFrame, theta: int, on_change: Callable[[search.Layo
 
 
 class BucketFiller(StatefulProcessor):
-    """Holds rows of a group back until a bucket of ``size`` rows can be made in which no value exceeds ``quota`` copies."""
+    """Holds rows of a group back until a bucket of ``size`` rows can be made in which no value exceeds ``quota`` copies.
+
+    A bucket takes the earliest rows that its quotas allow. Rows wait in one queue a value, and a heap has the head of each, so
+    a bucket costs its own rows however many wait; as a bucket follows from the rows up to its last one, it is made when that came.
+    """
 
     def __init__(self, size: int, quota: int):
         self.size, self.quota = size, quota
@@ -87,30 +94,51 @@ class BucketFiller(StatefulProcessor):
         self.waiting = handle.getListState("waiting", "event_id bigint, v int")
         self.made = handle.getValueState("made", "n bigint")
 
+    def take(self, queues: dict, heads: list) -> list[tuple]:
+        """(event_id, v) of the next bucket, out of the queues; nothing, and the queues as they were, if it cannot be filled yet."""
+        taken, counts, full = [], {}, []
+        while heads and len(taken) < self.size:
+            _, v = heapq.heappop(heads)
+            taken.append((v, queues[v].popleft()))
+            counts[v] = counts.get(v, 0) + 1
+            if queues[v] and counts[v] < self.quota:
+                heapq.heappush(heads, (queues[v][0][0], v))
+            elif queues[v]:
+                full.append(v)
+        done = len(taken) == self.size
+        if not done:
+            for v, row in reversed(taken):
+                queues[v].appendleft(row)
+            full = [v for v in queues if queues[v]]
+        for v in full:
+            heapq.heappush(heads, (queues[v][0][0], v))
+        return [(i, v) for v, (_, i) in taken] if done else []
+
     def handleInputRows(self, key, rows: Iterator[pd.DataFrame], timerValues) -> Iterator[pd.DataFrame]:
-        pool = [(int(i), int(v)) for i, v in self.waiting.get()] if self.waiting.exists() else []
-        for frame in rows:
-            pool += list(zip(frame["event_id"].tolist(), frame["v"].tolist(), strict=True))
+        queues, heads, place = {}, [], itertools.count()
         n = int(self.made.get()[0]) if self.made.exists() else 0
-        out = []
-        while True:
-            taken, counts = [], {}
-            for row in pool:
-                if len(taken) < self.size and counts.get(row[1], 0) < self.quota:
-                    counts[row[1]] = counts.get(row[1], 0) + 1
-                    taken.append(row)
-            if len(taken) < self.size:
-                break
-            gone = {i for i, _ in taken}
-            pool = [r for r in pool if r[0] not in gone]
-            out += [(str(key[0]), n, i, v) for i, v in taken]
-            n += 1
-        if pool:
-            self.waiting.put(pool)
+        whole = lambda x: None if pd.isna(x) else int(x)
+        kept = [(whole(i), whole(v)) for i, v in self.waiting.get()] if self.waiting.exists() else []
+        for frame in itertools.chain([kept], rows):
+            came = frame if frame is kept else zip(*[[whole(x) for x in frame[c].tolist()] for c in ("event_id", "v")], strict=True)
+            for i, v in came:
+                at, queue = next(place), queues.setdefault(v, collections.deque())
+                if not queue:
+                    heapq.heappush(heads, (at, v))
+                queue.append((at, i))
+            out = []
+            while bucket := self.take(queues, heads):
+                out += [(str(key[0]), n, i, v) for i, v in bucket]
+                n += 1
+            if out:
+                part, bucket_of, ids, values = zip(*out, strict=True)
+                yield pd.DataFrame({"part": part, "bucket": bucket_of, "event_id": pd.array(ids, "Int64"), "v": pd.array(values, "Int32")})
+        left = [(i, v) for _, i, v in sorted(((at, i, v) for v, queue in queues.items() for at, i in queue), key=lambda r: r[0])]
+        if left:
+            self.waiting.put(left)
         else:  # a list that is kept must not be empty
             self.waiting.clear()
         self.made.update((n,))
-        yield pd.DataFrame(out, columns=["part", "bucket", "event_id", "v"])
 
     def close(self) -> None:
         pass

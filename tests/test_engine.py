@@ -214,6 +214,68 @@ def test_policy_monitor_and_bucket_fill(spark, sf):
     assert filled.groupBy("part", "bucket", "v").count().agg(F.max("count")).first()[0] <= 2
 
 
+class _State:
+    """A state variable on its own, as a handle gives it."""
+
+    def __init__(self):
+        self.held = None
+
+    def exists(self):
+        return self.held is not None
+
+    def get(self):
+        return self.held
+
+    put = update = lambda self, x: setattr(self, "held", list(x))
+
+    def clear(self):
+        self.held = None
+
+
+def _fill(frames, size=6, quota=2):
+    """(bucket, event_id, v) of the frames, each a batch of its own, and what waits in the end."""
+    import pandas as pd
+    from capbuckets.streaming.events import BucketFiller
+
+    filler, out = BucketFiller(size, quota), []
+    filler.waiting, filler.made = _State(), _State()
+    for rows in frames:
+        frame = pd.DataFrame(rows, columns=["event_id", "v"])
+        for got in filler.handleInputRows(("0",), iter([frame[:7], frame[7:]]), None):
+            out += [(int(b), int(i), None if pd.isna(v) else int(v)) for b, i, v in zip(got["bucket"], got["event_id"], got["v"], strict=True)]
+    return out, list(filler.waiting.held or [])
+
+
+def test_bucket_filler_takes_the_earliest_rows_and_loses_none():
+    import random
+
+    rng = random.Random(5)
+    rows = [(i // 2, rng.choice([None, 0, 0, 0, 1, 2, 3])) for i in range(300)]  # each id twice, some values null
+    pool, want, n = list(rows), [], 0
+    while True:
+        taken, counts = [], {}
+        for at, (_, v) in enumerate(pool):
+            if len(taken) < 6 and counts.get(v, 0) < 2:
+                counts[v] = counts.get(v, 0) + 1
+                taken.append(at)
+        if len(taken) < 6:
+            break
+        want += [(n, *pool[at]) for at in taken]
+        pool, n = [r for at, r in enumerate(pool) if at not in taken], n + 1
+    assert n > 20 and pool
+    assert _fill([rows]) == (want, pool) == _fill([rows[:101], rows[101:102], rows[102:]])
+
+
+def test_bucket_filler_costs_its_rows_however_many_wait():
+    import time
+
+    rows = [(i, 0) for i in range(60_000)] + [(60_000 + i, i % 3 + 1) for i in range(60_000)]
+    began = time.process_time()
+    out, left = _fill([rows])
+    assert len(out) + len(left) == 120_000 and len(out) == 6 * 15_000
+    assert time.process_time() - began < 20  # some minutes when each bucket looked at all rows that wait
+
+
 def test_late_rows_are_dropped(spark, tmp_path):
     from capbuckets.streaming.events import checkpoint_path
 
