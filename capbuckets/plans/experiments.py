@@ -8,6 +8,7 @@ from collections.abc import Sequence
 import numpy as np
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.window import Window
 
 from capbuckets.functions.exact import order_key
 from capbuckets.operators import assign as A
@@ -151,30 +152,47 @@ def w_standins(spark, sf):
     return out
 
 
-def timed(c: search.Counts, strategy: str, runs: int = 100, seconds: float = 10.0) -> tuple[float, int, search.Layout]:
+def timed(c: search.Counts, strategy: str, runs: int = 100, seconds: float = 10.0, spark: SparkSession | None = None) -> tuple[float, int, search.Layout]:
     """(mean seconds, runs, layout) of up to ``runs`` searches; no more are begun after ``seconds``."""
     began, done, found = time.perf_counter(), 0, None
     while done < runs and (not done or time.perf_counter() - began < seconds):
-        found = search.driver_search(c, M_MAX, strategy)
+        found = search.driver_search(c, M_MAX, strategy, spark=spark)
         done += 1
     return (time.perf_counter() - began) / done, done, found
 
 
-def prefix_histogram(m: M.Microdata, rows: int) -> DataFrame:
-    """The histogram of the first ``rows`` rows in a salted order: whole hash shards, and part of the one at the edge."""
+def prefix_histograms(m: M.Microdata, sizes: Sequence[int]) -> list[DataFrame]:
+    """The histograms of the first rows in a salted order, for each of ``sizes``: whole hash shards, and part of the one at the edge.
+
+    Rows are hashed twice however many sizes there are: once for the histogram of every shard, once for the shards at edges.
+    """
+    spark = m.df.sparkSession
     h = order_key("w10", *[F.col(k) for k in m.key])
-    keyed = m.df.select("v", h.alias("h"))
-    shards = keyed.groupBy(F.substring("h", 1, 3).alias("s")).agg(F.count(F.lit(1)).alias("n")).orderBy("s").collect()
-    have, edge = 0, None
-    for r in shards:
-        if have + r.n > rows:
-            edge = r.s
-            break
+    keyed = m.df.select("v", h.alias("h")).withColumn("s", F.substring("h", 1, 3))
+    sums = keyed.groupBy("s", "v").agg(F.count(F.lit(1)).alias("n")).persist()
+    before, have = [], 0
+    for r in sums.groupBy("s").agg(F.sum("n").alias("n")).orderBy("s").collect():
+        before.append((r.s, have, have + r.n))
         have += r.n
-    if edge is None:
-        return policy.histogram(keyed)
-    rest = keyed.where(F.substring("h", 1, 3) == edge).orderBy("h").limit(rows - have)
-    return policy.histogram(keyed.where(F.substring("h", 1, 3) < edge).select("v").unionAll(rest.select("v")))
+    edges = [next(((s, rows - low) for s, low, high in before if high > rows), (None, 0)) for rows in sizes]
+    at = Window.partitionBy("s").orderBy("h")
+    cut = sorted({s for s, _ in edges if s is not None})
+    rest = keyed.where(F.col("s").isin(cut)).select("s", "v", F.row_number().over(at).alias("r")).persist()
+    out, kind = [], m.df.schema["v"].dataType.simpleString()
+    for s, more in edges:
+        whole = sums if s is None else sums.where(F.col("s") < s)
+        parts = whole.select("v", "n")
+        if s is not None:
+            parts = parts.unionAll(rest.where((F.col("s") == s) & (F.col("r") <= more)).groupBy("v").agg(F.count(F.lit(1)).alias("n")))
+        rows = A.collect_caps(parts.groupBy("v").agg(F.sum("n").alias("cnt")))
+        out.append(spark.createDataFrame(rows, f"v {kind}, cnt bigint"))
+    sums.unpersist()
+    rest.unpersist()
+    return out
+
+
+def prefix_histogram(m: M.Microdata, rows: int) -> DataFrame:
+    return prefix_histograms(m, [rows])[0]
 
 
 def growth(cases: Sequence[tuple[str, int, DataFrame]], strategies: Sequence[str] = STRATEGIES, runs: int = 1, seconds: float = 10.0) -> list[tuple]:
@@ -183,7 +201,7 @@ def growth(cases: Sequence[tuple[str, int, DataFrame]], strategies: Sequence[str
     for what, size, hist in cases:
         c = counts_of(caps_by_theta(hist, (8,))[8])
         for s in strategies:
-            mean, done, found = timed(c, s, runs, seconds)
+            mean, done, found = timed(c, s, runs, seconds, hist.sparkSession)
             out.append((what, size, s, found.loss, *[found.counters[x] for x in ("positions", "tests", "listed")], round(mean, 5), done))
     return out
 
@@ -192,7 +210,8 @@ def row_cases(spark: SparkSession, sf: str) -> list[tuple[str, int, DataFrame]]:
     """Histograms of one to five sixths of the line items: 100,000 to 500,000 of 600,000."""
     m = M.price50(spark, sf)
     n = m.df.count()
-    return [("rows", n * i // 6, prefix_histogram(m, n * i // 6)) for i in (1, 2, 3, 4, 5)]
+    sizes = [n * i // 6 for i in (1, 2, 3, 4, 5)]
+    return [("rows", size, hist) for size, hist in zip(sizes, prefix_histograms(m, sizes), strict=True)]
 
 
 def domain_cases(spark: SparkSession, sf: str) -> list[tuple[str, int, DataFrame]]:

@@ -441,3 +441,23 @@ def test_outer_joins_keep_every_row_of_whole_tables(spark, sf):
         assert sorted(got, key=str) == sorted(con.execute(entry.oracle_sql()[name]).fetchall(), key=str)
         assert not left or len({c for c, _ in got} - {None}) == customers and any(o is None for _, o in got)
         assert not right or len({o for _, o in got} - {None}) == orders and any(c is None for c, _ in got)
+
+
+def test_search_without_prunings_looks_at_any_number_of_layouts(spark, sf, monkeypatch):
+    c = search.collect_classes(Q.caps(spark, sf, "occ50"))
+    want = search.driver_search(c, 50, "none")
+    for name, most in (("MAX_LAYOUTS", 10), ("DRIVER_LAYOUTS", 10), ("RANGE", 7), ("CHUNK_CELLS", 1)):
+        monkeypatch.setattr(search, name, most, raising=False)
+    got = search.driver_search(c, 50, "none", spark=spark)
+    assert got.classes and got == want and got.counters["positions"] == got.counters["listed"] > 1000
+
+
+def test_prefix_histograms_are_of_the_first_rows(spark, sf):
+    from capbuckets.functions.exact import order_key
+    from capbuckets.plans import experiments as E
+
+    m = microdata.price50(spark, sf)
+    rows = [r.v for r in m.df.select("v", order_key("w10", *[F.col(k) for k in m.key]).alias("h")).orderBy("h").collect()]
+    sizes = [0, 1, 1000, len(rows) - 1, len(rows)]
+    for n, hist in zip(sizes, E.prefix_histograms(m, sizes), strict=True):
+        assert sorted((r.v, r.cnt) for r in hist.collect()) == sorted((v, rows[:n].count(v)) for v in set(rows[:n]))
