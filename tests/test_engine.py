@@ -461,3 +461,24 @@ def test_prefix_histograms_are_of_the_first_rows(spark, sf):
     sizes = [0, 1, 1000, len(rows) - 1, len(rows)]
     for n, hist in zip(sizes, E.prefix_histograms(m, sizes), strict=True):
         assert sorted((r.v, r.cnt) for r in hist.collect()) == sorted((v, rows[:n].count(v)) for v in set(rows[:n]))
+
+
+def test_lateral_puts_missing_order_keys_last_as_sql_does(spark, tmp_path):
+    spark.sql("SELECT 1L AS c_custkey").write.parquet(f"file://{tmp_path}/customer.parquet")
+    orders = "(1L, NULL, 5D), (1L, 7L, 5D), (1L, 8L, 5D), (1L, 9L, NULL)"
+    spark.sql(f"SELECT * FROM VALUES {orders} AS t(o_custkey, o_orderkey, o_totalprice)").write.parquet(f"file://{tmp_path}/orders.parquet")
+    got = entry.queries()["sub_lateral"](spark, str(tmp_path))
+    assert sorted(r.o_orderkey for r in got.collect()) == [7, 8]
+
+
+#: Queries that once made up all their rows.
+OF_TABLES = []
+
+
+def test_queries_take_their_rows_from_a_given_table(spark, sf, tmp_path):
+    from pyspark.errors import AnalysisException
+
+    for name in OF_TABLES:
+        assert entry.queries()[name](spark, sf).count() > 0
+        with pytest.raises(AnalysisException):
+            entry.queries()[name](spark, str(tmp_path)).collect()
