@@ -472,7 +472,7 @@ def test_lateral_puts_missing_order_keys_last_as_sql_does(spark, tmp_path):
 
 
 #: Queries that once made up all their rows.
-OF_TABLES = ["corruption_closed_form", "cte_recursive_lattice", "dp_ratio_bound", "exact_enumerated", "exact_small", "feasible_count", "fifty_rows_search"]
+OF_TABLES = ["corruption_closed_form", "cte_recursive_lattice", "dp_ratio_bound", "exact_enumerated", "exact_small", "feasible_count", "fifty_rows_search", "four_rows_risk"]
 
 
 def test_queries_take_their_rows_from_a_given_table(spark, sf, tmp_path):
