@@ -134,10 +134,15 @@ def pool_exact(df: DataFrame, pool: DataFrame | PoolBits, qi: Sequence[str], v:
 
 
 def pool_estimate(qi_side: DataFrame, sa: DataFrame, pool: DataFrame | PoolBits, qi: Sequence[str]) -> DataFrame:
-    """(query_id, est) of a pool, from the release alone: each row takes its bucket's values and shares along."""
-    sizes = sa.groupBy("bucket").agg(F.collect_list("v").alias("_a"), F.collect_list("cnt").alias("_c"), F.sum("cnt").alias("_s"))
-    shares = sizes.select("bucket", "_a", F.transform("_c", lambda x: x / F.col("_s")).alias("_b"))
-    return pool_answers(qi_side.join(shares, "bucket"), pool, qi, "_a", "_b").withColumnRenamed("answer", "est")
+    """(query_id, est) of a pool, from the release alone: each row takes its bucket's values and shares along.
+
+    Shares are summed over rows of equal quasi-identifiers first, so the pool is held against distinct combinations, not rows.
+    """
+    sizes = sa.groupBy("bucket").agg(F.sum("cnt").alias("_s"))
+    shares = sa.join(sizes, "bucket").select("bucket", F.col("v").alias("_v"), (F.col("cnt") / F.col("_s")).alias("_w"))
+    sums = qi_side.join(shares, "bucket").groupBy(*qi, "_v").agg(F.sum("_w").alias("_w"))
+    combos = sums.groupBy(*qi).agg(F.collect_list(F.struct("_v", "_w")).alias("_x"))
+    return pool_answers(combos.select(*qi, F.col("_x._v").alias("_a"), F.col("_x._w").alias("_b")), pool, qi, "_a", "_b").withColumnRenamed("answer", "est")
 
 
 def relative_error(exact: DataFrame, estimate: DataFrame) -> DataFrame:

@@ -6,6 +6,7 @@ import time
 from collections.abc import Sequence
 
 import numpy as np
+from pyspark import StorageLevel
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
@@ -99,10 +100,9 @@ def w_ell_theta(spark, sf):
     return spark.createDataFrame(rows, "table string, theta int, ell bigint, eligible boolean")
 
 
-def release_error(m: M.Microdata, cuts, pool: workload.PoolBits, true: DataFrame, salt: str = "s0") -> DataFrame:
-    """One row (queries, skipped, mean_re) of a pool with true answers ``true`` against the release that the cut points make."""
-    a = A.assign(m.df, "v", m.key, cuts, salt)
-    qi_side, sa = release.publish(a, m.qi)
+def release_error(m: M.Microdata, ranked: DataFrame, cuts, pool: workload.PoolBits, true: DataFrame) -> DataFrame:
+    """One row (queries, skipped, mean_re) of a pool with true answers ``true`` against the release that the cut points make of ranked rows."""
+    qi_side, sa = release.publish(A.place(ranked, "v", cuts), m.qi)
     return workload.mean_error(workload.relative_error(true, workload.pool_estimate(qi_side, release.compact(sa), pool, m.qi)))
 
 
@@ -114,14 +114,16 @@ def error_sweep(spark: SparkSession, sf: str, tables: Sequence[str] = TABLES, th
         pool = workload.pool_bits(workload.query_pool(workload.domains(m.df, [*m.qi, "v"]), m.qi, n_queries, 0.01, "p0"))
         known = workload.pool_exact(m.df, pool, m.qi).collect()  # as many rows as the pool has queries
         true = spark.createDataFrame(known, "query_id int, act bigint")
+        ranked = A.rank_rows(m.df, "v", m.key, "s0").select(*m.qi, "v", "_t").persist(StorageLevel.DISK_ONLY)  # for all releases of the table
         for t, rows in caps_by_theta(policy.histogram(m.df), thetas).items():
             c, values = counts_of(rows), [r.v for r in rows]
             two, many = search.driver_search(c, M_MAX), refine.refine_caps(rows, M_MAX)
             best = exact.exact_multi(c.cnt, c.num, c.den, M_MAX, (refine.layout_of(many), many.loss), nodes)
             takes = exact.flow_split(c.cnt, np.stack([c.quota(s) for s, _ in best.layout], 1), best.layout)
             for method, cuts in (("two_size", A.two_size_cuts(rows, two.classes)), ("many_size", refine.leaf_cuts(many, values)), ("exact" if best.optimal else "best found", A.cut_points(values, takes, best.layout))):
-                e = release_error(m, cuts, pool, true).first()
+                e = release_error(m, ranked, cuts, pool, true).first()
                 out.append((name, t, method, e.queries, e.skipped, round(e.mean_re, 6)))
+        ranked.unpersist()
     return out
 
 

@@ -482,3 +482,17 @@ def test_queries_take_their_rows_from_a_given_table(spark, sf, tmp_path):
         assert entry.queries()[name](spark, sf).count() > 0
         with pytest.raises(AnalysisException):
             entry.queries()[name](spark, str(tmp_path)).collect()
+
+
+def test_pool_estimate_keeps_null_values_in_their_places(spark):
+    qi_side = spark.createDataFrame([("x", 0)] * 3 + [(None, 1)], "a string, bucket bigint")
+    sa = spark.createDataFrame([(0, None, 2), (0, 1, 1), (1, 1, 1)], "bucket bigint, v int, cnt bigint")
+    pool = spark.createDataFrame([(0, 1, "a", "x"), (0, 1, "v", "1"), (1, 1, "v", "1")], "query_id int, d int, attr string, value string")
+    assert {r.query_id: round(r.est, 9) for r in workload.pool_estimate(qi_side, sa, pool, ["a"]).collect()} == {0: 1.0, 1: 2.0}
+
+
+def test_place_makes_what_assign_makes(spark, sf):
+    m, rows, layout, a = Q.two_size(spark, sf, "edu14", 16)
+    ranked = assign.rank_rows(m.df, "v", m.key, "s0")
+    assert a.columns == assign.place(ranked, "v", assign.two_size_cuts(rows, layout.classes)).columns
+    assert a.exceptAll(assign.place(ranked, "v", assign.two_size_cuts(rows, layout.classes))).isEmpty() and a.count() > 0
