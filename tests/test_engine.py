@@ -541,3 +541,8 @@ def test_positions_are_judged_alike_many_or_few_at_once(monkeypatch):
             assert seen[0] == seen[1]
             some += sum(want)
     assert some
+
+
+def test_strategies_agree_of_long_lists(spark, sf, monkeypatch):
+    want, got = with_long_lists(spark, sf, monkeypatch, "strategies_agree")
+    assert got == want and len(got) == 4 and len({r.loss for r in got}) == 1
