@@ -546,3 +546,8 @@ def test_positions_are_judged_alike_many_or_few_at_once(monkeypatch):
 def test_strategies_agree_of_long_lists(spark, sf, monkeypatch):
     want, got = with_long_lists(spark, sf, monkeypatch, "strategies_agree")
     assert got == want and len(got) == 4 and len({r.loss for r in got}) == 1
+
+
+def test_two_size_none_of_long_lists(spark, sf, monkeypatch):
+    want, got = with_long_lists(spark, sf, monkeypatch, "two_size_none")
+    assert got == want == entry.queries()["two_size_optimal"](spark, sf).collect() and got
