@@ -551,3 +551,8 @@ def test_strategies_agree_of_long_lists(spark, sf, monkeypatch):
 def test_two_size_none_of_long_lists(spark, sf, monkeypatch):
     want, got = with_long_lists(spark, sf, monkeypatch, "two_size_none")
     assert got == want == entry.queries()["two_size_optimal"](spark, sf).collect() and got
+
+
+def test_work_counters_of_long_lists(spark, sf, monkeypatch):
+    want, got = with_long_lists(spark, sf, monkeypatch, "work_counters")
+    assert got == want and [r.positions == r.listed > 1000 for r in got if r.strategy == "none"] == [True]
