@@ -556,3 +556,8 @@ def test_two_size_none_of_long_lists(spark, sf, monkeypatch):
 def test_work_counters_of_long_lists(spark, sf, monkeypatch):
     want, got = with_long_lists(spark, sf, monkeypatch, "work_counters")
     assert got == want and [r.positions == r.listed > 1000 for r in got if r.strategy == "none"] == [True]
+
+
+def test_work_counters_order_of_long_lists(spark, sf, monkeypatch):
+    want, got = with_long_lists(spark, sf, monkeypatch, "work_counters_order")
+    assert got == want and len(got) == 3 and all(r.in_order for r in got)
