@@ -561,3 +561,9 @@ def test_work_counters_of_long_lists(spark, sf, monkeypatch):
 def test_work_counters_order_of_long_lists(spark, sf, monkeypatch):
     want, got = with_long_lists(spark, sf, monkeypatch, "work_counters_order")
     assert got == want and len(got) == 3 and all(r.in_order for r in got)
+
+
+def test_w_domain_scale_of_long_lists(spark, sf, monkeypatch):
+    want, got = with_long_lists(spark, sf, monkeypatch, "w_domain_scale")
+    assert got == want and len(got) == 48
+    assert all(r.positions == r.listed for r in got if r.strategy == "none")
