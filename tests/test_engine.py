@@ -567,3 +567,8 @@ def test_w_domain_scale_of_long_lists(spark, sf, monkeypatch):
     want, got = with_long_lists(spark, sf, monkeypatch, "w_domain_scale")
     assert got == want and len(got) == 48
     assert all(r.positions == r.listed for r in got if r.strategy == "none")
+
+
+def test_w_domain_losses_of_long_lists(spark, sf, monkeypatch):
+    want, got = with_long_lists(spark, sf, monkeypatch, "w_domain_losses")
+    assert got == want and len(got) == 48 and len({(r.what, r.size, r.loss) for r in got}) == 12
