@@ -6,6 +6,7 @@ long table (query_id, d, attr, value) with attr ``v`` for the sensitive list; va
 
 from __future__ import annotations
 
+import json
 from collections.abc import Iterator, Sequence
 from dataclasses import dataclass
 
@@ -19,6 +20,9 @@ from capbuckets.functions.exact import order_key, pick
 
 #: Most rows of a pool that are collected, and most cells of the tables of a chunk.
 MAX_POOL_ROWS, MAX_CELLS = 5_000_000, 1 << 26
+#: Rows that a task holds a pool against at once, about, most cells of compositions by queries, and most values of an attribute that
+#: has its rows by sets of values.
+CHUNK_ROWS, MAX_SHARES, NARROW = 1 << 18, 1 << 22, 64
 
 
 def domains(df: DataFrame, columns: Sequence[str]) -> DataFrame:
@@ -78,71 +82,159 @@ def pool_bits(pool: DataFrame) -> PoolBits:
     return PoolBits(ids, allowed, free)
 
 
-def pool_answers(df: DataFrame, pool: DataFrame | PoolBits, qi: Sequence[str], values: str, shares: str) -> DataFrame:
-    """(query_id, answer) of a pool in one pass over weighted rows: a bit a query, for each value of each attribute.
+def weights_of(values: Column | str, counts: Column | str) -> Column:
+    """The sensitive values that a row may have and their counts as text: what the rows of one composition share."""
+    return F.to_json(F.struct(F.transform(values, lambda x: x.cast("string")).alias("v"), F.transform(counts, lambda x: x.cast("bigint")).alias("n")))
 
-    ``values`` and ``shares`` are arrays: the sensitive values that a row may have and how much of it each stands for. For raw
-    rows that is the one value and the count; for a release the bucket's values and their share of the size. Rows
-    are read once for each chunk of the pool.
+
+def pool_answers(df: DataFrame, pool: DataFrame | PoolBits, qi: Sequence[str], weights: str, shares: bool = False) -> DataFrame:
+    """(query_id, answer) of a pool in one pass over weighted rows: a bit a row, for each value of each attribute.
+
+    ``weights`` is a column of :func:`weights_of`. A row counts as often under each value as its count says or, with ``shares``,
+    for the count's share of all counts. Rows are read once for each chunk of the pool.
     """
     pool = pool if isinstance(pool, PoolBits) else pool_bits(pool)
-    rows_in = df.select(*[F.col(c).cast("string").alias(c) for c in qi], F.transform(values, lambda x: x.cast("string")).alias("_values"), F.transform(shares, lambda x: x.cast("double")).alias("_shares"))
+    plain = ("string", "tinyint", "smallint", "int", "bigint")  # other kinds are written out by Spark, as in the pool
+    kinds = dict(df.dtypes)
+    rows_in = df.select(*[F.col(c) if kinds[c] in plain else F.col(c).cast("string").alias(c) for c in qi], F.col(weights).alias("_weights"))
     out = None
     for part in pool.chunks():
-        one = rows_in.mapInArrow(_evaluator(part, qi), "query_id int, answer double")
+        one = rows_in.mapInArrow(_evaluator(part, qi, shares), "query_id int, answer double")
         out = one if out is None else out.unionAll(one)
     if out is None:
         return df.sparkSession.createDataFrame([], "query_id int, answer double")
     return out.groupBy("query_id").agg(F.sum("answer").alias("answer"))
 
 
-def _evaluator(pool: PoolBits, qi: Sequence[str]):
+def _codes(column: pa.Array, place: dict[str, int], other: int) -> np.ndarray:
+    """The place of each row's value, written out as text; ``other`` for nulls and for values without one."""
+    held = column.dictionary_encode()
+    table = np.array([*[place.get(str(x), other) for x in held.dictionary.to_pylist()], other], np.int32)
+    return table[held.indices.fill_null(len(held.dictionary)).to_numpy(zero_copy_only=False)]
+
+
+def _packed(mask: np.ndarray) -> np.ndarray:
+    return np.packbits(mask).view(np.uint64)
+
+
+class _Attribute:
+    """A quasi-identifier's lists of a pool, and the rows of a chunk that each list allows, as bits."""
+
+    def __init__(self, allowed: dict[str, np.ndarray], free: np.ndarray):
+        self.place = {v: i for i, v in enumerate(allowed)}
+        self.size, self.free = len(allowed), free
+        self.member = np.array(list(allowed.values())).T  # query by value
+        self.narrow = self.size <= NARROW
+        if self.narrow:  # a list is one of 32 sets in each group of five values
+            groups = -(-self.size // 5)
+            bits = np.zeros((len(free), 5 * groups), np.int64)
+            bits[:, : self.size] = self.member
+            codes = bits.reshape(len(free), groups, 5) @ (1 << np.arange(5)) + 32 * np.arange(groups)
+            self.sets = [x[x % 32 > 0].tolist() for x in codes]
+
+    def hold(self, codes: np.ndarray) -> None:
+        """``codes``: a place for each row; rows in no list and rows that are not there have ``size``."""
+        self.codes = codes
+        if not self.narrow:
+            return
+        self.rows = np.zeros((32 * -(-self.size // 5), len(codes) // 64), np.uint64)
+        for i in range(self.size):
+            group, bit = 32 * (i // 5), 1 << i % 5
+            self.rows[group + bit] = _packed(codes == i)
+            for x in range(1, bit):  # sets with this value as the last one
+                np.bitwise_or(self.rows[group + bit], self.rows[group + x], out=self.rows[group + bit + x])
+
+    def rows_of(self, query: int, out: np.ndarray) -> np.ndarray:
+        """The rows that the list of ``query`` allows; ``out`` may be overwritten."""
+        if not self.narrow:
+            return _packed(np.append(self.member[query], False)[self.codes])
+        sets = self.sets[query]
+        if len(sets) < 2:
+            return self.rows[sets[0] if sets else 0]
+        np.bitwise_or(self.rows[sets[0]], self.rows[sets[1]], out=out)
+        for x in sets[2:]:
+            np.bitwise_or(out, self.rows[x], out=out)
+        return out
+
+
+def _evaluator(pool: PoolBits, qi: Sequence[str], shares: bool):
     n = len(pool.ids)
-    sens_free = pool.free.get("v", np.ones(n, bool))
-
-    def allows(attr: str, value: str, free: np.ndarray) -> np.ndarray:
-        own = pool.allowed.get(attr, {}).get(value)
-        return free if own is None else own | free
+    used = [c for c in qi if c in pool.allowed]
 
     def evaluate(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        total = np.zeros(n)
+        attributes = [_Attribute(pool.allowed[c], pool.free[c]) for c in used]
+        asked = [[a for a in attributes if not a.free[i]] for i in range(n)]
+        sens_free = pool.free.get("v", np.ones(n, bool))
+        sens = {v: (x | sens_free).astype(float) for v, x in pool.allowed.get("v", {}).items()}
+
+        def allowed_share(texts: Sequence[str]) -> tuple[np.ndarray, np.ndarray]:
+            """(what a row of each composition counts for under each value, query by value)."""
+            parts = [json.loads(x) for x in texts]
+            values = {v: i for i, v in enumerate(dict.fromkeys(v for x in parts for v in x["v"]))}
+            weight = np.zeros((len(parts), len(values)))
+            for i, x in enumerate(parts):
+                total = sum(x["n"]) if shares else 1
+                for v, c in zip(x["v"], x["n"], strict=True):
+                    weight[i, values[v]] += c / total
+            return weight, np.array([sens.get(v, sens_free.astype(float)) for v in values]).reshape(-1, n).T
+
+        def answers(held: list[list[np.ndarray]], texts: Sequence[str]) -> np.ndarray:
+            *codes, kind = [np.concatenate(x) for x in zip(*held, strict=True)]
+            # rows of a composition lie together and fill whole words
+            count = np.bincount(kind, minlength=len(texts))
+            words = -(-count // 64)
+            start = np.cumsum(words) - words
+            order = np.argsort(kind, kind="stable")
+            at = np.arange(len(kind)) + np.repeat(64 * start - (np.cumsum(count) - count), count)
+            there = np.zeros(64 * int(words.sum()), bool)
+            there[at] = True
+            there = _packed(there)
+            for a, x in zip(attributes, codes, strict=True):
+                own = np.full(64 * len(there), a.size, np.min_scalar_type(a.size))
+                own[at] = x[order]
+                a.hold(own)
+            weight, table = allowed_share(texts)
+            out, one, rows = np.zeros(n), np.empty_like(there), np.empty_like(there)
+            step = max(1, MAX_SHARES // len(texts))
+            for first in range(0, n, step):
+                share = table[first : first + step] @ weight.T
+                for i, own in enumerate(share, first):
+                    np.copyto(rows, there)
+                    for a in asked[i]:
+                        np.bitwise_and(rows, a.rows_of(i, one), out=rows)
+                    out[i] = np.add.reduceat(np.bitwise_count(rows), start, dtype=np.int64) @ own
+            return out
+
+        total, held, size, texts = np.zeros(n), [], 0, {}
         for batch in batches:
-            for at in range(0, batch.num_rows, 2000):
-                part = batch.slice(at, 2000)
-                ok = np.ones((part.num_rows, n), bool)
-                for c in qi:
-                    if c in pool.allowed:
-                        codes = part.column(c).dictionary_encode()
-                        table = np.array([allows(c, x, pool.free[c]) for x in [*codes.dictionary.to_pylist(), None]])
-                        ok &= table[codes.indices.fill_null(len(codes.dictionary)).to_numpy(zero_copy_only=False)]
-                v, w = part.column("_values"), part.column("_shares").flatten().to_numpy(zero_copy_only=False)
-                codes = v.flatten().dictionary_encode()
-                owner = np.repeat(np.arange(part.num_rows), np.diff(np.asarray(v.offsets)))
-                share = np.zeros((part.num_rows, len(codes.dictionary) + 1))
-                np.add.at(share, (owner, codes.indices.fill_null(len(codes.dictionary)).to_numpy(zero_copy_only=False)), w)
-                table = np.array([allows("v", x, sens_free) for x in [*codes.dictionary.to_pylist(), None]], float)
-                total += np.einsum("ij,ij->j", ok, share @ table)
+            for text in batch.column("_weights").unique().to_pylist():
+                texts.setdefault(text, len(texts))
+            held.append([*[_codes(batch.column(c), a.place, a.size) for c, a in zip(used, attributes, strict=True)], _codes(batch.column("_weights"), texts, -1)])
+            size += batch.num_rows
+            if size >= CHUNK_ROWS:
+                total += answers(held, list(texts))
+                held, size, texts = [], 0, {}
+        if size:
+            total += answers(held, list(texts))
         yield pa.RecordBatch.from_arrays([pa.array(pool.ids, pa.int32()), pa.array(total)], names=["query_id", "answer"])
 
     return evaluate
 
 
 def pool_exact(df: DataFrame, pool: DataFrame | PoolBits, qi: Sequence[str], v: str = "v") -> DataFrame:
-    """(query_id, act) of a pool: rows are summed to distinct combinations first."""
-    combos = df.groupBy(*qi, v).agg(F.count(F.lit(1)).alias("_n")).select(*qi, F.array(v).alias("_a"), F.array("_n").alias("_b"))
-    return pool_answers(combos, pool, qi, "_a", "_b").select("query_id", F.round("answer").cast("bigint").alias("act"))
+    """(query_id, act) of a pool, from the rows: each counts once, under its own value."""
+    rows = df.select(*qi, weights_of(F.array(v), F.array(F.lit(1))).alias("_w"))
+    return pool_answers(rows, pool, qi, "_w").select("query_id", F.round("answer").cast("bigint").alias("act"))
 
 
 def pool_estimate(qi_side: DataFrame, sa: DataFrame, pool: DataFrame | PoolBits, qi: Sequence[str]) -> DataFrame:
-    """(query_id, est) of a pool, from the release alone: each row takes its bucket's values and shares along.
+    """(query_id, est) of a pool, from the release alone: each row takes its bucket's values and counts along.
 
-    Shares are summed over rows of equal quasi-identifiers first, so the pool is held against distinct combinations, not rows.
+    Buckets of the same values and counts are of one composition; a task holds the pool against the rows of each composition.
     """
-    sizes = sa.groupBy("bucket").agg(F.sum("cnt").alias("_s"))
-    shares = sa.join(sizes, "bucket").select("bucket", F.col("v").alias("_v"), (F.col("cnt") / F.col("_s")).alias("_w"))
-    sums = qi_side.join(shares, "bucket").groupBy(*qi, "_v").agg(F.sum("_w").alias("_w"))
-    combos = sums.groupBy(*qi).agg(F.collect_list(F.struct("_v", "_w")).alias("_x"))
-    return pool_answers(combos.select(*qi, F.col("_x._v").alias("_a"), F.col("_x._w").alias("_b")), pool, qi, "_a", "_b").withColumnRenamed("answer", "est")
+    held = sa.groupBy("bucket").agg(F.array_sort(F.collect_list(F.struct("v", "cnt"))).alias("_x"))
+    met = qi_side.join(held.select("bucket", weights_of("_x.v", "_x.cnt").alias("_w")), "bucket")
+    return pool_answers(met, pool, qi, "_w", shares=True).withColumnRenamed("answer", "est")
 
 
 def relative_error(exact: DataFrame, estimate: DataFrame) -> DataFrame:

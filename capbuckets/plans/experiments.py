@@ -4,10 +4,11 @@ from __future__ import annotations
 
 import time
 from collections.abc import Sequence
+from concurrent.futures import ThreadPoolExecutor
 
 import numpy as np
 from pyspark import StorageLevel
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, Row, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
@@ -22,16 +23,14 @@ from capbuckets.sources import microdata as M
 query = Registry()
 THETAS, M_MAX = (2, 4, 8, 16, 32), 50
 TABLES = ("occ50", "edu14")
-#: Queries of the pool, and factors by which the domain is scaled.
-N_QUERIES, GAMMAS = 5000, (2, 4, 8, 16, 32, 64)
+#: Queries of the pool, factors by which the domain is scaled, and releases that are made at once.
+N_QUERIES, GAMMAS, AT_ONCE = 5000, (2, 4, 8, 16, 32, 64), 3
 
 
 def caps_by_theta(hist: DataFrame, thetas: Sequence[int] = THETAS) -> dict[int, list]:
     """Collected caps for each slope, from one collected histogram: ``hist`` is read once."""
     rows = A.collect_caps(policy.linear_caps(hist, 1, 0, 1))
     n = sum(r.cnt for r in rows)
-    from pyspark.sql import Row
-
     return {t: [Row(v=r.v, cnt=r.cnt, cap_num=min(t * r.cnt * 50 + n, n * 50), cap_den=n * 50) for r in rows] for t in thetas}
 
 
@@ -106,25 +105,33 @@ def release_error(m: M.Microdata, ranked: DataFrame, cuts, pool: workload.PoolBi
     return workload.mean_error(workload.relative_error(true, workload.pool_estimate(qi_side, release.compact(sa), pool, m.qi)))
 
 
+def first_error(*release) -> Row:
+    return release_error(*release).first()
+
+
 def error_sweep(spark: SparkSession, sf: str, tables: Sequence[str] = TABLES, thetas: Sequence[int] = THETAS, n_queries: int = N_QUERIES, nodes: int = 40) -> list[tuple]:
     """(table, theta, method, queries, skipped, mean relative error); ``exact`` is the best layout after ``nodes`` nodes."""
-    out = []
+    asked = []
     for name in tables:
         m = M.MICRODATA[name](spark, sf)
         pool = workload.pool_bits(workload.query_pool(workload.domains(m.df, [*m.qi, "v"]), m.qi, n_queries, 0.01, "p0"))
         known = workload.pool_exact(m.df, pool, m.qi).collect()  # as many rows as the pool has queries
         true = spark.createDataFrame(known, "query_id int, act bigint")
         ranked = A.rank_rows(m.df, "v", m.key, "s0").select(*m.qi, "v", "_t").persist(StorageLevel.DISK_ONLY)  # for all releases of the table
-        for t, rows in caps_by_theta(policy.histogram(m.df), thetas).items():
-            c, values = counts_of(rows), [r.v for r in rows]
-            two, many = search.driver_search(c, M_MAX), refine.refine_caps(rows, M_MAX)
-            best = exact.exact_multi(c.cnt, c.num, c.den, M_MAX, (refine.layout_of(many), many.loss), nodes)
-            takes = exact.flow_split(c.cnt, np.stack([c.quota(s) for s, _ in best.layout], 1), best.layout)
-            for method, cuts in (("two_size", A.two_size_cuts(rows, two.classes)), ("many_size", refine.leaf_cuts(many, values)), ("exact" if best.optimal else "best found", A.cut_points(values, takes, best.layout))):
-                e = release_error(m, ranked, cuts, pool, true).first()
-                out.append((name, t, method, e.queries, e.skipped, round(e.mean_re, 6)))
+        ranked.count()  # held before jobs that run beside each other ask for it
+        with ThreadPoolExecutor(AT_ONCE) as jobs:
+            for t, rows in caps_by_theta(policy.histogram(m.df), thetas).items():
+                c, values = counts_of(rows), [r.v for r in rows]
+                two, many = search.driver_search(c, M_MAX), refine.refine_caps(rows, M_MAX)
+                ways = [("two_size", A.two_size_cuts(rows, two.classes)), ("many_size", refine.leaf_cuts(many, values))]
+                begun = [(name, t, method, jobs.submit(first_error, m, ranked, cuts, pool, true)) for method, cuts in ways]
+                best = exact.exact_multi(c.cnt, c.num, c.den, M_MAX, (refine.layout_of(many), many.loss), nodes)
+                takes = exact.flow_split(c.cnt, np.stack([c.quota(s) for s, _ in best.layout], 1), best.layout)
+                method, cuts = "exact" if best.optimal else "best found", A.cut_points(values, takes, best.layout)
+                asked += [*begun, (name, t, method, jobs.submit(first_error, m, ranked, cuts, pool, true))]
         ranked.unpersist()
-    return out
+    found = [(name, t, method, job.result()) for name, t, method, job in asked]
+    return [(name, t, method, e.queries, e.skipped, round(e.mean_re, 6)) for name, t, method, e in found]
 
 
 @query()

@@ -572,3 +572,61 @@ def test_w_domain_scale_of_long_lists(spark, sf, monkeypatch):
 def test_w_domain_losses_of_long_lists(spark, sf, monkeypatch):
     want, got = with_long_lists(spark, sf, monkeypatch, "w_domain_losses")
     assert got == want and len(got) == 48 and len({(r.what, r.size, r.loss) for r in got}) == 12
+
+
+def test_a_release_meets_the_pool_by_bucket_alone(spark, sf):
+    """No shuffle by quasi-identifiers and no row a value: rows of the release move by bucket, and once."""
+    m, _, _, a = Q.two_size(spark, sf)
+    qi_side, sa = release.publish(a, m.qi)
+    text = plan_of(workload.pool_estimate(qi_side, release.compact(sa), workload.pool_bits(Q.event_pool(spark, sf, 20)), m.qi))
+    after = text.split("MapInArrow")[1]
+    assert "hashpartitioning(bucket" in after and "hashpartitioning(event_type" not in after
+
+
+def test_pool_of_wide_attributes_nulls_and_other_kinds(spark, monkeypatch):
+    """Every query asked on its own, whatever the chunks of rows and compositions are."""
+    rows = [(None if i % 11 == 0 else i * 37 % 90, i % 3 == 0, None if i % 7 == 0 else f'"{i % 5},', i // 4 % 25) for i in range(700)]
+    side = spark.createDataFrame(rows, "wide int, flag boolean, name string, bucket int")
+    shares = {b: [(None, 1), (b % 3, 1 + b % 2)] for b in range(25)}
+    sa = spark.createDataFrame([(b, v, n) for b, x in shares.items() for v, n in x], "bucket int, v int, cnt bigint")
+    lists = {0: {"wide": range(0, 70), "v": (0, 1)}, 1: {"flag": ("true",), "name": ('"1,', '"4,'), "v": (2,)}, 2: {"wide": range(30, 95), "flag": ("false",), "name": ('"0,', '"9,')}, 3: {"v": (1, 2)}, 4: {"name": ("none",), "v": (0,)}}
+    pool = spark.createDataFrame([(q, 1, a, str(x)) for q, own in lists.items() for a, values in own.items() for x in values], "query_id int, d int, attr string, value string")
+    text = lambda x: str(x).lower() if isinstance(x, bool) else str(x)
+    fits = lambda q, a, x: a not in q or (x is not None and text(x) in {str(y) for y in q[a]})
+    want = {}
+    for i, q in lists.items():
+        inside = [r[3] for r in rows if all(fits(q, a, x) for a, x in zip(("wide", "flag", "name"), r, strict=False))]
+        want[i] = sum(sum(n for v, n in shares[b] if fits(q, "v", v)) / sum(n for _, n in shares[b]) for b in inside)
+    assert want[4] == 0 and all(want[i] > 0 for i in range(4))
+    for chunk, cells, narrow in ((1 << 18, 1 << 22, 64), (100, 7, 64), (1 << 18, 1 << 22, 2), (1 << 18, 1 << 22, 100)):
+        for name, value in (("CHUNK_ROWS", chunk), ("MAX_SHARES", cells), ("NARROW", narrow)):
+            monkeypatch.setattr(workload, name, value)
+        evaluate = workload._evaluator(workload.pool_bits(pool), ("wide", "flag", "name"), True)  # as a task does, with these limits
+        weights = sa.groupBy("bucket").agg(F.collect_list(F.struct("v", "cnt")).alias("x")).select("bucket", workload.weights_of("x.v", "x.cnt").alias("_weights"))
+        table = side.join(weights, "bucket").select("wide", F.col("flag").cast("string").alias("flag"), "name", "_weights").toArrow()
+        (got,) = evaluate(iter(table.to_batches(max_chunksize=64)))
+        assert dict(zip(*[c.to_pylist() for c in got.columns], strict=True)) == pytest.approx(want)
+    assert {r.query_id: r.est for r in workload.pool_estimate(side, sa, pool, ["wide", "flag", "name"]).collect()} == pytest.approx(want)
+
+
+def test_releases_of_the_error_sweep_are_made_beside_each_other(spark, sf, monkeypatch):
+    import threading
+
+    from capbuckets.plans import experiments
+
+    now, most, lock, old = [0], [0], threading.Lock(), experiments.release_error
+
+    def counted(*a):
+        with lock:
+            now[0] += 1
+            most[0] = max(most[0], now[0])
+        try:
+            out = old(*a).localCheckpoint()
+        finally:
+            with lock:
+                now[0] -= 1
+        return out
+
+    monkeypatch.setattr(experiments, "release_error", counted)
+    out = experiments.error_sweep(spark, sf, ("edu14",), (4, 8), 40)
+    assert [(r[0], r[1], r[3]) for r in out] == [("edu14", t, 40) for t in (4, 8) for _ in range(3)] and most[0] > 1
