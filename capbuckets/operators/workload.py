@@ -20,8 +20,8 @@ from capbuckets.functions.exact import order_key, pick
 
 #: Most rows of a pool that are collected, and most cells of the tables of a chunk.
 MAX_POOL_ROWS, MAX_CELLS = 5_000_000, 1 << 26
-#: Rows that a task holds a pool against at once, about, most cells of compositions by queries, and most values of an attribute that
-#: has its rows by sets of values.
+#: Rows that a task holds a pool against at once, about, most cells of the compositions' values by queries, and most values of an
+#: attribute that has its rows by sets of values.
 CHUNK_ROWS, MAX_SHARES, NARROW = 1 << 18, 1 << 22, 64
 
 
@@ -165,18 +165,19 @@ def _evaluator(pool: PoolBits, qi: Sequence[str], shares: bool):
         attributes = [_Attribute(pool.allowed[c], pool.free[c]) for c in used]
         asked = [[a for a in attributes if not a.free[i]] for i in range(n)]
         sens_free = pool.free.get("v", np.ones(n, bool))
-        sens = {v: (x | sens_free).astype(float) for v, x in pool.allowed.get("v", {}).items()}
+        sens = {v: x | sens_free for v, x in pool.allowed.get("v", {}).items()}
 
-        def allowed_share(texts: Sequence[str]) -> tuple[np.ndarray, np.ndarray]:
-            """(what a row of each composition counts for under each value, query by value)."""
+        def shares_of(texts: Sequence[str]) -> Iterator[tuple[int, np.ndarray]]:
+            """(first query, what a row of each composition counts for) of blocks of queries."""
             parts = [json.loads(x) for x in texts]
             values = {v: i for i, v in enumerate(dict.fromkeys(v for x in parts for v in x["v"]))}
-            weight = np.zeros((len(parts), len(values)))
-            for i, x in enumerate(parts):
-                total = sum(x["n"]) if shares else 1
-                for v, c in zip(x["v"], x["n"], strict=True):
-                    weight[i, values[v]] += c / total
-            return weight, np.array([sens.get(v, sens_free.astype(float)) for v in values]).reshape(-1, n).T
+            entry = np.array([values[v] for x in parts for v in x["v"]])
+            weight = np.concatenate([np.array(x["n"], float) / (sum(x["n"]) if shares else 1) for x in parts])
+            start = np.cumsum([0, *[len(x["v"]) for x in parts[:-1]]])
+            table = np.array([sens.get(v, sens_free) for v in values]).T  # query by value
+            step = max(1, MAX_SHARES // len(entry))
+            for first in range(0, n, step):
+                yield first, np.add.reduceat(table[first : first + step, entry] * weight, start, axis=1)
 
         def answers(held: list[list[np.ndarray]], texts: Sequence[str]) -> np.ndarray:
             *codes, kind = [np.concatenate(x) for x in zip(*held, strict=True)]
@@ -193,12 +194,9 @@ def _evaluator(pool: PoolBits, qi: Sequence[str], shares: bool):
                 own = np.full(64 * len(there), a.size, np.min_scalar_type(a.size))
                 own[at] = x[order]
                 a.hold(own)
-            weight, table = allowed_share(texts)
             out, one, rows = np.zeros(n), np.empty_like(there), np.empty_like(there)
-            step = max(1, MAX_SHARES // len(texts))
-            for first in range(0, n, step):
-                share = table[first : first + step] @ weight.T
-                for i, own in enumerate(share, first):
+            for first, block in shares_of(texts):
+                for i, own in enumerate(block, first):
                     np.copyto(rows, there)
                     for a in asked[i]:
                         np.bitwise_and(rows, a.rows_of(i, one), out=rows)
@@ -207,13 +205,15 @@ def _evaluator(pool: PoolBits, qi: Sequence[str], shares: bool):
 
         total, held, size, texts = np.zeros(n), [], 0, {}
         for batch in batches:
-            for text in batch.column("_weights").unique().to_pylist():
-                texts.setdefault(text, len(texts))
-            held.append([*[_codes(batch.column(c), a.place, a.size) for c, a in zip(used, attributes, strict=True)], _codes(batch.column("_weights"), texts, -1)])
-            size += batch.num_rows
-            if size >= CHUNK_ROWS:
-                total += answers(held, list(texts))
-                held, size, texts = [], 0, {}
+            for at in range(0, batch.num_rows, 4096):
+                part = batch.slice(at, 4096)
+                for text in part.column("_weights").unique().to_pylist():
+                    texts.setdefault(text, len(texts))
+                held.append([*[_codes(part.column(c), a.place, a.size) for c, a in zip(used, attributes, strict=True)], _codes(part.column("_weights"), texts, -1)])
+                size += part.num_rows
+                if size + 64 * len(texts) >= CHUNK_ROWS:  # a composition fills a word at least
+                    total += answers(held, list(texts))
+                    held, size, texts = [], 0, {}
         if size:
             total += answers(held, list(texts))
         yield pa.RecordBatch.from_arrays([pa.array(pool.ids, pa.int32()), pa.array(total)], names=["query_id", "answer"])
